@@ -2,14 +2,19 @@
 
 from __future__ import annotations
 
-from synthguard.llm import line_dedup, metric_search, packing
+from synthguard.llm import fingerprint, jaccard_join, language, line_dedup, metric_search, packing, quality
 
 QUERIES = {
     "op1_line_dedup": line_dedup.query,
+    "op3_quality": quality.query,
+    "op4_language": language.query,
+    "op5_ngram_jaccard": jaccard_join.query,
+    "op7_fingerprints": fingerprint.query,
     "op8_exact_top_k": metric_search.query,
     "op9_packing": packing.query,
 }
 SQL = {
     "op1_line_dedup": line_dedup.SQL,
+    "op5_ngram_jaccard": jaccard_join.SQL,
     "op8_exact_top_k": metric_search.SQL,
 }
