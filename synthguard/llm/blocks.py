@@ -32,3 +32,17 @@ def by_bucket(keys: np.ndarray, n: int):
     cuts = np.searchsorted(bucket_of(keys, n), np.arange(n + 1))
     for b in np.flatnonzero(np.diff(cuts)):
         yield int(b), int(cuts[b]), int(cuts[b + 1])
+
+
+def packed_counts(x: np.ndarray) -> bytes:
+    """Non-negative integers as byte planes, as many as the largest needs; the first byte tells how many."""
+    wide = max(1, (int(x.max(initial=0)).bit_length() + 7) // 8)
+    return bytes([wide]) + np.ascontiguousarray(x.astype("<i8").view(np.uint8).reshape(-1, 8)[:, :wide].T).tobytes()
+
+
+def unpacked_counts(raw: bytes) -> np.ndarray:
+    wide = raw[0]
+    planes = np.frombuffer(raw, np.uint8, offset=1).reshape(wide, -1)
+    out = np.zeros((planes.shape[1], 8), np.uint8)
+    out[:, :wide] = planes.T
+    return out.view("<i8").ravel()
