@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from synthguard.llm import fingerprint, jaccard_join, language, line_dedup, metric_search, packing, quality
+from synthguard.llm import fingerprint, jaccard_join, language, language_model, line_dedup, metric_search, packing, quality
 
 QUERIES = {
     "op1_line_dedup": line_dedup.query,
@@ -12,6 +12,7 @@ QUERIES = {
     "op7_fingerprints": fingerprint.query,
     "op8_exact_top_k": metric_search.query,
     "op9_packing": packing.query,
+    "op10_lm_scoring": language_model.query,
 }
 SQL = {
     "op1_line_dedup": line_dedup.SQL,
