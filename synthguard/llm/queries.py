@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from synthguard.llm import fingerprint, jaccard_join, language, language_model, line_dedup, metric_search, packing, quality
+from synthguard.llm import fingerprint, jaccard_join, language, language_model, line_dedup, metric_search, packing, quality, suffix_dedup
 
 QUERIES = {
     "op1_line_dedup": line_dedup.query,
     "op3_quality": quality.query,
     "op4_language": language.query,
     "op5_ngram_jaccard": jaccard_join.query,
+    "op6_suffix_dedup": suffix_dedup.query,
     "op7_fingerprints": fingerprint.query,
     "op8_exact_top_k": metric_search.query,
     "op9_packing": packing.query,
@@ -17,5 +18,6 @@ QUERIES = {
 SQL = {
     "op1_line_dedup": line_dedup.SQL,
     "op5_ngram_jaccard": jaccard_join.SQL,
+    "op6_suffix_dedup": suffix_dedup.SQL,
     "op8_exact_top_k": metric_search.SQL,
 }
