@@ -17,6 +17,7 @@ documents are carried through; an empty table gives no rows; other columns are n
 from __future__ import annotations
 
 import zlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -31,26 +32,50 @@ _SCHEMA = ", ".join(f"{n} long" for n in _NAMES)
 
 
 class CachedTokenizer:
-    """Ids of many texts, each distinct word encoded once. Words are told apart by 64-bit hashes."""
+    """Ids of many texts, each distinct word encoded once. Words are told apart by 64-bit hashes.
+
+    New words are encoded in runs, with a mark between them that stands in none of them and has an id of its own.
+    """
+
+    MARK = "`"
 
     def __init__(self, path: str, most_words: int = 2_000_000):
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most_words = Tokenizer.from_file(path), most_words
+        alone = self.tokenizer.encode(self.MARK, add_special_tokens=False).ids
+        self.mark = alone[0] if len(alone) == 1 else None
         self._clear()
 
     def _clear(self):
         self.known, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
-        self.ids = np.zeros(0, np.uint32)
-
-    def _learn(self, hashes: np.ndarray, words: list[str]) -> None:
-        got = [e.ids for e in self.tokenizer.encode_batch(words, add_special_tokens=False)]
-        sizes = np.fromiter(map(len, got), np.int64, len(got))
-        places = len(self.ids) + np.concatenate(([0], np.cumsum(sizes)[:-1]))
-        self.ids = np.concatenate((self.ids, np.fromiter((i for x in got for i in x), np.uint32, int(sizes.sum()))))
-        known = np.concatenate((self.known, hashes))
-        order = np.argsort(known)
-        self.known, self.at, self.size = known[order], np.concatenate((self.at, places))[order], np.concatenate((self.size, sizes))[order]
+        self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
+
+    def _encoded(self, words: list[str], run: int = 2000) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the words in a row, and how many each has."""
+        out = [np.zeros(0, np.uint32)] * len(words)
+        plain = [i for i, w in enumerate(words) if self.mark is not None and self.MARK not in w]
+        joint = f" {self.MARK} "
+        for k in range(0, len(plain), run):
+            lot = plain[k : k + run]
+            ids = np.array(self.tokenizer.encode_batch_fast([joint.join([words[i] for i in lot])], add_special_tokens=False)[0].ids, np.uint32)
+            cuts = np.flatnonzero(ids == self.mark)
+            for i, x, y in zip(lot, [0, *(cuts + 1).tolist()], [*cuts.tolist(), len(ids)], strict=True):
+                out[i] = ids[x:y]
+        for i in set(range(len(words))).difference(plain):
+            out[i] = np.array(self.tokenizer.encode(words[i], add_special_tokens=False).ids, np.uint32)
+        sizes = np.fromiter(map(len, out), np.int64, len(out))
+        return (np.concatenate(out) if out else np.zeros(0, np.uint32)), sizes
+
+    def _learn(self, hashes: np.ndarray, places: np.ndarray, words: list[str]) -> None:
+        """hashes are sorted, and places tell where they go among the known."""
+        ids, sizes = self._encoded(words)
+        if self.used + len(ids) > len(self.ids):
+            self.ids = np.concatenate((self.ids[: self.used], np.zeros(len(self.ids) + len(ids), np.uint32)))
+        self.ids[self.used : self.used + len(ids)] = ids
+        at = self.used + np.cumsum(sizes) - sizes
+        self.used += len(ids)
+        self.known, self.at, self.size = np.insert(self.known, places, hashes), np.insert(self.at, places, at), np.insert(self.size, places, sizes)
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in a row, and how many each text has."""
@@ -64,7 +89,7 @@ class CachedTokenizer:
         new[inside] = self.known[at[inside]] != distinct[inside]
         if new.any():
             raw = w.buf.tobytes()
-            self._learn(distinct[new], [raw[w.start[i] : w.end[i]].decode("utf-8", "replace") for i in first[new]])
+            self._learn(distinct[new], at[new], [raw[w.start[i] : w.end[i]].decode("utf-8", "replace") for i in first[new]])
             at = np.searchsorted(self.known, distinct)
         size, place = self.size[at][which], self.at[at][which]
         ends = np.cumsum(size)
@@ -75,6 +100,12 @@ class CachedTokenizer:
         return ids, np.diff(before[w.first])
 
 
+@lru_cache(maxsize=1)
+def tokenizer_for(path: str) -> CachedTokenizer:
+    """One for each Python worker, so that later tasks find the words of earlier ones."""
+    return CachedTokenizer(path)
+
+
 class Packer:
     """Open windows by fill level, and the count of them at each level."""
 
@@ -161,7 +192,7 @@ def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col:
     """One row for each piece of a document: where it starts, how long it is, and its window and place there."""
 
     def run(batches):
-        tokenizer = CachedTokenizer(tokenizer_path)
+        tokenizer = tokenizer_for(tokenizer_path)
         packer = Packer(window, TaskContext.get().partitionId() << 40)
         for b in batches:
             ids_of, texts = b.column(0).to_pylist(), as_bytes(b.column(1))
