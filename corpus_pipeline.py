@@ -1,17 +1,72 @@
-"""Five stages from raw documents to packed windows, each by one of the text operators."""
+"""Five stages from raw documents to packed windows, each by one of the text operators.
+
+Every stage takes (spark, docs, sf_dir) and works on all that the stage before kept; all but the last return the columns
+of documents. Null texts count as empty, null ids are carried through, extra columns pass, and an empty table stays empty.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from synthguard.llm import jaccard_join, line_dedup, packing, quality, suffix_dedup
+from synthguard.llm.common import staged, table
+from synthguard.shipping import ship
+
+
+def _measured(docs: DataFrame) -> DataFrame:
+    """n_chars follows the text."""
+    return docs.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else docs
+
+
+def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier scores 0.3 or more; it learns from the labelled documents among them."""
+    model = quality.train(docs, table(spark, sf_dir, "labels"))
+    return quality.score(docs, model, out="_sg_score").where("_sg_score >= 0.3").select(*docs.columns)
+
+
+def drop_common_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Lines of 20 characters or more that three documents hold stay only in the largest id."""
+    ship(spark)
+    return _measured(line_dedup.dedup_lines(spark, docs).select(*docs.columns))
+
+
+def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of documents tied by a Jaccard index of 0.8 or more of their five-word shingles, the smallest id; rows without an id stay."""
+    ship(spark)
+    classes = jaccard_join.similar_classes(spark, docs)
+    first = classes.where("component_id = doc_id").select(F.col("doc_id").alias("_sg_id")).distinct()
+    named = docs.where("doc_id IS NOT NULL").join(first, F.col("doc_id") == F.col("_sg_id"), "left_semi")
+    return named.unionByName(docs.where("doc_id IS NULL"))
+
+
+def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every byte in a string of 200 bytes that stands twice goes."""
+    ship(spark)
+    return _measured(suffix_dedup.remove_repeats(spark, docs).select(*docs.columns))
+
+
+def into_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of documents in windows of 4096 tokens."""
+    import public_tokenizers
+
+    ship(spark)
+    return packing.pack(docs, public_tokenizers.path("word_bpe_49k.json"))
 
-from synthguard.llm.common import staged
 
-STAGES: list = []
+STAGES = [
+    ("quality_classifier", keep_quality),
+    ("line_dedup", drop_common_lines),
+    ("ngram_jaccard_join", one_of_each),
+    ("suffix_array_dedup", cut_repeats),
+    ("packing", into_windows),
+]
+#: SQL can express neither the classifier nor the packing.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
         docs = staged(spark, stage(spark, docs, sf_dir), name)
     return docs
