@@ -4,13 +4,15 @@
    have equal anchors at equal places. Neighbouring windows with one anchor form an occurrence: the anchor's hash, and
    the hash of all bytes its windows cover. Occurrences whose anchor stands once in the corpus hold no repeat.
 2. Occurrences that equal another as a whole are repeated as a whole, however many there are: a count settles them.
-3. Of the others, one for each distinct content is cut out of its text. All occurrences of an anchor meet in one task, in
-   lots of bounded size. A lot is dealt into shards; each shard gets a suffix order and its Burrows-Wheeler transform, and the shards'
-   transforms are merged by refining their interleave: each round stably sorts the merged transform by the symbols in
-   front (two bytes a round), which orders all rows by two bytes more without a look at the suffixes. Rows that no round has told apart after
-   `length` bytes have a common prefix that long: those intervals are the repeats.
-4. An anchor with more than `hot` distinct surroundings is not gathered: its windows are hashed where their text is, counted
-   and joined back.
+3. Of the others, one for each distinct content is cut out of its text, and its windows fall into zones of 16 by the anchor's place in
+   them. A zone has a core, which all its windows hold: if no other zone has it, none of them is repeated. Zones that
+   equal another as a whole are repeated as a whole. What is left are zones through which a border of a repeat runs.
+4. Those of one core meet in one task, in lots of bounded size. A lot is dealt into shards; each shard gets a suffix order
+   and its Burrows-Wheeler transform, and the shards' transforms are merged by refining their interleave: each round stably sorts the merged
+   transform by the symbols in front (eight bytes a round), which orders all rows by eight bytes more without a look at the
+   suffixes. Rows that no round has told apart after `length` bytes have a common prefix that long: those intervals are the repeats.
+5. A core with more than `hot` distinct surroundings is not gathered: the windows of its zones are hashed where their bytes
+   are, counted and joined back.
 
 Defined cases: null text counts as empty; rows that share text are repeats of each other, so texts of `length` bytes or more that occur
 twice lose all bytes, repeated rows included; a null id is an id like others; strings are judged on the input; text that is
@@ -107,24 +109,39 @@ def suffix_order(text: np.ndarray, depth: int) -> np.ndarray:
 
 
 class Shard:
-    """A text's suffix order and its transform: for each row the two symbols in front, as one number."""
+    """A text's suffix order and its transform: for each row the symbols in front, `step` of them as one number."""
 
     def __init__(self, text: np.ndarray, depth: int):
-        self.order = suffix_order(text, depth)
-        before = text.astype(np.uint16)
-        self.transform = (np.roll(before, 2) << 8 | np.roll(before, 1))[self.order].astype(np.uint16)
+        self.text, self.order = text.astype(U64), suffix_order(text, depth)
 
+    def transform(self, step: int) -> np.ndarray:
+        front = np.zeros(len(self.text), U64)
+        for k in range(step, 0, -1):
+            front = front << U64(8) | np.roll(self.text, k)
+        return front[self.order]
 
-def merged_classes(shards: list[Shard], depth: int) -> list[np.ndarray]:
+
+def merged_classes(shards: list[Shard], depth: int, step: int = 8) -> list[np.ndarray]:
     """For each shard, by place in its text, the class of places whose next depth symbols are equal in all shards."""
-    source = np.repeat(np.arange(len(shards), dtype=np.uint16), [len(s.order) for s in shards])
+    sizes = np.array([len(s.order) for s in shards])
+    ends = np.cumsum(sizes)
+    source = np.repeat(np.arange(len(shards), dtype=np.uint8 if len(shards) < 256 else np.int32), sizes)
     block = np.zeros(len(source), np.int32)
-    symbols = np.empty(len(source), np.uint16)
-    for _ in range(-(-depth // 2)):
-        for j, s in enumerate(shards):
-            symbols[source == j] = s.transform
-        step = np.argsort(symbols, kind="stable")
-        source, block, now = source[step], block[step], symbols[step]
+    rounds = [depth % step] * (depth % step > 0) + [step] * (depth // step)
+    for k, wide in enumerate(rounds):
+        if k == 0 or wide != rounds[k - 1]:  # symbols as ranks, which keep their order
+            distinct, rank = np.unique(np.concatenate([s.transform(wide) for s in shards]), return_inverse=True)
+            rank, few = rank.astype(np.int32), len(distinct) <= 1 << 16
+        # the merged transform: the shards' rows in the order of the interleave
+        symbols = np.empty(len(source), np.int32)
+        for j in range(len(shards)):
+            symbols[source == j] = rank[ends[j] - sizes[j] : ends[j]]
+        if few:
+            move = np.argsort(symbols.astype(np.uint16), kind="stable")
+        else:
+            move = np.argsort((symbols & 0xFFFF).astype(np.uint16), kind="stable")
+            move = move[np.argsort((symbols[move] >> 16).astype(np.uint16), kind="stable")]
+        source, block, now = source[move], block[move], symbols[move]
         edge = np.zeros(len(block), bool)
         edge[1:] = (now[1:] != now[:-1]) | (block[1:] != block[:-1])
         block = np.cumsum(edge, dtype=np.int32)
@@ -138,8 +155,8 @@ def merged_classes(shards: list[Shard], depth: int) -> list[np.ndarray]:
     return out
 
 
-def repeated_windows(contexts: list[bytes], length: int, shard_bytes: int = 1 << 19) -> list[np.ndarray]:
-    """For each context, the window starts (0..) whose string stands in another context as well. Bytes 0 end contexts only in the merge: texts are shifted by one symbol."""
+def repeated_windows(contexts: list[bytes], length: int, shard_bytes: int = 1 << 17) -> list[np.ndarray]:
+    """For each context, the window starts (0..) whose string stands in another context as well."""
     shards, owners, at = [], [], 0
     for first, run in chunks(contexts, shard_bytes):
         sizes = np.fromiter(map(len, run), np.int64, len(run)) + 1
@@ -172,7 +189,10 @@ def _stretches(places: np.ndarray, length: int) -> list[tuple[int, int]]:
     return [(int(a), int(b) + length) for a, b in zip(places[np.concatenate(([0], cuts + 1))], places[np.append(cuts, len(places) - 1)], strict=True)]
 
 
-_CONTEXT = "anchor long, hot boolean, again boolean, doc long, print long, start long, context binary"
+ZONE = 16
+_CONTEXT = "anchor long, again boolean, doc long, print long, start long, place int, context binary"
+_ZONE = "core long, extent long, again boolean, doc long, print long, start long, first long, last long"
+_PIECE = "core long, hot boolean, again boolean, doc long, print long, start long, context binary"
 _SPAN = "doc long, print long, start long, stop long"
 
 
@@ -183,17 +203,59 @@ def _cut_out(length: int):
             for doc, mark, text, wanted in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
                 for w in wanted:
                     p, hi, lo = w["place"] >> 16, w["place"] >> 8 & 255, w["place"] & 255
-                    rows.append((w["anchor"], w["hot"], w["again"], doc, mark, p - hi, text[p - hi : p - lo + length]))
+                    rows.append((w["anchor"], w["again"], doc, mark, p - hi, hi, text[p - hi : p - lo + length]))
+            columns = list(zip(*rows, strict=True)) or [()] * 7
+            types = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["anchor", "again", "doc", "print", "start", "place", "context"])
+
+    return run
+
+
+def _zones(length: int):
+    """Zones of contexts; core and extent hashes also tell the anchor and the zone's number."""
+
+    def run(batches):
+        for b in batches:
+            anchor, doc, mark, start, hi = (b.column(k).to_numpy(zero_copy_only=False) for k in ("anchor", "doc", "print", "start", "place"))
+            again = np.array(b.column("again").to_pylist(), bool)
+            for at, some in chunks(b.column("context").to_pylist()):
+                sizes = np.fromiter(map(len, some), np.int64, len(some))
+                begin = np.cumsum(sizes) - sizes
+                most = hi[at : at + len(some)].astype(np.int64)
+                least = most - (sizes - length)
+                n = most // ZONE - least // ZONE + 1
+                own = np.repeat(np.arange(len(some)), n)
+                zone = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(least // ZONE, n)
+                top, low = np.minimum(most[own], ZONE * zone + ZONE - 1), np.maximum(least[own], ZONE * zone)
+                h = prefix_hash(np.frombuffer(b"".join(some), np.uint8))
+                origin = begin[own] + most[own]  # the anchor's place
+                key = mix(anchor[at + own].view(U64) + zone.astype(U64))
+                core = mix(span_hash(h, origin - ZONE * zone, origin - ZONE * zone - ZONE + 1 + length) ^ key)
+                extent = mix(span_hash(h, origin - top, origin - low + length) ^ key)
+                first = start[at + own] + most[own] - top
+                yield pa.RecordBatch.from_arrays(
+                    [_signed(core), _signed(extent), pa.array(again[at + own]), *(pa.array(x) for x in (doc[at + own], mark[at + own], start[at + own], first, first + top - low))],
+                    names=["core", "extent", "again", "doc", "print", "start", "first", "last"],
+                )
+
+    return run
+
+
+def _pieces(length: int):
+    def run(batches):
+        for b in batches:
+            rows = []
+            for doc, mark, start, context, wanted in zip(*(b.column(k).to_pylist() for k in ("doc", "print", "start", "context", "wanted")), strict=True):
+                rows += [(w["core"], w["hot"], w["again"], doc, mark, w["first"], context[w["first"] - start : w["last"] - start + length]) for w in wanted]
             columns = list(zip(*rows, strict=True)) or [()] * 7
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.bool_(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["anchor", "hot", "again", "doc", "print", "start", "context"]
-            )
+            types = (pa.int64(), pa.bool_(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["core", "hot", "again", "doc", "print", "start", "context"])
 
     return run
 
 
 def _merge(length: int, lot_bytes: int):
-    """Streams contexts sorted by anchor in lots that hold all contexts of their anchors."""
+    """Streams pieces sorted by core in lots that hold all pieces of their cores."""
 
     def settle(rows):
         found = repeated_windows([r[4] for r in rows], length)
@@ -204,7 +266,7 @@ def _merge(length: int, lot_bytes: int):
     def run(batches):
         rows, size = [], 0
         for b in batches:
-            for r in zip(*(b.column(k).to_pylist() for k in ("anchor", "doc", "print", "start", "context", "again")), strict=True):
+            for r in zip(*(b.column(k).to_pylist() for k in ("core", "doc", "print", "start", "context", "again")), strict=True):
                 if size > lot_bytes and r[0] != rows[-1][0]:
                     yield settle(rows)
                     rows, size = [], 0
@@ -219,7 +281,7 @@ def _merge(length: int, lot_bytes: int):
 def _window_hashes(length: int):
     def run(batches):
         for b in batches:
-            anchor, doc, mark, start = (b.column(k).to_numpy(zero_copy_only=False) for k in ("anchor", "doc", "print", "start"))
+            core, doc, mark, start = (b.column(k).to_numpy(zero_copy_only=False) for k in ("core", "doc", "print", "start"))
             for at, some in chunks(b.column("context").to_pylist()):
                 sizes = np.fromiter(map(len, some), np.int64, len(some))
                 begin = np.cumsum(sizes) - sizes
@@ -229,7 +291,7 @@ def _window_hashes(length: int):
                 h = prefix_hash(np.frombuffer(b"".join(some), np.uint8))
                 x = begin[own] + place
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(anchor[at + own]), _signed(span_hash(h, x, x + length)), pa.array(doc[at + own]), pa.array(mark[at + own]), pa.array(start[at + own] + place)], names=["anchor", "window", "doc", "print", "start"]
+                    [pa.array(core[at + own]), _signed(span_hash(h, x, x + length)), pa.array(doc[at + own]), pa.array(mark[at + own]), pa.array(start[at + own] + place)], names=["core", "window", "doc", "print", "start"]
                 )
 
     return run
@@ -244,25 +306,33 @@ def repeated_spans(spark: SparkSession, rows: DataFrame, length: int, hot: int,
     whole = some.join(extents.where("k > 1").select("anchor", "extent"), ["anchor", "extent"]).select(
         "doc", "print", (F.shiftright("place", 16) - (F.shiftright("place", 8).bitwiseAND(255))).alias("start"), (F.shiftright("place", 16) - F.col("place").bitwiseAND(255) + length).alias("stop")
     )
-    # anchors with several surroundings, and how many
-    kinds = extents.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1")
-    open_ = extents.join(kinds, "anchor").select("anchor", (F.col("kinds") > hot).alias("hot"), (F.col("k") > 1).alias("again"), "one.*")
-    wanted = open_.groupBy("doc", "print").agg(F.collect_list(F.struct("anchor", "hot", "again", "place")).alias("wanted"))
+    # anchors with several surroundings
+    kinds = extents.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1").select("anchor")
+    open_ = extents.join(kinds, "anchor").select("anchor", (F.col("k") > 1).alias("again"), "one.*")
+    wanted = open_.groupBy("doc", "print").agg(F.collect_list(F.struct("anchor", "again", "place")).alias("wanted"))
     contexts = staged(spark, rows.join(wanted, ["doc", "print"]).dropDuplicates(["doc", "print"]).select("doc", "print", "text", "wanted").mapInArrow(_cut_out(length), _CONTEXT), "contexts")
-    calm = contexts.where("NOT hot").repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_merge(length, lot_bytes), _SPAN)
-    windows = contexts.where("hot").mapInArrow(_window_hashes(length), "anchor long, window long, doc long, print long, start long")
-    common = windows.groupBy("anchor", "window").agg(F.count("*").alias("k")).where("k > 1").select("anchor", "window")
-    busy = windows.join(common, ["anchor", "window"]).groupBy("doc", "print").agg(F.collect_list("start").alias("starts"))
+    zones = staged(spark, contexts.mapInArrow(_zones(length), _ZONE), "zones")
+    alike = zones.groupBy("core", "extent").agg(F.count("*").alias("k"), F.min(F.struct("doc", "print", "start", "first", "last", "again")).alias("one"))
+    same = zones.where("NOT again").join(alike.where("k > 1").select("core", "extent"), ["core", "extent"]).select("doc", "print", F.col("first").alias("start"), (F.col("last") + length).alias("stop"))
+    # a core none of whose zones is open any more needs no look at its windows
+    cores = alike.groupBy("core").agg(F.count("*").alias("kinds"), F.min((F.col("k") > 1) | F.col("one.again")).alias("settled")).where("kinds > 1 AND NOT settled").select("core", (F.col("kinds") > hot).alias("hot"))
+    left = alike.join(cores, "core").select("core", "hot", ((F.col("k") > 1) | F.col("one.again")).alias("again"), "one.doc", "one.print", "one.start", "one.first", "one.last")
+    by_context = left.groupBy("doc", "print", "start").agg(F.collect_list(F.struct("core", "hot", "again", "first", "last")).alias("wanted"))
+    pieces = staged(spark, contexts.join(by_context, ["doc", "print", "start"]).select("doc", "print", "start", "context", "wanted").mapInArrow(_pieces(length), _PIECE), "pieces")
+    calm = pieces.where("NOT hot").repartition("core").sortWithinPartitions("core").mapInArrow(_merge(length, lot_bytes), _SPAN)
+    windows = pieces.where("hot").mapInArrow(_window_hashes(length), "core long, window long, doc long, print long, start long")
+    common = windows.groupBy("core", "window").agg(F.count("*").alias("k")).where("k > 1").select("core", "window")
+    busy = windows.join(common, ["core", "window"]).groupBy("doc", "print").agg(F.collect_list("start").alias("starts"))
 
     @F.pandas_udf("array<struct<start: long, stop: long>>")
     def joined(starts: pd.Series) -> pd.Series:
         return starts.map(lambda s: [{"start": a, "stop": b} for a, b in _stretches(np.unique(s), length)])
 
     busy = busy.select("doc", "print", F.explode(joined("starts")).alias("x")).select("doc", "print", "x.*")
-    return whole.unionByName(calm).unionByName(busy).groupBy("doc", "print").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
+    return whole.unionByName(same).unionByName(calm).unionByName(busy).groupBy("doc", "print").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
 
 
-def remove_repeats(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 200, hot: int = 512, lot_bytes: int = 1 << 21) -> DataFrame:
+def remove_repeats(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 200, hot: int = 512, lot_bytes: int = 1 << 18) -> DataFrame:
     """docs with repeats cut from the text, plus _n_bytes, _n_removed, _n_spans and _kept_sha256 (of the bytes that stay)."""
     if not GRAM < length <= GRAM + 208:
         raise ValueError(f"length must lie above {GRAM} and below {GRAM + 209}")
