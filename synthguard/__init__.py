@@ -1,0 +1 @@
+"""Release of synthetic records under plausible deniability, as Spark plans."""
