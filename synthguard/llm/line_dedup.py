@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.llm.common import LOWER, UPPER, WHITE_SPACE, staged, text_or_empty
+from synthguard.llm.common import LOWER, UPPER, WHITE_SPACE, staged, table, text_or_empty
 
 DECIDED, EDGE, SUMMARY = 0, 1, 2
 _SCHEMA = "kind int, doc long, print long, pos int, h1 long, h2 long"
@@ -174,7 +174,7 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", te
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     done = dedup_lines(spark, docs)
     return done.select("doc_id", F.col("_n_lines").alias("n_lines"), F.col("_n_dropped").alias("n_dropped"), F.sha2(text_or_empty(), 256).alias("kept_sha256"))
 
