@@ -33,6 +33,8 @@ from synthguard.llm.common import staged, table, text_or_empty
 from synthguard.llm.textkernel import U64, chunks, mix, powers, prefix_hash, span_hash
 
 GRAM = 48
+#: Bytes of text that a task works on at a time; some dozen arrays of eight times that stand in its memory.
+STRETCH = 1 << 19
 _OCCURRENCE = "anchor long, extent long, doc long, print long, place long"
 _LOW = U64(0xFFFFFFFF)
 
@@ -84,7 +86,7 @@ def _find(length: int):
     def run(batches):
         for b in batches:
             doc, mark, texts = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy(zero_copy_only=False), [x or b"" for x in b.column(2).to_pylist()]
-            for at, some in chunks(texts):
+            for at, some in chunks(texts, STRETCH):
                 t, p, first, last, anchor, extent = occurrences(some, length)
                 place = p << 16 | (p - first) << 8 | (p - last)
                 yield pa.RecordBatch.from_arrays([_signed(anchor), _signed(extent), pa.array(doc[at + t]), pa.array(mark[at + t]), pa.array(place)], names=["anchor", "extent", "doc", "print", "place"])
@@ -218,7 +220,7 @@ def _zones(length: int):
         for b in batches:
             anchor, doc, mark, start, hi = (b.column(k).to_numpy(zero_copy_only=False) for k in ("anchor", "doc", "print", "start", "place"))
             again = np.array(b.column("again").to_pylist(), bool)
-            for at, some in chunks(b.column("context").to_pylist()):
+            for at, some in chunks(b.column("context").to_pylist(), STRETCH):
                 sizes = np.fromiter(map(len, some), np.int64, len(some))
                 begin = np.cumsum(sizes) - sizes
                 most = hi[at : at + len(some)].astype(np.int64)
@@ -282,7 +284,7 @@ def _window_hashes(length: int):
     def run(batches):
         for b in batches:
             core, doc, mark, start = (b.column(k).to_numpy(zero_copy_only=False) for k in ("core", "doc", "print", "start"))
-            for at, some in chunks(b.column("context").to_pylist()):
+            for at, some in chunks(b.column("context").to_pylist(), STRETCH):
                 sizes = np.fromiter(map(len, some), np.int64, len(some))
                 begin = np.cumsum(sizes) - sizes
                 counts = sizes - length + 1
