@@ -15,6 +15,13 @@ from synthguard.plans.schema import Graph, Schema
 BROADCAST_CELLS = 4_000_000
 
 
+def settled(table: DataFrame, most: int = 200_000) -> DataFrame:
+    """A conditional table computed once: it has at most maxcost rows for each attribute, so it is kept as a local relation
+    that every later join broadcasts; beyond `most` rows it stays a plan."""
+    rows = table.limit(most + 1).collect()
+    return table.sparkSession.createDataFrame(rows, table.schema) if len(rows) <= most else table
+
+
 @dataclass(frozen=True)
 class Model:
     schema: Schema
@@ -49,7 +56,7 @@ class Model:
 
 def marginal_model(df: DataFrame, schema: Schema, eps: float | None = None, salt: str = "marginals") -> Model:
     graph = without_parents(schema)
-    return Model(schema, graph, learn_parameters(df, schema, graph, eps=eps, salt=salt))
+    return Model(schema, graph, settled(learn_parameters(df, schema, graph, eps=eps, salt=salt)))
 
 
 def synthesize(model: Model, seeds: DataFrame, omega: int, salt: str, key: str = "cand_id") -> DataFrame:

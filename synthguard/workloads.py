@@ -37,17 +37,17 @@ def split_of(spark: SparkSession, sf_dir: str, which: str, view: View = ORDERLIN
 
 
 def fixed_model(spark: SparkSession, sf_dir: str) -> synth.Model:
-    return synth.Model(OL, FIXED, params.learn_parameters(split_of(spark, sf_dir, "P"), OL, FIXED))
+    return synth.Model(OL, FIXED, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, FIXED)))
 
 
 def learned_model(spark: SparkSession, sf_dir: str, eps: float | None = None, salt: str = "model", min_gain: float = 0.02) -> synth.Model:
     """Structure from T and parameters from P; with eps, both private and the parameters drawn from their posterior."""
     if eps is None:
         graph = structure.learn(split_of(spark, sf_dir, "T"), OL, min_gain=min_gain)
-        return synth.Model(OL, graph, params.learn_parameters(split_of(spark, sf_dir, "P"), OL, graph))
+        return synth.Model(OL, graph, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, graph)))
     e_h, e_p = calibrate(eps, len(OL), 2.0**-30)
     graph = structure.learn(split_of(spark, sf_dir, "T"), OL, min_gain=min_gain, eps_entropy=e_h, salt=f"{salt}-structure")
-    return synth.Model(OL, graph, params.learn_parameters(split_of(spark, sf_dir, "P"), OL, graph, estimator="sampled", eps=e_p, salt=f"{salt}-parameters"))
+    return synth.Model(OL, graph, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, graph, estimator="sampled", eps=e_p, salt=f"{salt}-parameters")))
 
 
 def _seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -490,7 +490,8 @@ def kinds(spark, sf_dir) -> dict[str, DataFrame]:
     for name, w in cases.items():
         judged = release.judged(model, split_of(spark, sf_dir, "S"), DeniabilityParams(50, 4.0), w, f"kinds-{name}", seeds)
         out[f"omega {name}"] = judged.where("passed")
-    return {k: v.select(*([c for c in ("rk", "cand_id") if c in v.columns][:1]), *OL.names) for k, v in out.items()}
+    # each is read many times
+    return {k: v.select(*([c for c in ("rk", "cand_id") if c in v.columns][:1]), *OL.names).persist() for k, v in out.items()}
 
 
 def tv_synthetic(spark, sf_dir):
@@ -535,8 +536,8 @@ def forest_accuracy(spark, sf_dir):
 def classifier_table(spark, sf_dir):
     """Accuracy on reals, and agreement with the classifier trained on reals, by classifier and training data."""
     test = split_of(spark, sf_dir, "test").cache()
-    data = {k: v.select(*OL.names).cache() for k, v in kinds(spark, sf_dir).items()}
-    data["reals"] = split_of(spark, sf_dir, "S").select(*OL.names).cache()
+    data = kinds(spark, sf_dir)
+    data["reals"] = split_of(spark, sf_dir, "S").persist()
     rows = []
     for c in ("tree", "rf", "adaboost"):
         # the yardstick is trained on another real sample
