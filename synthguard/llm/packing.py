@@ -51,8 +51,9 @@ class CachedTokenizer:
         self.known, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
 
-    def _encoded(self, words: list[str], run: int = 2000) -> tuple[np.ndarray, np.ndarray]:
+    def _encoded(self, raw: list[bytes], run: int = 2000) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the words in a row, and how many each has."""
+        words = [w.decode("utf-8", "replace") for w in raw]
         out = [np.zeros(0, np.uint32)] * len(words)
         plain = [i for i, w in enumerate(words) if self.mark is not None and self.MARK not in w]
         joint = f" {self.MARK} "
@@ -67,7 +68,7 @@ class CachedTokenizer:
         sizes = np.fromiter(map(len, out), np.int64, len(out))
         return (np.concatenate(out) if out else np.zeros(0, np.uint32)), sizes
 
-    def _learn(self, hashes: np.ndarray, places: np.ndarray, words: list[str]) -> None:
+    def _learn(self, hashes: np.ndarray, places: np.ndarray, words: list[bytes]) -> None:
         """hashes are sorted, and places tell where they go among the known."""
         ids, sizes = self._encoded(words)
         if self.used + len(ids) > len(self.ids):
@@ -80,7 +81,11 @@ class CachedTokenizer:
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in a row, and how many each text has."""
         w = Words(texts, lower=False)
-        distinct, first, which = np.unique(w.hashes(), return_index=True, return_inverse=True)
+        return self._looked_up(w.buf, w.start, w.end, w.hashes(), w.first)
+
+    def _looked_up(self, buf: np.ndarray, start: np.ndarray, end: np.ndarray, hashes: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the words buf[start:end]; bounds: each text's first word, and one past the last."""
+        distinct, first, which = np.unique(hashes, return_index=True, return_inverse=True)
         if len(self.known) > self.most_words:
             self._clear()
         at = np.searchsorted(self.known, distinct)
@@ -88,8 +93,8 @@ class CachedTokenizer:
         inside = at < len(self.known)
         new[inside] = self.known[at[inside]] != distinct[inside]
         if new.any():
-            raw = w.buf.tobytes()
-            self._learn(distinct[new], at[new], [raw[w.start[i] : w.end[i]].decode("utf-8", "replace") for i in first[new]])
+            raw = buf.tobytes()
+            self._learn(distinct[new], at[new], [raw[start[i] : end[i]] for i in first[new]])
             at = np.searchsorted(self.known, distinct)
         size, place = self.size[at][which], self.at[at][which]
         ends = np.cumsum(size)
@@ -97,7 +102,7 @@ class CachedTokenizer:
         # place of every id: its word's place in the store plus its rank in the word
         ids = self.ids[np.arange(total) + np.repeat(place - (ends - size), size)]
         before = np.concatenate(([0], ends))
-        return ids, np.diff(before[w.first])
+        return ids, np.diff(before[bounds])
 
 
 @lru_cache(maxsize=1)

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from synthguard.llm import fingerprint, jaccard_join, language, language_model, line_dedup, metric_search, packing, quality, suffix_dedup
+from synthguard.llm import fingerprint, jaccard_join, language, language_model, line_dedup, metric_search, packing, quality, sentence_pieces, suffix_dedup
 
 QUERIES = {
     "op1_line_dedup": line_dedup.query,
+    "op2_sentence_pieces": sentence_pieces.query,
     "op3_quality": quality.query,
     "op4_language": language.query,
     "op5_ngram_jaccard": jaccard_join.query,
