@@ -1,14 +1,15 @@
 """Exact similarity join of documents by the Jaccard index of their word shingles, with its connected classes.
 
-1. Counts: a table of fixed size (2**20 hashed counts over all documents) orders shingles from rare to frequent.
+1. Counts: a table of bounded size (hashed counts over all documents, 2**24 at most) orders shingles from rare to frequent.
 2. Sets: each document's distinct shingles are hashed to 64 bits; equal sets become one set. Of each set, the rarest
    n - ceil(t n) + 1 shingles are kept (two linked sets share one of these), and blocks of documents ask in packed messages which of theirs stand in
    other sets too; only those go on.
 3. Groups: each set joins the group of the leader with which it shares most rare shingles, if their exact index allows; this is
    repeated among groups.
-4. Token-group matrix: for each shingle and group, the group's entry holds the range of its set sizes and the longest
-   rest behind the shingle. It bounds what a query set can share with any set of the group; only groups that qualify
-   are opened, and only pairs of sets from different groups are then compared, exactly, on whole texts.
+4. Token-group matrix: for each shingle and group, the group's entry holds the range of its set sizes, the longest
+   rest behind the shingle, and the union of its sets' shingles as a bitmap. Bits of a query set that the union lacks, and the rests, bound what it can
+   share with any set of the group; only groups that qualify are opened. Pairs of sets from different groups that pass
+   the same bounds are then compared, exactly, on whole texts.
    Within a group the classes are the same already, so copies are never expanded into pairs.
 
 Defined cases: A-Z are lowered, words are separated by [\\x20\\x09-\\x0D]; a text with fewer words than a shingle has is one
@@ -25,12 +26,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.taskcontext import TaskContext
 
-from synthguard.llm.blocks import U64, by_bucket, packed, unpacked
+from synthguard.llm.blocks import U64, by_bucket, packed, packed_counts, unpacked, unpacked_counts
 from synthguard.llm.common import staged, table, text_or_empty
 from synthguard.llm.components import components
 from synthguard.llm.textkernel import Words, as_bytes, chunks, mix, runs_unique
 
-COUNT_BITS, SLICE = 20, 1 << 10
+SLICE = 1 << 10
+#: The table of counts has up to 2**MOST_BITS entries (64 MB).
+MOST_BITS = 24
+#: 64-bit words of a set's bitmap, one bit a shingle; bits of the filter of wanted texts.
+BITMAP, WANTED = 16, 1 << 23
 _WEIGHTS = mix(np.arange(1, 65, dtype=U64)) | U64(1)
 
 
@@ -58,9 +63,18 @@ def shingles(texts: list[bytes], words: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def sets_of(texts: list[bytes], words: int) -> list[np.ndarray]:
-    doc, s = runs_unique(*shingles(texts, words))
-    cut = np.searchsorted(doc, np.arange(len(texts) + 1))
-    return [s[a:b] for a, b in zip(cut[:-1], cut[1:], strict=True)]
+    out = []
+    for _, some in chunks(texts, 1 << 19):  # bounds the memory of the arrays
+        doc, s = runs_unique(*shingles(some, words))
+        cut = np.searchsorted(doc, np.arange(len(some) + 1))
+        out += [s[a:b] for a, b in zip(cut[:-1], cut[1:], strict=True)]
+    return out
+
+
+def bitmap(s: np.ndarray) -> list[int]:
+    bits = np.zeros(64 * BITMAP, np.uint8)
+    bits[(s & U64(64 * BITMAP - 1)).astype(np.int64)] = 1
+    return np.packbits(bits).view(np.int64).tolist()
 
 
 def alike(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
@@ -68,34 +82,33 @@ def alike(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * both >= percent * (len(a) + len(b) - both)
 
 
-def _counts(docs: DataFrame, words: int) -> np.ndarray:
+def _counts(docs: DataFrame, words: int, bits: int) -> np.ndarray:
     """Hashed counts of all shingles: slices are summed in two steps, so that no task gets all partitions' tables."""
 
     def count(batches):
-        total = np.zeros(1 << COUNT_BITS, np.int64)
+        total = np.zeros(1 << bits, np.int64)
         for b in batches:
-            for _, c in chunks(as_bytes(b.column(0))):
-                _, s = shingles(c, words)
-                total += np.bincount((s >> U64(64 - COUNT_BITS)).astype(np.int64), minlength=len(total))
+            places = [(shingles(c, words)[1] >> U64(64 - bits)).astype(np.int32) for _, c in chunks(as_bytes(b.column(0)), 1 << 19)]
+            if places:
+                total += np.bincount(np.concatenate(places), minlength=len(total))
         n = len(total) // SLICE
-        small = total.astype(np.int32) if total.max(initial=0) < 1 << 31 else total
         yield pa.RecordBatch.from_arrays(
-            [pa.array(np.arange(n)), pa.array(np.full(n, TaskContext.get().partitionId() // 64)), pa.array([x.astype("<i8").tobytes() for x in small.reshape(n, SLICE)])], names=["slice", "lot", "sums"]
+            [pa.array(np.arange(n)), pa.array(np.full(n, TaskContext.get().partitionId() // 64)), pa.array([packed_counts(x) for x in total.reshape(n, SLICE)])], names=["slice", "lot", "sums"]
         )
 
     def add(pdf: pd.DataFrame) -> pd.DataFrame:
-        total = sum(np.frombuffer(x, "<i8") for x in pdf["sums"])
-        return pd.DataFrame({"slice": [pdf["slice"].iloc[0]], "lot": [0], "sums": [total.tobytes()]})
+        total = sum(unpacked_counts(x) for x in pdf["sums"])
+        return pd.DataFrame({"slice": [pdf["slice"].iloc[0]], "lot": [0], "sums": [packed_counts(total)]})
 
     schema = "slice long, lot long, sums binary"
     rows = docs.select(text_or_empty("text").alias("text")).mapInArrow(count, schema).groupBy("slice", "lot").applyInPandas(add, schema).groupBy("slice").applyInPandas(add, schema).collect()
-    total = np.zeros(1 << COUNT_BITS, np.int64)
+    total = np.zeros(1 << bits, np.int64)
     for r in rows:
-        total[r["slice"] * SLICE : (r["slice"] + 1) * SLICE] = np.frombuffer(r["sums"], "<i8")
-    return total
+        total[r["slice"] * SLICE : (r["slice"] + 1) * SLICE] = unpacked_counts(r["sums"])
+    return total.astype(np.int32) if total.max(initial=0) < 1 << 31 else total
 
 
-_SETS = "kind int, doc_id long, print long, n long, sid long, block long, bucket long, payload binary"
+_SETS = "kind int, doc_id long, print long, n long, sid long, block long, bucket long, payload binary, bitmap array<long>"
 
 
 def _sets(docs: DataFrame, counts: np.ndarray, words: int, percent: int, buckets: int) -> DataFrame:
@@ -105,6 +118,7 @@ def _sets(docs: DataFrame, counts: np.ndarray, words: int, percent: int, buckets
     def run(batches):
         number = TaskContext.get().partitionId() << 24
         rank = held.value
+        shift = U64(64 - (len(rank).bit_length() - 1))
         for b in batches:
             ids, prints, texts = b.column(0).to_pylist(), b.column(1).to_pylist(), as_bytes(b.column(2))
             for at, run_of in chunks(texts, 1 << 22):
@@ -118,15 +132,15 @@ def _sets(docs: DataFrame, counts: np.ndarray, words: int, percent: int, buckets
                         keep = n - (percent * n + 99) // 100 + 1
                         if ids[at + i] is not None and sid not in seen:
                             seen.add(sid)
-                            rarest = s[np.lexsort((s, rank[(s >> U64(64 - COUNT_BITS)).astype(np.int64)]))[:keep]]
+                            rarest = s[np.lexsort((s, rank[(s >> shift).astype(np.int64)]))[:keep]]
                             asked.append(rarest)
-                    rows.append((0, ids[at + i], prints[at + i], n, sid, number, None, rarest.tobytes() if len(rarest) else None))
+                    rows.append((0, ids[at + i], prints[at + i], n, sid, number, None, rarest.tobytes() if len(rarest) else None, bitmap(s) if len(rarest) else None))
                 if asked:
                     keys, times = np.unique(np.concatenate(asked), return_counts=True)
                     own = times > 1  # known in this block to stand in several sets
                     for bucket, lo, hi in by_bucket(keys, buckets):
-                        rows.append((1, None, None, hi - lo, None, number, bucket, packed(keys[lo:hi]) + np.packbits(own[lo:hi]).tobytes()))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), *[pa.int64()] * 6, pa.binary()), strict=True)], names=["kind", "doc_id", "print", "n", "sid", "block", "bucket", "payload"])
+                        rows.append((1, None, None, hi - lo, None, number, bucket, packed(keys[lo:hi]) + np.packbits(own[lo:hi]).tobytes(), None))
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), *[pa.int64()] * 6, pa.binary(), pa.list_(pa.int64())), strict=True)], names=["kind", "doc_id", "print", "n", "sid", "block", "bucket", "payload", "bitmap"])
                 number += 1
 
     return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text"), "text").mapInArrow(run, _SETS)
@@ -165,21 +179,39 @@ def _shared(sets: DataFrame) -> DataFrame:
     return own.groupBy("block").cogroup(answers.select("block", "bucket", "n", "answer").groupBy("block")).applyInPandas(pick, "token long, sid long, n long, pos long")
 
 
+def _among(wanted: DataFrame, col: str):
+    """A filter of fixed size (1 MB) that lets all rows pass whose col is wanted, and few others while those are few."""
+    place = F.pmod(F.xxhash64(col), F.lit(WANTED))
+    words = wanted.select(place.alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p & 63 AS INT))")).alias("b"))
+    table_ = np.zeros(WANTED // 64, np.int64)
+    for r in words.collect():  # at most WANTED / 64 rows
+        table_[r["w"]] = r["b"]
+    held = wanted.sparkSession.sparkContext.broadcast(table_.view(U64))
+
+    @F.pandas_udf("boolean")
+    def may_be(p: pd.Series) -> pd.Series:
+        x = p.to_numpy(np.int64)
+        return pd.Series((held.value[x >> 6] >> (x & 63).astype(U64) & U64(1)).astype(bool))
+
+    return may_be(place)
+
+
 def _linked(docs: DataFrame, classes: DataFrame, pairs: DataFrame, words: int, percent: int) -> DataFrame:
     """Of candidate pairs (a, b) of sets those whose whole texts are alike."""
-    needed = pairs.select(F.col("a").alias("sid")).unionByName(pairs.select(F.col("b").alias("sid"))).distinct()
-    texts = needed.join(classes.select("sid", "rep", "print"), "sid").join(
-        docs.select(F.col("doc_id").cast("long").alias("rep"), F.xxhash64("text").alias("print"), F.col("text").cast("binary").alias("text")).dropDuplicates(["rep", "print"]), ["rep", "print"]
-    )
+    ids = pairs.select(F.col("a").alias("sid")).unionByName(pairs.select(F.col("b").alias("sid"))).distinct()
+    needed = staged(docs.sparkSession, ids.join(classes.select("sid", "rep", "print"), "sid"), "needed")
+    held = docs.select(F.col("doc_id").cast("long").alias("rep"), F.xxhash64("text").alias("print"), F.col("text").cast("binary").alias("text")).where(_among(needed, "print"))
+    texts = needed.join(held, ["rep", "print"]).dropDuplicates(["sid"])
     both = pairs.join(texts.select(F.col("sid").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("sid").alias("b"), F.col("text").alias("tb")), "b")
 
     def check(batches):
         for b in batches:
             x, y, ta, tb = (b.column(k).to_pylist() for k in ("a", "b", "ta", "tb"))
-            ok = []
-            for i in range(0, len(x), 64):
-                sa, sb = sets_of(ta[i : i + 64], words), sets_of(tb[i : i + 64], words)
-                ok += [alike(p, q, percent) for p, q in zip(sa, sb, strict=True)]
+            texts = dict(zip(x + y, ta + tb, strict=True))
+            held = {}
+            for first, some in chunks(texts.values()):
+                held |= zip(list(texts)[first : first + len(some)], sets_of(some, words), strict=True)
+            ok = [alike(held[p], held[q], percent) for p, q in zip(x, y, strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array([v for v, o in zip(x, ok, strict=True) if o], pa.int64()), pa.array([v for v, o in zip(y, ok, strict=True) if o], pa.int64())], names=["a", "b"])
 
     return both.select("a", "b", "ta", "tb").mapInArrow(check, "a long, b long")
@@ -190,7 +222,8 @@ def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     docs = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"))
     sizes = docs.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0
     buckets = max(8, int(sizes // (1 << 24)))
-    rows = staged(spark, _sets(docs, _counts(docs, words), words, percent, buckets), "sets")
+    bits = int(np.clip(round(np.log2(max(sizes, 1) / 192)), 14, MOST_BITS))  # some 32 shingles for each count
+    rows = staged(spark, _sets(docs, _counts(docs, words, bits), words, percent, buckets), "sets")
     members = rows.where("kind = 0").select("doc_id", "print", "n", "sid")
     found = docs.where("doc_id IS NOT NULL")
     classes = staged(spark, members.where("n > 0 AND doc_id IS NOT NULL").groupBy("sid").agg(F.min(F.struct("doc_id", "print", "n")).alias("x")).select("sid", F.col("x.doc_id").alias("rep"), "x.print", "x.n"), "classes")
@@ -199,25 +232,38 @@ def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     least = lambda n, m: F.ceil((F.lit(percent) * (F.col(n) + F.col(m))) / F.lit(100 + percent) - 1e-9)  # noqa: E731  what linked sets must share
     edges = None
     labelled = shared.select("token", "sid", "n", "pos", F.col("sid").alias("comp"))
-    for _ in range(rounds):
-        leaders = labelled.groupBy("token").agg(F.min(F.struct("comp", "sid", "n")).alias("l"), F.max("comp").alias("top")).where("l.comp < top").select("token", F.col("l.sid").alias("to"), F.col("l.comp").alias("to_comp"), F.col("l.n").alias("m"))
+    maps = rows.where("bitmap IS NOT NULL").groupBy("sid").agg(F.first("bitmap").alias("m"), F.first("n").alias("n"))
+    lacking = lambda own, other: F.aggregate(F.zip_with(own, other, lambda x, y: F.bit_count(x.bitwiseAND(F.bitwise_not(y)))), F.lit(0), lambda t, x: t + x)
+    shared_most = F.least(F.col("na") - lacking("ma", "mb"), F.col("nb") - lacking("mb", "ma"))  # what two sets can share by their bitmaps
+    for r in range(rounds):
+        pick = F.max if r % 2 else F.min  # another leader each time
+        leaders = labelled.groupBy("token").agg(pick(F.struct("comp", "sid", "n")).alias("l"), F.min("comp").alias("low"), F.max("comp").alias("top")).where("low < top").select("token", F.col("l.sid").alias("to"), F.col("l.comp").alias("to_comp"), F.col("l.n").alias("m"))
         near = labelled.join(leaders, "token").where((F.col("comp") != F.col("to_comp")) & ~apart(F.col("n"), F.col("m"))).groupBy("sid", "to").agg(F.count("*").alias("k"))
         best = near.groupBy("sid").agg(F.max(F.struct("k", "to")).alias("x")).select(F.col("sid").alias("a"), F.col("x.to").alias("b"))
-        new = staged(spark, _linked(found, classes, staged(spark, best, "pairs"), words, percent), "edges")
+        both = best.join(maps.select(F.col("sid").alias("a"), F.col("m").alias("ma"), F.col("n").alias("na")), "a").join(maps.select(F.col("sid").alias("b"), F.col("m").alias("mb"), F.col("n").alias("nb")), "b")
+        likely = staged(spark, both.where(shared_most >= least("na", "nb")).select("a", "b"), "pairs")
+        new = staged(spark, _linked(found, classes, likely, words, percent), "edges")
         edges = new if edges is None else edges.unionByName(new)
         labels = components(spark, edges)
         labelled = staged(spark, _labelled(shared, labels), "labelled")
     # the matrix of shingles and groups, for shingles that stand in several groups
     several = labelled.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("token")
     mixed = staged(spark, labelled.join(several, "token"), "mixed")
-    matrix = mixed.groupBy("token", "comp").agg(F.min("n").alias("lo"), F.max("n").alias("hi"), F.max(F.col("n") - F.col("pos")).alias("rest"))
-    asking = mixed.join(matrix.withColumnRenamed("comp", "other"), "token").where(
-        (F.col("comp") != F.col("other")) & (percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n"))
-        & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= F.ceil(F.lit(percent) * (F.col("n") + F.greatest("lo", F.ceil(F.lit(percent) * F.col("n") / 100 - 1e-9))) / F.lit(100 + percent) - 1e-9))
-    )
-    opened = asking.select("token", "other", F.col("comp").alias("own"), F.col("sid").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa")).where(F.col("own") < F.col("other"))
-    inside = mixed.select("token", F.col("comp").alias("other"), F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
-    pairs = opened.join(inside, ["token", "other"]).where(~apart(F.col("na"), F.col("nb")) & (F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= least("na", "nb"))).select("a", "b").distinct()
+    fewest = F.greatest("lo", F.ceil(F.lit(percent) * F.col("n") / 100 - 1e-9))  # sizes of the group's sets that could be linked
+    wanted = F.ceil(F.lit(percent) * (F.col("n") + fewest) / F.lit(100 + percent) - 1e-9)
+    entry = (F.min("n").alias("lo"), F.max("n").alias("hi"), F.max(F.col("n") - F.col("pos")).alias("rest"))
+    fits = (F.col("comp") < F.col("other")) & (percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n")) & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= wanted)
+    ranges = mixed.groupBy("token", "comp").agg(*entry).withColumnRenamed("comp", "other")
+    open_ = staged(spark, mixed.join(ranges, "token").where(fits).select("token", "sid", "other"), "open")
+    # only for what is still open do the bitmaps come in: of the sets, and their union for each group
+    asks = mixed.join(open_.select("token", "sid").distinct(), ["token", "sid"], "left_semi")
+    asked = mixed.join(open_.select("token", F.col("other").alias("comp")).distinct(), ["token", "comp"], "left_semi").select(*asks.columns)
+    mixed = staged(spark, asks.unionByName(asked).distinct().join(maps.drop("n"), "sid"), "active")
+    matrix = mixed.groupBy("token", "comp").agg(*entry, F.array(*[F.bit_or(F.col("m")[k]) for k in range(BITMAP)]).alias("u")).withColumnRenamed("comp", "other")
+    opened = mixed.join(matrix, "token").where(fits & (F.col("n") - lacking("m", "u") >= wanted)).select("other", F.col("sid").alias("a"), F.col("n").alias("na"), F.col("m").alias("ma")).dropDuplicates(["other", "a"])
+    inside = mixed.select(F.col("comp").alias("other"), F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("m").alias("mb")).dropDuplicates(["b"])
+    # an opened group's sets are each compared once with the set that asks
+    pairs = opened.join(inside, "other").where(~apart(F.col("na"), F.col("nb")) & (shared_most >= least("na", "nb"))).select("a", "b")
     new = staged(spark, _linked(found, classes, staged(spark, pairs, "pairs"), words, percent), "edges")
     labels = components(spark, edges.unionByName(new)) if not new.isEmpty() else labels
     of = classes.join(labels.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "rep", F.coalesce("comp", "sid").alias("comp"))
