@@ -31,9 +31,10 @@ def prefix_counts(seeds: DataFrame, order: list[str], depths) -> DataFrame:
     return rolled.select(depth.cast("int").alias("depth"), *names, "n").where(F.col("depth").isin(*map(int, depths)))
 
 
-def plausible_counts(model: Model, candidates: DataFrame, seeds: DataFrame) -> DataFrame:
-    """candidates (with omega) and plausible: how many seeds could have given them, for omega known with the candidate."""
-    omegas = [r[0] for r in candidates.select("omega").distinct().collect()]  # at most m
+def plausible_counts(model: Model, candidates: DataFrame, seeds: DataFrame, omegas=None) -> DataFrame:
+    """candidates (with omega) and plausible: how many seeds could have given them, for omega known with the candidate.
+    omegas: those that candidates may have; looked up where they aren't told."""
+    omegas = omegas or [r[0] for r in candidates.select("omega").distinct().collect()]  # at most m
     order = [model.schema.names[i] for i in model.graph.order]
     out = None
     for w in sorted(omegas):
@@ -41,8 +42,7 @@ def plausible_counts(model: Model, candidates: DataFrame, seeds: DataFrame) -> D
         if not names:  # every seed is plausible: no join
             one = some.crossJoin(F.broadcast(seeds.agg(F.count("*").alias("plausible"))))
         else:
-            # seeds none of whose prefixes is asked for need no count
-            index = seeds.join(some.select(*names).distinct(), names, "left_semi").groupBy(*names).agg(F.count("*").alias("plausible"))
+            index = seeds.groupBy(*names).agg(F.count("*").alias("plausible"))  # combined before it is shuffled
             one = some.join(index, names, "left").withColumn("plausible", F.coalesce("plausible", F.lit(0)))
         one = one.select(*candidates.columns, F.col("plausible").cast("long").alias("plausible"))
         out = one if out is None else out.unionByName(one)

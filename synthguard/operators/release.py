@@ -27,7 +27,7 @@ def judged(model: Model, seeds: DataFrame, params: DeniabilityParams, omega, sal
             depth = depth + F.when(same, 1).otherwise(0)
         counted = mixture_counts(model, cands.join(own, "cand_id").withColumn("depth", depth).drop("_seed"), seeds, omega, params.gamma).drop("depth", "bucket")
     else:
-        counted = plausible_counts(model, cands, seeds)
+        counted = plausible_counts(model, cands, seeds, [omega] if isinstance(omega, int) else sorted(set(omega)))
     if params.max_plausible is not None or params.max_check is not None:
         counted = capped(counted, n, params.max_plausible or n, params.max_check or n, salt)
     return deterministic(counted, params.k) if test == "deterministic" else randomized(counted, params.k, params.eps0, salt)
