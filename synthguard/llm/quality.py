@@ -75,18 +75,20 @@ class Model:
 def dual_descent(rows: list[np.ndarray], scale: np.ndarray, y: np.ndarray, cost: float, epochs: int, seed: int = 1) -> tuple[np.ndarray, float]:
     """w and b of the L2-regularised hinge loss; row i is scale[rows[i]] at unit length with a constant 1; y in -1, 1."""
     w, b = np.zeros(len(scale)), 0.0
-    x = [scale[f] / np.sqrt(max((scale[f] ** 2).sum(), 1e-12)) for f in rows]
-    size = np.array([(v**2).sum() + 1 for v in x])
+    # a row's values are looked up when it is its turn: holding them would take several times the memory of the rows
+    short = np.array([1 / np.sqrt(max((scale[f] ** 2).sum(), 1e-12)) for f in rows])
+    size = np.array([(scale[f] ** 2).sum() for f in rows]) * short**2 + 1
     alpha, order = np.zeros(len(rows)), np.random.default_rng(seed)
     for _ in range(epochs):
         most = 0.0
         for i in order.permutation(len(rows)):
-            slack = y[i] * (w[rows[i]] @ x[i] + b) - 1
+            x = scale[rows[i]] * short[i]
+            slack = y[i] * (w[rows[i]] @ x + b) - 1
             now = min(max(alpha[i] - slack / size[i], 0.0), cost)
             step = (now - alpha[i]) * y[i]
             if step:
                 most = max(most, abs(step))
-                w[rows[i]] += step * x[i]
+                w[rows[i]] += step * x
                 b += step
                 alpha[i] = now
         if most < 1e-3 * cost:
