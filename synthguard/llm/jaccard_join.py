@@ -253,12 +253,13 @@ def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     wanted = F.ceil(F.lit(percent) * (F.col("n") + fewest) / F.lit(100 + percent) - 1e-9)
     entry = (F.min("n").alias("lo"), F.max("n").alias("hi"), F.max(F.col("n") - F.col("pos")).alias("rest"))
     fits = (F.col("comp") < F.col("other")) & (percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n")) & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= wanted)
-    ranges = mixed.groupBy("token", "comp").agg(*entry).withColumnRenamed("comp", "other")
-    open_ = staged(spark, mixed.join(ranges, "token").where(fits).select("token", "sid", "other"), "open")
+    # rows whose rest is too short for any size and any rest that their shingle has cannot open a group or be opened
+    limits = mixed.groupBy("token").agg(*entry)
+    near = mixed.join(limits, "token").where((percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n")) & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= wanted)).select(*mixed.columns)
+    near = staged(spark, near, "near")
+    several = near.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("token")
     # only for what is still open do the bitmaps come in: of the sets, and their union for each group
-    asks = mixed.join(open_.select("token", "sid").distinct(), ["token", "sid"], "left_semi")
-    asked = mixed.join(open_.select("token", F.col("other").alias("comp")).distinct(), ["token", "comp"], "left_semi").select(*asks.columns)
-    mixed = staged(spark, asks.unionByName(asked).distinct().join(maps.drop("n"), "sid"), "active")
+    mixed = staged(spark, near.join(several, "token").join(maps.drop("n"), "sid"), "active")
     matrix = mixed.groupBy("token", "comp").agg(*entry, F.array(*[F.bit_or(F.col("m")[k]) for k in range(BITMAP)]).alias("u")).withColumnRenamed("comp", "other")
     opened = mixed.join(matrix, "token").where(fits & (F.col("n") - lacking("m", "u") >= wanted)).select("other", F.col("sid").alias("a"), F.col("n").alias("na"), F.col("m").alias("ma")).dropDuplicates(["other", "a"])
     inside = mixed.select(F.col("comp").alias("other"), F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("m").alias("mb")).dropDuplicates(["b"])
