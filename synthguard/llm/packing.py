@@ -34,7 +34,8 @@ _SCHEMA = ", ".join(f"{n} long" for n in _NAMES)
 class CachedTokenizer:
     """Ids of many texts, each distinct word encoded once. Words are told apart by 64-bit hashes.
 
-    New words are encoded in runs, with a mark between them that stands in none of them and has an id of its own.
+    New words are encoded in runs, with a mark between them that has an id of its own. Words that hold the mark once they are
+    normalised, and runs whose ids do not have one mark between every two words, are encoded word by word.
     """
 
     MARK = "`"
@@ -51,19 +52,29 @@ class CachedTokenizer:
         self.known, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
 
+    def _has_mark(self, word: str) -> bool:
+        """Whether the mark stands in the word as given or as normalised (NFC makes it of U+1FEF); of ASCII words only as given, a
+        normaliser that makes it of those is told by the count of marks."""
+        normalizer = self.tokenizer.normalizer
+        return self.MARK in word or (normalizer is not None and not word.isascii() and self.MARK in normalizer.normalize_str(word))
+
     def _encoded(self, raw: list[bytes], run: int = 2000) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the words in a row, and how many each has."""
         words = [w.decode("utf-8", "replace") for w in raw]
         out = [np.zeros(0, np.uint32)] * len(words)
-        plain = [i for i, w in enumerate(words) if self.mark is not None and self.MARK not in w]
+        plain = [] if self.mark is None else [i for i, w in enumerate(words) if not self._has_mark(w)]
+        alone = set(range(len(words))).difference(plain)
         joint = f" {self.MARK} "
         for k in range(0, len(plain), run):
             lot = plain[k : k + run]
             ids = np.array(self.tokenizer.encode_batch_fast([joint.join([words[i] for i in lot])], add_special_tokens=False)[0].ids, np.uint32)
             cuts = np.flatnonzero(ids == self.mark)
+            if len(cuts) != len(lot) - 1:
+                alone.update(lot)
+                continue
             for i, x, y in zip(lot, [0, *(cuts + 1).tolist()], [*cuts.tolist(), len(ids)], strict=True):
                 out[i] = ids[x:y]
-        for i in set(range(len(words))).difference(plain):
+        for i in alone:
             out[i] = np.array(self.tokenizer.encode(words[i], add_special_tokens=False).ids, np.uint32)
         sizes = np.fromiter(map(len, out), np.int64, len(out))
         return (np.concatenate(out) if out else np.zeros(0, np.uint32)), sizes

@@ -284,6 +284,20 @@ def test_packing(spark, docs, empty):
     assert cost[p.level_for(3)] == min(cost.values())
 
 
+def test_packing_of_words_that_normalise_to_the_mark():
+    path = public_tokenizers.path("word_bpe_49k.json")
+    texts = ["abc \u1fef x\u1fefy def", "\u1fef", "a ` b\u1fef``\u1fef c", "\u1f70 \u1fbd plain", "", "\u0301 e\u0301 \u2000\u1fef"]
+    coder = packing.CachedTokenizer(path)
+    want = [coder.tokenizer.encode(t, add_special_tokens=False).ids for t in texts]
+    ids, sizes = coder.encode([t.encode() for t in texts])
+    assert sizes.tolist() == list(map(len, want)) and ids.tolist() == sum(want, [])
+    # a run with other marks than those between its words
+    coder = packing.CachedTokenizer(path)
+    coder._has_mark = lambda word: False
+    ids, sizes = coder.encode([t.encode() for t in texts])
+    assert sizes.tolist() == list(map(len, want)) and ids.tolist() == sum(want, [])
+
+
 def test_language_model(spark, docs, empty):
     fold = lambda i: i is None or zlib.crc32(str(i).encode()) % 7 == 2
     tokens = [(i, [*re.findall(r"[^\x20\x09-\x0D]+", (t or "").translate(FOLD)), None]) for i, t, *_ in ROWS]
