@@ -551,17 +551,17 @@ def classifier_table(spark, sf_dir):
 
 
 def private_classifier_table(spark, sf_dir):
-    """Linear classifiers on reals without and with privacy, and without it on marginals and synthetics."""
+    """Linear classifiers on reals without and with privacy, and without it on marginals and every kind of synthetics."""
     real, test = split_of(spark, sf_dir, "S").cache(), split_of(spark, sf_dir, "test").cache()
     data = kinds(spark, sf_dir)
     rows = []
     for loss in ("lr", "svm"):
-        lam = learners.choose_lambda(real, test, OL, "netc", loss, (1e-3, 1e-5), steps=12)
-        fit = lambda df, how=None, loss=loss, lam=lam: float(learners.accuracy(learners.linear(learners.linear_weights(df, OL, "netc", loss, lam, how, 1.0, steps=15), OL, "netc"), test, "netc"))
+        lam = learners.choose_lambda(real, test, OL, "netc", loss)
+        fit = lambda df, how=None, loss=loss, lam=lam: float(learners.accuracy(learners.linear(learners.linear_weights(df, OL, "netc", loss, lam, how, 1.0), OL, "netc"), test, "netc"))
         rows += [("reals", loss, "none", fit(real)), ("reals", loss, "output", fit(real, "output")), ("reals", loss, "objective", fit(real, "objective"))]
-        rows += [(k, loss, "none", fit(data[k])) for k in ("marginals", "omega 9")]
-    real.unpersist()
-    test.unpersist()
+        rows += [(k, loss, "none", fit(df)) for k, df in data.items() if k != "reals"]
+    for df in (real, test, *data.values()):
+        df.unpersist()
     return spark.createDataFrame(rows, "training string, loss string, privacy string, accuracy double")
 
 
