@@ -45,3 +45,13 @@ def test_private_classifier_table_is_whole(spark, monkeypatch):
     cases = [("reals", "none"), ("reals", "output"), ("reals", "objective"), *[(k, "none") for k in names[1:]]]
     assert got == {(k, loss, how) for k, how in cases for loss in ("lr", "svm")}
     assert {lam for _, lam, *_ in asked} == {1e-3, 1e-4, 1e-5, 1e-6} and all(steps == 200 for *_, steps in asked)
+
+
+@pytest.mark.parametrize("sizes", [(90, 600), (600, 90), (90, 90)])
+def test_game_is_even_on_both_sides_of_the_cut(spark, monkeypatch, sizes):
+    seen = {}
+    count = lambda df: {r["_real"]: r["n"] for r in df.groupBy("_real").agg(F.count("*").alias("n")).collect()}
+    monkeypatch.setattr(learners, "fit", lambda kind, df, *_: seen.update(train=count(df)))
+    monkeypatch.setattr(learners, "accuracy", lambda model, df, target: seen.update(test=count(df)))
+    learners.game(tiny_rows(spark, sizes[0], 3), tiny_rows(spark, sizes[1], 4), TINY, "tree", "g")
+    assert seen == {"train": {0: 60, 1: 60}, "test": {0: 30, 1: 30}}
