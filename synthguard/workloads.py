@@ -482,10 +482,12 @@ def _tv_boxplot_sql():
     return f"SELECT {q} FROM ({_tv_sql(True)})"
 
 
-def kinds(spark, sf_dir) -> dict[str, DataFrame]:
-    """The data sets that are compared: other reals, marginals, and synthetics by omega."""
-    model, seeds = learned_model(spark, sf_dir), _seeds(spark, sf_dir)
-    out = {"reals": split_of(spark, sf_dir, "other"), "marginals": synth.synthesize(synth.marginal_model(split_of(spark, sf_dir, "P"), OL), seeds, len(OL), "marginal")}
+def kinds(spark, sf_dir, eps: float = 1.0) -> dict[str, DataFrame]:
+    """The data sets that are compared: other reals, eps-private marginals, and synthetics of an eps-private model by omega."""
+    model, seeds = learned_model(spark, sf_dir, eps, "kinds"), _seeds(spark, sf_dir)
+    # every attribute's counts are noised, so the marginals pay as the model's parameters do
+    marginals = synth.marginal_model(split_of(spark, sf_dir, "P"), OL, calibrate(eps, len(OL), 2.0**-30)[1], "kinds-marginals")
+    out = {"reals": split_of(spark, sf_dir, "other"), "marginals": synth.synthesize(marginals, seeds, len(OL), "marginal")}
     cases = {**{str(w): w for w in OMEGAS}, "9-11": RANDOM[0], "5-11": RANDOM[1]}
     for name, w in cases.items():
         judged = release.judged(model, split_of(spark, sf_dir, "S"), DeniabilityParams(50, 4.0), w, f"kinds-{name}", seeds)

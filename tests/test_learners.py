@@ -55,3 +55,25 @@ def test_game_is_even_on_both_sides_of_the_cut(spark, monkeypatch, sizes):
     monkeypatch.setattr(learners, "accuracy", lambda model, df, target: seen.update(test=count(df)))
     learners.game(tiny_rows(spark, sizes[0], 3), tiny_rows(spark, sizes[1], 4), TINY, "tree", "g")
     assert seen == {"train": {0: 60, 1: 60}, "test": {0: 30, 1: 30}}
+
+
+def test_kinds_are_private(spark, monkeypatch):
+    """The tables that kinds() draws from are those of the private model and private marginals, and differ from the un-noised."""
+    made = []
+    rng = np.random.default_rng(1)
+    rows = [(str(i), *(int(rng.integers(0, a.card)) for a in workloads.OL.attributes)) for i in range(300)]
+    df = spark.createDataFrame(rows, "rk string, " + ", ".join(f"{n} int" for n in workloads.OL.names)).coalesce(1).cache()
+    monkeypatch.setattr(workloads, "split_of", lambda *_: df)
+    monkeypatch.setattr(workloads.synth, "synthesize", lambda model, seeds, *_: (made.append(model), seeds)[1])
+    monkeypatch.setattr(workloads.release, "judged", lambda model, seeds, p, w, salt, drawn: (made.append(model), drawn.withColumn("passed", F.lit(True)))[1])
+    data = workloads.kinds(spark, "")
+    assert set(data) == {"reals", "marginals", *[f"omega {w}" for w in (11, 10, 9, "9-11", "5-11")]}
+    marginals, model = made[0], made[1]
+    table = lambda m: {(r["attr"], r["config"]): r["probs"] for r in m.table.collect()}
+    want = workloads.learned_model(spark, "", 1.0, "kinds")
+    assert all(m is model for m in made[1:]) and model.graph == want.graph and table(model) == table(want)
+    assert table(model) != table(workloads.learned_model(spark, ""))
+    noise, plain = table(marginals), table(workloads.synth.Model(workloads.OL, marginals.graph, workloads.params.learn_parameters(df, workloads.OL, marginals.graph)))
+    assert set(noise) == set(plain) and all(noise[k] != plain[k] for k in plain)
+    for d in data.values():
+        d.unpersist()
