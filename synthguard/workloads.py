@@ -21,7 +21,7 @@ ORDER = ("reg", "nat", "seg", "op", "rf", "ls", "disc", "qty", "pband", "uband",
 _PARENTS = {"nat": ("reg",), "uband": ("qty", "pband"), "netc": ("pband", "disc")}
 #: The fixed graph of the exact checks, which does not depend on the learner.
 FIXED = Graph(tuple(tuple(OL.index(p) for p in _PARENTS.get(a.name, ())) for a in OL.attributes), tuple(OL.index(n) for n in ORDER))
-OMEGAS, RANDOM = (11, 10, 9), ((9, 10, 11), (5, 6, 7, 8, 9, 10, 11))
+RANDOM = ((9, 10, 11), (5, 6, 7, 8, 9, 10, 11))
 SALT = "release"
 
 
@@ -32,27 +32,28 @@ def micro(spark: SparkSession, sf_dir: str, view: View = ORDERLINE) -> DataFrame
     return prep.clean(view.build(spark, sf_dir), view.schema)
 
 
-def split_of(spark: SparkSession, sf_dir: str, which: str, view: View = ORDERLINE) -> DataFrame:
-    return prep.part(micro(spark, sf_dir, view), which)
+def split_of(spark: SparkSession, sf_dir: str, which: str, view: View = ORDERLINE, split: str = prep.SALT) -> DataFrame:
+    return prep.part(micro(spark, sf_dir, view), which, salt=split)
 
 
 def fixed_model(spark: SparkSession, sf_dir: str) -> synth.Model:
     return synth.Model(OL, FIXED, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, FIXED)))
 
 
-def learned_model(spark: SparkSession, sf_dir: str, eps: float | None = None, salt: str = "model", min_gain: float = 0.02) -> synth.Model:
+def learned_model(spark: SparkSession, sf_dir: str, eps: float | None = None, salt: str = "model", min_gain: float = 0.02, view: View = ORDERLINE, split: str = prep.SALT) -> synth.Model:
     """Structure from T and parameters from P; with eps, both private and the parameters drawn from their posterior."""
+    schema, t, p = view.schema, split_of(spark, sf_dir, "T", view, split), split_of(spark, sf_dir, "P", view, split)
     if eps is None:
-        graph = structure.learn(split_of(spark, sf_dir, "T"), OL, min_gain=min_gain)
-        return synth.Model(OL, graph, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, graph)))
-    e_h, e_p = calibrate(eps, len(OL), 2.0**-30)
-    graph = structure.learn(split_of(spark, sf_dir, "T"), OL, min_gain=min_gain, eps_entropy=e_h, salt=f"{salt}-structure")
-    return synth.Model(OL, graph, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, graph, estimator="sampled", eps=e_p, salt=f"{salt}-parameters")))
+        graph = structure.learn(t, schema, min_gain=min_gain)
+        return synth.Model(schema, graph, synth.settled(params.learn_parameters(p, schema, graph)))
+    e_h, e_p = calibrate(eps, len(schema), 2.0**-30)
+    graph = structure.learn(t, schema, min_gain=min_gain, eps_entropy=e_h, salt=f"{salt}-structure")
+    return synth.Model(schema, graph, synth.settled(params.learn_parameters(p, schema, graph, estimator="sampled", eps=e_p, salt=f"{salt}-parameters")))
 
 
-def _seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _seeds(spark: SparkSession, sf_dir: str, view: View = ORDERLINE, split: str = prep.SALT) -> DataFrame:
     """Every row of S once, as its own candidate's seed."""
-    return split_of(spark, sf_dir, "S").withColumn("cand_id", F.col("rk"))
+    return split_of(spark, sf_dir, "S", view, split).withColumn("cand_id", F.col("rk"))
 
 
 def _values(df: DataFrame, schema: Schema) -> DataFrame:
@@ -482,18 +483,27 @@ def _tv_boxplot_sql():
     return f"SELECT {q} FROM ({_tv_sql(True)})"
 
 
-def kinds(spark, sf_dir, eps: float = 1.0) -> dict[str, DataFrame]:
-    """The data sets that are compared: other reals, eps-private marginals, and synthetics of an eps-private model by omega."""
-    model, seeds = learned_model(spark, sf_dir, eps, "kinds"), _seeds(spark, sf_dir)
+def kinds(spark, sf_dir, eps: float = 1.0, view: View = ORDERLINE, run: int = 0) -> dict[str, DataFrame]:
+    """The data sets that are compared: other reals, eps-private marginals, and synthetics of an eps-private model by omega (all
+    attributes, one and two less, and two random choices). Each run deals the rows anew and learns, noises and draws anew."""
+    schema, split, mark = view.schema, run_salt(run), f"-{run}" if run else ""
+    m = len(schema)
+    model, seeds = learned_model(spark, sf_dir, eps, f"kinds{mark}", 0.02, view, split), _seeds(spark, sf_dir, view, split)
     # every attribute's counts are noised, so the marginals pay as the model's parameters do
-    marginals = synth.marginal_model(split_of(spark, sf_dir, "P"), OL, calibrate(eps, len(OL), 2.0**-30)[1], "kinds-marginals")
-    out = {"reals": split_of(spark, sf_dir, "other"), "marginals": synth.synthesize(marginals, seeds, len(OL), "marginal")}
-    cases = {**{str(w): w for w in OMEGAS}, "9-11": RANDOM[0], "5-11": RANDOM[1]}
+    marginals = synth.marginal_model(split_of(spark, sf_dir, "P", view, split), schema, calibrate(eps, m, 2.0**-30)[1], f"kinds-marginals{mark}")
+    out = {"reals": split_of(spark, sf_dir, "other", view, split), "marginals": synth.synthesize(marginals, seeds, m, f"marginal{mark}")}
+    cases = {**{str(w): w for w in (m, m - 1, m - 2)}, **{f"{low}-{m}": tuple(range(low, m + 1)) for low in (m - 2, m - 6)}}
+    enough = seeds.count() >= 50
     for name, w in cases.items():
-        judged = release.judged(model, split_of(spark, sf_dir, "S"), DeniabilityParams(50, 4.0), w, f"kinds-{name}", seeds)
-        out[f"omega {name}"] = judged.where("passed")
+        # the mechanism releases nothing from fewer than k seeds
+        out[f"omega {name}"] = release.judged(model, split_of(spark, sf_dir, "S", view, split), DeniabilityParams(50, 4.0), w, f"kinds-{name}{mark}", seeds).where("passed") if enough else seeds.where("false")
     # each is read many times
-    return {k: v.select(*([c for c in ("rk", "cand_id") if c in v.columns][:1]), *OL.names).persist() for k, v in out.items()}
+    return {k: v.select(*([c for c in ("rk", "cand_id") if c in v.columns][:1]), *schema.names).persist() for k, v in out.items()}
+
+
+def run_salt(run: int) -> str:
+    """The salt of the split of one of several independent runs; run 0 has the split of all other queries."""
+    return f"{prep.SALT}-{run}" if run else prep.SALT
 
 
 def tv_synthetic(spark, sf_dir):
@@ -515,16 +525,20 @@ def _baselines_sql():
     return f"WITH {_v()}, {_part('P')}, {_part('test')} " + " UNION ALL ".join(parts)
 
 
-def model_error(spark, sf_dir):
-    """Errors of the model without noise and at epsilon 1 and 0.1, and of the marginals; improvement over the last."""
-    test = split_of(spark, sf_dir, "test")
-    base = predict.baselines(split_of(spark, sf_dir, "P"), test, OL).select("attr", (1 - F.col("marginal_accuracy")).alias("error"))
-    out = base.select(F.lit("marginals").alias("model"), "attr", "error", F.lit(0.0).alias("improvement"))
+def model_error(spark, sf_dir, models: int = 20):
+    """Errors of the model without noise and at epsilon 1 and 0.1, and of the marginals; improvement over the last. Those of an
+    epsilon are means over that many models, each learned with noise of its own."""
+    test = split_of(spark, sf_dir, "test").persist()
+    base = {r["attr"]: 1 - r["marginal_accuracy"] for r in predict.baselines(split_of(spark, sf_dir, "P"), test, OL).collect()}
+    rows = [("marginals", a, float(e), 0.0) for a, e in base.items()]
     for eps in (None, 1.0, 0.1):
-        e = predict.model_error(learned_model(spark, sf_dir, eps, f"error-{eps}"), test)
-        one = e.join(predict.relative_improvement(e, base), "attr").select(F.lit(f"eps {eps}").alias("model"), "attr", "error", "improvement")
-        out = out.unionByName(one)
-    return out
+        total, times = dict.fromkeys(base, 0.0), 1 if eps is None else models
+        for t in range(times):
+            for r in predict.model_error(learned_model(spark, sf_dir, eps, f"error-{eps}-{t}"), test).collect():
+                total[r["attr"]] += r["error"] / times
+        rows += [(f"eps {eps}", a, float(e), float((base[a] - e) / base[a]) if base[a] > 0 else 0.0) for a, e in total.items()]
+    test.unpersist()
+    return spark.createDataFrame(rows, "model string, attr string, error double, improvement double")
 
 
 def forest_accuracy(spark, sf_dir):
@@ -535,21 +549,30 @@ def forest_accuracy(spark, sf_dir):
     return spark.createDataFrame(rows, "attr string, forest double, model double")
 
 
-def classifier_table(spark, sf_dir):
-    """Accuracy on reals, and agreement with the classifier trained on reals, by classifier and training data."""
-    test = split_of(spark, sf_dir, "test").cache()
-    data = kinds(spark, sf_dir)
-    data["reals"] = split_of(spark, sf_dir, "S").persist()
-    rows = []
-    for c in ("tree", "rf", "adaboost"):
-        # the yardstick is trained on another real sample
-        yard = learners.fit(c, split_of(spark, sf_dir, "P"), OL, "netc")
-        for k, df in data.items():
-            a, g = learners.scores(learners.fit(c, df, OL, "netc"), yard, test, "netc")
-            rows.append((k, c, float(a), float(g)))
-    for df in (test, *data.values()):
-        df.unpersist()
-    return spark.createDataFrame(rows, "training string, classifier string, accuracy double, agreement double")
+def classifier_table(spark, sf_dir, runs: int = 5):
+    """Accuracy on reals, and agreement with the classifier trained on reals, by target, classifier and training data; means
+    over runs whose training and test rows are drawn anew. `runs` counts those that had rows to train on (few labelled documents
+    may leave nothing to release); without any, the measures are null."""
+    total: dict[tuple, list[float]] = {}
+    for view, target in ((ORDERLINE, "netc"), (DOCUMENT, "quality")):
+        for run in range(runs):
+            part = lambda which, view=view, run=run: split_of(spark, sf_dir, which, view, run_salt(run))
+            test, data = part("test").persist(), kinds(spark, sf_dir, 1.0, view, run)
+            data["reals"].unpersist()
+            data["reals"] = part("S").persist()
+            for c in ("tree", "rf", "adaboost"):
+                # the yardstick is trained on another real sample
+                yard = learners.fit(c, part("P"), view.schema, target)
+                for k, df in data.items():
+                    got = total.setdefault((target, k, c), [0.0, 0.0, 0])
+                    if df.isEmpty():
+                        continue
+                    for i, x in enumerate((*learners.scores(learners.fit(c, df, view.schema, target), yard, test, target), 1)):
+                        got[i] += x
+            for df in (test, *data.values()):
+                df.unpersist()
+    rows = [(*k, float(a / n) if n else None, float(g / n) if n else None, n) for k, (a, g, n) in total.items()]
+    return spark.createDataFrame(rows, "target string, training string, classifier string, accuracy double, agreement double, runs long")
 
 
 def private_classifier_table(spark, sf_dir):

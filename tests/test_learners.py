@@ -77,3 +77,37 @@ def test_kinds_are_private(spark, monkeypatch):
     assert set(noise) == set(plain) and all(noise[k] != plain[k] for k in plain)
     for d in data.values():
         d.unpersist()
+
+
+def test_model_error_is_the_mean_of_twenty_models(spark, monkeypatch):
+    salts = []
+    frame = lambda rows, names: spark.createDataFrame(rows, names)
+    monkeypatch.setattr(workloads, "split_of", lambda *_: spark.range(1))
+    monkeypatch.setattr(workloads.predict, "baselines", lambda *_: frame([("qty", 0.5)], "attr string, marginal_accuracy double"))
+    monkeypatch.setattr(workloads, "learned_model", lambda spark, sf_dir, eps, salt: (salts.append((eps, salt)), len(salts))[1])
+    monkeypatch.setattr(workloads.predict, "model_error", lambda model, test: frame([("qty", model / 100)], "attr string, error double"))
+    got = {r["model"]: (r["error"], r["improvement"]) for r in workloads.model_error(spark, "").collect()}
+    assert len(set(salts)) == len(salts) == 41 and [e for e, _ in salts] == [None] + [1.0] * 20 + [0.1] * 20
+    for name, mean in (("eps None", 0.01), ("eps 1.0", 0.115), ("eps 0.1", 0.315), ("marginals", 0.5)):
+        assert got[name] == pytest.approx((mean, (0.5 - mean) / 0.5))
+
+
+def test_classifier_table_averages_runs_of_both_targets(spark, monkeypatch):
+    asked = []
+    names = ["reals", "marginals", "omega 9"]
+
+    def kinds(spark, sf_dir, eps, view, run):
+        asked.append((view.schema.name, run))
+        return {k: spark.range(0 if (k, run) == ("omega 9", 4) else 1) for k in names}
+
+    monkeypatch.setattr(workloads, "kinds", kinds)
+    monkeypatch.setattr(workloads, "split_of", lambda *_: spark.range(1))
+    monkeypatch.setattr(learners, "fit", lambda *_: None)
+    monkeypatch.setattr(learners, "scores", lambda *_: (float(asked[-1][1]), 1.0))
+    got = workloads.classifier_table(spark, "").collect()
+    assert asked == [(v, r) for v in ("orderline_micro", "document_micro") for r in range(5)]
+    assert {(r["target"], r["training"], r["classifier"]) for r in got} == {(t, k, c) for t in ("netc", "quality") for k in names for c in ("tree", "rf", "adaboost")}
+    # a run without rows to train on counts in no mean
+    for r in got:
+        runs = 4 if r["training"] == "omega 9" else 5
+        assert (r["runs"], r["accuracy"], r["agreement"]) == (runs, pytest.approx((runs - 1) / 2), pytest.approx(1.0))
