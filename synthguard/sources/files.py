@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 import json
+import secrets
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from synthguard.operators import params as parameters
+from synthguard.operators import prep, release, structure, synth
+from synthguard.plans.budget import calibrate
 from synthguard.plans.schema import DeniabilityParams, Graph, Schema
 
 
@@ -53,3 +57,24 @@ def read_config(spark: SparkSession, path: str) -> dict:
     x = json.loads("\n".join(r[0] for r in spark.read.text(path).collect()))
     params = DeniabilityParams(x.get("k", 50), x.get("gamma", 4.0), x.get("eps0", 1.0), x.get("max_plausible"), x.get("max_check"))
     return x | {"params": params}
+
+
+def run_config(spark: SparkSession, path: str) -> int:
+    """The run that a configuration file describes: CSV and metadata (a schema as JSON) in, released records as CSV out; returns
+    how many. Beside what read_config names: eps of the model (1; null: no noise), omega (a number or a list; all attributes), n
+    candidates (as many as seeds), test, min_gain and salt (a secret; drawn anew unless told)."""
+    x = read_config(spark, path)
+    schema = Schema.from_json("\n".join(r[0] for r in spark.read.text(x["metadata"]).collect()))
+    salt, eps, m = x.get("salt") or secrets.token_hex(16), x.get("eps", 1.0), len(schema)
+    # every record counts on its own, equal ones too; kept, so that keys stay with their records
+    df = prep.clean(read_csv(spark, x["input"], schema), schema).withColumn("rk", F.monotonically_increasing_id().cast("string")).persist()
+    t, p, s = (prep.part(df, which, salt=f"{salt}-split") for which in ("T", "P", "S"))
+    e_h, e_p = calibrate(eps, m, 2.0**-30) if eps is not None else (None, None)
+    graph = structure.learn(t, schema, min_gain=x.get("min_gain", 0.02), eps_entropy=e_h, salt=f"{salt}-structure")
+    table = parameters.learn_parameters(p, schema, graph, estimator="mean" if eps is None else "sampled", eps=e_p, salt=f"{salt}-parameters")
+    out = release.release(synth.Model(schema, graph, synth.settled(table)), s, x["params"], x.get("n") or s.count(), x.get("omega", m), salt, x.get("test", "randomized")).persist()
+    write_release(out, schema, x["output"], "csv")
+    released = out.count()
+    out.unpersist()
+    df.unpersist()
+    return released

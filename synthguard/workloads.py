@@ -320,15 +320,20 @@ def _marginal_sample_sql():
 KS, GRID = (10, 25, 50, 100, 200), (5, 6, 7, 8, 9, 10)
 
 
-def pass_rate_grid(spark, sf_dir):
+def pass_rate_grid(spark, sf_dir, grid=GRID):
     """Share of candidates that pass the deterministic test, for every k and omega, with all rows as seeds."""
     m = len(OL)
-    index = deniability.prefix_counts(micro(spark, sf_dir), list(ORDER), [m - w for w in GRID])
+    index = deniability.prefix_counts(micro(spark, sf_dir), list(ORDER), [m - w for w in grid])
     rates = index.groupBy("depth").agg((F.sum(F.col("n") * F.col("n")) / F.sum("n")).alias("mean_plausible"), *[(F.sum(F.when(F.col("n") >= k, F.col("n")).otherwise(0)) / F.sum("n")).alias(f"k{k}") for k in KS])
     long = rates.select((F.lit(m) - F.col("depth")).cast("int").alias("omega"), "mean_plausible", F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.col(f"k{k}").alias("pass_rate")) for k in KS])).alias("x"))
     return long.select("omega", "x.k", "mean_plausible", "x.pass_rate")
 
 
+def pass_rate_whole_grid(spark, sf_dir):
+    """As pass_rate_grid, with omega up to the number of attributes, where every row is plausible; it has no SQL of its own."""
+    return pass_rate_grid(spark, sf_dir, range(GRID[0], len(OL) + 1))
+
+
 def _pass_rate_sql():
     m, parts = len(OL), []
     for w in GRID:
@@ -616,7 +621,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         attribute_profile, clean_counts, bucketized, split_sizes, entropies, correlations, noisy_entropies, merit_scores, learned_edges, wide_structure, cpt_counts, cpt_probs, noisy_cpt,
-        synth_candidates, marginal_sample, pass_rate_grid, plausible_counts, deterministic_release, randomized_verdicts, release_sample, mixture_release, pooled_release, definition_check,
+        synth_candidates, marginal_sample, pass_rate_grid, pass_rate_whole_grid, plausible_counts, deterministic_release, randomized_verdicts, release_sample, mixture_release, pooled_release, definition_check,
         release_budget_table, sensitivity_table, tv_single, tv_pairs, tv_boxplot, tv_synthetic, attribute_baselines, model_error, forest_accuracy, classifier_table, private_classifier_table,
         distinguishing_game, event_drift,
     )

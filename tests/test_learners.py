@@ -111,3 +111,31 @@ def test_classifier_table_averages_runs_of_both_targets(spark, monkeypatch):
     for r in got:
         runs = 4 if r["training"] == "omega 9" else 5
         assert (r["runs"], r["accuracy"], r["agreement"]) == (runs, pytest.approx((runs - 1) / 2), pytest.approx(1.0))
+
+
+def test_pass_rates_of_every_omega(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    rows = [(str(i), *(int(rng.integers(0, min(2, a.card))) for a in workloads.OL.attributes)) for i in range(120)]
+    df = spark.createDataFrame(rows, "rk string, " + ", ".join(f"{n} int" for n in workloads.OL.names))
+    monkeypatch.setattr(workloads, "micro", lambda *_: df)
+    got = {(r["omega"], r["k"]): (r["mean_plausible"], r["pass_rate"]) for r in workloads.QUERIES["pass_rate_whole_grid"](spark, "").collect()}
+    assert set(got) == {(w, k) for w in range(5, 12) for k in workloads.KS}
+    assert all(got[11, k] == (120.0, float(k <= 120)) for k in workloads.KS)
+    narrow = {(r["omega"], r["k"]): (r["mean_plausible"], r["pass_rate"]) for r in workloads.pass_rate_grid(spark, "").collect()}
+    assert narrow == {c: x for c, x in got.items() if c[0] < 11}
+
+
+@pytest.mark.parametrize("eps", [1.0, None])
+def test_run_of_a_configuration(spark, tmp_path, eps):
+    import json
+
+    from synthguard.sources import files
+
+    files.write_release(tiny_rows(spark), TINY, str(tmp_path / "in"), "csv")
+    (tmp_path / "meta.json").write_text(TINY.to_json())
+    # 0 candidates fail: all attributes are drawn anew, so every seed is plausible
+    x = {"k": 10, "gamma": 2.0, "eps": eps, "omega": 3, "n": 70, "test": "deterministic", "salt": "s", "input": str(tmp_path / "in"), "metadata": str(tmp_path / "meta.json"), "output": str(tmp_path / "out")}
+    (tmp_path / "run.json").write_text(json.dumps(x))
+    assert files.run_config(spark, str(tmp_path / "run.json")) == 70
+    back = files.read_csv(spark, x["output"], TINY)
+    assert back.count() == 70 and back.dropna().count() == 70
