@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from synthguard.llm.common import parts, table, text_or_empty
-from synthguard.llm.textkernel import NOT_ALNUM, U64, Words, chunks, mix, prefix_hash, runs_unique, span_hash
+from synthguard.llm.textkernel import NOT_ALNUM, U64, Words, chunks, mix, runs_unique
 
 #: Common words of English, French, German and Spanish: fixed values.
 ANCHORS = (

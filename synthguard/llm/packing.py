@@ -32,7 +32,8 @@ _SCHEMA = ", ".join(f"{n} long" for n in _NAMES)
 
 
 class CachedTokenizer:
-    """Ids of many texts, each distinct word encoded once. Words are told apart by 64-bit hashes.
+    """Ids of many texts, each distinct word encoded once. Words are looked up by 64-bit hashes and their bytes compared with those
+    that were encoded; a word whose hash is another word's is encoded on its own.
 
     New words are encoded in runs, with a mark between them that has an id of its own. Words that hold the mark once they are
     normalised, and runs whose ids do not have one mark between every two words, are encoded word by word.
@@ -40,10 +41,10 @@ class CachedTokenizer:
 
     MARK = "`"
 
-    def __init__(self, path: str, most_words: int = 2_000_000):
+    def __init__(self, path: str, most_words: int = 2_000_000, most_bytes: int = 1 << 26):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.most_words = Tokenizer.from_file(path), most_words
+        self.tokenizer, self.most_words, self.most_bytes = Tokenizer.from_file(path), most_words, most_bytes
         alone = self.tokenizer.encode(self.MARK, add_special_tokens=False).ids
         self.mark = alone[0] if len(alone) == 1 else None
         self._clear()
@@ -51,6 +52,8 @@ class CachedTokenizer:
     def _clear(self):
         self.known, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
+        self.word_at, self.word_size = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.bytes, self.filled = np.zeros(1 << 18, np.uint8), 0
 
     def _has_mark(self, word: str) -> bool:
         """Whether the mark stands in the word as given or as normalised (NFC makes it of U+1FEF); of ASCII words only as given, a
@@ -79,15 +82,41 @@ class CachedTokenizer:
         sizes = np.fromiter(map(len, out), np.int64, len(out))
         return (np.concatenate(out) if out else np.zeros(0, np.uint32)), sizes
 
-    def _learn(self, hashes: np.ndarray, places: np.ndarray, words: list[bytes]) -> None:
-        """hashes are sorted, and places tell where they go among the known."""
+    def _stored(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Where the ids of the words now stand, and how many each has."""
         ids, sizes = self._encoded(words)
         if self.used + len(ids) > len(self.ids):
             self.ids = np.concatenate((self.ids[: self.used], np.zeros(len(self.ids) + len(ids), np.uint32)))
         self.ids[self.used : self.used + len(ids)] = ids
         at = self.used + np.cumsum(sizes) - sizes
         self.used += len(ids)
-        self.known, self.at, self.size = np.insert(self.known, places, hashes), np.insert(self.at, places, at), np.insert(self.size, places, sizes)
+        return at, sizes
+
+    def _learn(self, hashes: np.ndarray, places: np.ndarray, words: list[bytes]) -> None:
+        """hashes are sorted, and places tell where they go among the known."""
+        at, sizes = self._stored(words)
+        raw = np.frombuffer(b"".join(words), np.uint8)
+        if self.filled + len(raw) > len(self.bytes):
+            self.bytes = np.concatenate((self.bytes[: self.filled], np.zeros(len(self.bytes) + len(raw), np.uint8)))
+        self.bytes[self.filled : self.filled + len(raw)] = raw
+        long = np.fromiter(map(len, words), np.int64, len(words))
+        word_at = self.filled + np.cumsum(long) - long
+        self.filled += len(raw)
+        put = lambda into, x: np.insert(into, places, x)
+        self.known, self.at, self.size, self.word_at, self.word_size = put(self.known, hashes), put(self.at, at), put(self.size, sizes), put(self.word_at, word_at), put(self.word_size, long)
+
+    def _same(self, buf: np.ndarray, start: np.ndarray, end: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Of the words buf[start:end] whether their bytes are those of the known words `at`."""
+        long = end - start
+        same = self.word_size[at] == long
+        some = np.flatnonzero(same)
+        n = long[some]
+        first = np.cumsum(n) - n
+        place = np.arange(n.sum())
+        other = self.bytes[place + np.repeat(self.word_at[at[some]] - first, n)] != buf[place + np.repeat(start[some] - first, n)]
+        if other.any():
+            same[some[np.unique(np.searchsorted(first, np.flatnonzero(other), "right") - 1)]] = False
+        return same
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in a row, and how many each text has."""
@@ -97,17 +126,21 @@ class CachedTokenizer:
     def _looked_up(self, buf: np.ndarray, start: np.ndarray, end: np.ndarray, hashes: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the words buf[start:end]; bounds: each text's first word, and one past the last."""
         distinct, first, which = np.unique(hashes, return_index=True, return_inverse=True)
-        if len(self.known) > self.most_words:
+        if len(self.known) > self.most_words or self.filled > self.most_bytes:
             self._clear()
         at = np.searchsorted(self.known, distinct)
         new = np.ones(len(distinct), bool)
         inside = at < len(self.known)
         new[inside] = self.known[at[inside]] != distinct[inside]
+        cut = lambda words: [buf[a:b].tobytes() for a, b in zip(start[words].tolist(), end[words].tolist(), strict=True)]
         if new.any():
-            raw = buf.tobytes()
-            self._learn(distinct[new], at[new], [raw[start[i] : end[i]] for i in first[new]])
+            self._learn(distinct[new], at[new], cut(first[new]))
             at = np.searchsorted(self.known, distinct)
-        size, place = self.size[at][which], self.at[at][which]
+        at = at[which]
+        size, place = self.size[at], self.at[at]
+        odd = np.flatnonzero(~self._same(buf, start, end, at)) if len(at) else at
+        if len(odd):  # their hashes are those of other words
+            place[odd], size[odd] = self._stored(cut(odd))
         ends = np.cumsum(size)
         total = int(ends[-1]) if len(ends) else 0
         # place of every id: its word's place in the store plus its rank in the word

@@ -12,7 +12,6 @@ import numpy as np
 
 U64 = np.uint64
 _GOLD, _M1, _M2 = U64(0x9E3779B97F4A7C15), U64(0xBF58476D1CE4E5B9), U64(0x94D049BB133111EB)
-_BASE = 0xD1342543DE82EF95  # odd
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -34,31 +33,44 @@ NOT_ALNUM[128:] = False
 for _a, _b in ((48, 58), (65, 91), (97, 123)):
     NOT_ALNUM[_a:_b] = False
 
-_powers: dict[str, np.ndarray] = {}
-
-
-def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """The base's powers 0..n-1 and their inverses modulo 2**64."""
-    if len(_powers.get("up", ())) < n:
-        size = max(1 << 16, 1 << (n - 1).bit_length())
-        for name, base in (("up", _BASE), ("down", pow(_BASE, -1, 1 << 64))):
-            x = np.full(size, base, U64)
-            x[0] = 1
-            _powers[name] = np.cumprod(x)
-    return _powers["up"][:n], _powers["down"][:n]
-
-
-def prefix_hash(buf: np.ndarray) -> np.ndarray:
-    """h of length n+1; span_hash() turns it into the hash of any span of buf."""
-    out = np.zeros(len(buf) + 1, U64)
-    np.cumsum(BYTE_VALUE[buf] * powers(len(buf))[0], out=out[1:])
-    return out
-
-
-def span_hash(h: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of buf[start:end], the same wherever the bytes stand."""
-    down = powers(len(h))[1]
-    return mix((h[end] - h[start]) * down[start] + (end - start).astype(U64) * _M2)
+_places = np.zeros(0, U64)
+
+
+def _place_values(n: int) -> np.ndarray:
+    """A number for each place 0..n-1 of a span; those of places below 2**16 are kept."""
+    global _places
+    if n <= len(_places):
+        return _places[:n]
+    made = mix(np.arange(max(n, 1 << 10), dtype=U64) * _M1 + _GOLD)
+    if n <= 1 << 16:
+        _places = made
+    return made[:n]
+
+
+def span_hash(buf: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the spans buf[start:end], which follow each other, hold a byte at least and do not overlap.
+
+    A hash is the mixed sum of one number for each byte, made of its value and its place in the span by a function that is not
+    linear. A sum of powers modulo 2**64 would give one hash to many pairs of regular texts whatever its base.
+    """
+    if not len(start):
+        return np.zeros(0, U64)
+    origin = np.zeros(len(buf), np.int64)
+    origin[start] = start
+    place = np.arange(len(buf))
+    place -= np.maximum.accumulate(origin, out=origin)
+    size = end - start
+    np.minimum(place, int(size.max()) - 1, out=place)  # only bytes between spans lie further
+    x = BYTE_VALUE[buf]
+    x += _place_values(int(size.max()))[place]
+    x ^= x >> U64(32)
+    x *= _M1
+    x ^= x >> U64(29)
+    cuts = np.empty(2 * len(start), np.int64)
+    cuts[0::2], cuts[1::2] = start, end
+    if cuts[-1] == len(buf):
+        x = np.append(x, U64(0))
+    return mix(np.add.reduceat(x, cuts)[::2] + size.astype(U64) * _M2)
 
 
 class Words:
@@ -80,7 +92,7 @@ class Words:
         self.doc = np.repeat(np.arange(self.n), self.count)
 
     def hashes(self) -> np.ndarray:
-        return span_hash(prefix_hash(self.buf), self.start, self.end)
+        return span_hash(self.buf, self.start, self.end)
 
 
 def chunks(texts: Iterable[bytes], limit: int = 1 << 21) -> Iterator[tuple[int, list[bytes]]]:
