@@ -3,9 +3,9 @@
 Texts fall into units (spaces and what follows them) across which no piece reaches. The distinct units of a batch that
 were not met before are concatenated and their suffixes ordered; each piece of the vocabulary is looked up by binary
 search, which gives the range of all its occurrences; the occurrences, sorted by position, are the edges of a lattice. The
-lattice is relaxed as the model's merges demand: in every unit at once, the adjacent pair of segments whose edge has the
-best score (the leftmost of equals) becomes one segment, until no pair has an edge. What is left without a piece falls back to
-its bytes. A best-path relaxation by summed scores would be the unigram model's; this vocabulary is of the merging kind, so the
+lattice is relaxed as the model's merges demand: the adjacent pair of segments whose edge has the best score in its unit (the
+leftmost of equals) becomes one segment, until no pair has an edge; pairs that nothing can touch before their turn are joined
+in the same round. What is left without a piece falls back to its bytes. A best-path relaxation by summed scores would be the unigram model's; this vocabulary is of the merging kind, so the
 result here equals the library's.
 
 Defined cases: null and empty texts have no ids; repeated rows are encoded alike; null ids of documents are carried
@@ -25,17 +25,17 @@ from pyspark.sql import functions as F
 from synthguard.llm.common import table
 from synthguard.llm.packing import CachedTokenizer
 from synthguard.llm.suffix_dedup import suffix_order
-from synthguard.llm.textkernel import as_bytes, chunks, prefix_hash, span_hash
+from synthguard.llm.textkernel import as_bytes, chunks, span_hash
 
 MARK = "▁".encode()  # stands for a space
 
 
 class PieceCoder(CachedTokenizer):
-    def __init__(self, path: str, most_words: int = 1_000_000):
+    def __init__(self, path: str, most_words: int = 1_000_000, most_bytes: int = 1 << 26):
         import sentencepiece
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
-        self.most_words = most_words
+        self.most_words, self.most_bytes = most_words, most_bytes
         n = sp.get_piece_size()
         plain = [i for i in range(n) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i))]
         self.byte_ids = np.full(256, sp.unk_id(), np.uint32)
@@ -87,28 +87,7 @@ class PieceCoder(CachedTokenizer):
             at = np.minimum(np.searchsorted(keys, k := start << 8 | np.minimum(stop - start, 255)), max(len(keys) - 1, 0))
             return np.where((keys[at] == k) & (stop - start < 256), found[at], -1) if len(keys) else np.full(len(start), -1)
 
-        start = np.flatnonzero((text & 0xC0) != 0x80)
-        stop = np.append(start[1:], len(text))
-        unit = np.repeat(np.arange(len(units)), sizes)[start]
-        done = []
-        while len(start):
-            pair = np.full(len(start), -1)
-            same = np.flatnonzero(unit[1:] == unit[:-1])
-            pair[same] = edge(start[same], stop[same + 1])
-            cost = np.where(pair >= 0, self.costs[pair], np.inf)
-            first = np.flatnonzero(np.concatenate(([True], unit[1:] != unit[:-1])))
-            least = np.minimum.reduceat(cost, first)
-            run = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(unit))))
-            live = np.isfinite(least)[run]
-            if not live.all():
-                done.append((start[~live], stop[~live]))
-            best = np.flatnonzero(live & (cost == least[run]))
-            best = best[np.concatenate(([True], run[best][1:] != run[best][:-1]))] if len(best) else best
-            stop = stop.copy()
-            stop[best] = stop[best + 1]
-            live[best + 1] = False
-            start, stop, unit = start[live], stop[live], unit[live]
-        start, stop = (np.concatenate(x) for x in zip(*done, strict=True)) if done else (start, stop)
+        start, stop = self._relaxed(text, np.cumsum(sizes), keys, found)
         order = np.argsort(start)
         start, stop = start[order], stop[order]
         piece = edge(start, stop)
@@ -120,6 +99,69 @@ class PieceCoder(CachedTokenizer):
         owner = np.searchsorted(ends, start, "right")
         return ids.astype(np.uint32), np.bincount(owner, count, len(units)).astype(np.int64)
 
+    def _relaxed(self, text: np.ndarray, ends: np.ndarray, keys: np.ndarray, found: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Starts and stops of the segments that are left when every unit's best edge over two segments has been taken, one after the other.
+
+        A round takes, beside each unit's best pair, every pair that cannot be touched before its turn: no edge over other
+        segments that crosses its borders has a score as good, and of pairs alike in score that overlap every other one counts,
+        from the left. Borders that no edge crosses any more part units, and units without a pair are done, so long units of
+        any kind take few rounds over what is left of them.
+        """
+        start = np.flatnonzero((text & 0xC0) != 0x80)
+        stop = np.append(start[1:], len(text))
+        last = np.isin(stop, ends)  # segments that end a unit
+        number = np.full(len(text) + 1, -1)
+        number[start] = np.arange(len(start))
+        number[len(text)] = len(start)
+        left, right, cost = number[keys >> 8], number[(keys >> 8) + (keys & 255)], self.costs[found]
+        in_unit = np.cumsum(last) - last
+        ok = (left >= 0) & (right > left + 1)
+        ok[ok] = in_unit[left[ok]] == in_unit[right[ok] - 1]
+        left, right, cost = left[ok], right[ok], cost[ok]
+        done = []
+        while len(left):
+            n = len(start)
+            pair = np.full(n, np.inf)  # of a segment and the next
+            two = right - left == 2
+            pair[left[two]] = cost[two]
+            # the best edge over three segments or more across each border; border k lies in front of segment k
+            across = np.full(n + 1, np.inf)
+            a, z, c = left[~two], right[~two], cost[~two]
+            for step in range(1, int((z - a).max(initial=1))):
+                inner = a + step < z
+                np.minimum.at(across, a[inner] + step, c[inner])
+            joined = np.minimum(across[1:], pair)  # border behind a segment
+            last |= np.isinf(joined)
+            unit = np.cumsum(last) - last
+            first = np.flatnonzero(np.concatenate(([True], last[:-1])))
+            least = np.minimum.reduceat(pair, first)
+            live = np.isfinite(least)[unit]
+            done.append((start[~live], stop[~live]))
+            best = np.flatnonzero(live & (pair == least[unit]))
+            best = best[np.concatenate(([True], unit[best][1:] != unit[best][:-1]))]
+            before, after = np.concatenate(([np.inf], pair[:-1])), np.append(pair[1:], np.inf)
+            calm = np.isfinite(pair) & (np.minimum(across[:-1], np.append(across[2:], np.inf)) > pair) & (before >= pair) & (after >= pair)
+            # runs of overlapping pairs alike in score; a run behind a pair like them that may go first waits
+            opens = calm & ~(np.concatenate(([False], calm[:-1])) & (before == pair))
+            origin = np.maximum.accumulate(np.where(opens, np.arange(n), 0))
+            taken = calm & (before[origin] > pair) & ((np.arange(n) - origin) % 2 == 0)
+            taken[best] = True
+            gone = np.concatenate(([False], taken[:-1]))
+            stop = stop.copy()
+            stop[taken] = stop[np.flatnonzero(taken) + 1]
+            last[taken] = last[np.flatnonzero(taken) + 1]
+            stays = live & ~gone
+            number = np.append(np.where(stays, np.cumsum(stays) - 1, -1), 0)
+            # an edge lives while segments start and end where it does, and it covers two of them at least
+            opened, closed = number[left], number[right - 1]
+            closed = np.where(gone[right - 1], number[right - 2], closed)
+            ok = (opened >= 0) & (closed > opened) & ~taken[right - 1]
+            left, right, cost = opened[ok], closed[ok] + 1, cost[ok]
+            start, stop, last = start[stays], stop[stays], last[stays]
+        done.append((start, stop))
+        start, stop = (np.concatenate(x) for x in zip(*done, strict=True))
+        return start, stop
+
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         full = [b" " + t.replace(MARK, b" ") if t else b"" for t in texts]
         sizes = np.fromiter(map(len, full), np.int64, len(full))
@@ -133,7 +175,7 @@ class PieceCoder(CachedTokenizer):
         new[begin[:-1][sizes > 0]] = True
         start = np.flatnonzero(new)
         end = np.append(start[1:], len(buf))
-        return self._looked_up(buf, start, end, span_hash(prefix_hash(buf), start, end), np.searchsorted(start, begin))
+        return self._looked_up(buf, start, end, span_hash(buf, start, end), np.searchsorted(start, begin))
 
     def decode(self, ids) -> str:
         raw = b"".join(self.text_of.get(int(i), b"") for i in ids)
