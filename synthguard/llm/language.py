@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.llm.common import held_out, table, text_or_empty
+from synthguard.llm.common import carried, handed_back, held_out, table, text_or_empty
 from synthguard.llm.textkernel import BYTE_VALUE, LOWERED, SPACE, U64
 
 BITS, WIDTH = 16, 16
@@ -30,13 +30,20 @@ _LETTER = regex.compile(r"\p{L}")
 
 
 def buckets(text: bytes, bits: int = BITS) -> np.ndarray:
-    raw = LOWERED[np.frombuffer(b" " + text + b" ", np.uint8)]
-    v = BYTE_VALUE[np.where(SPACE[raw], np.uint8(32), raw)]
+    return np.concatenate(list(stretches(text, bits)))
+
+
+def stretches(text: bytes, bits: int = BITS, step: int = 1 << 20):
+    """Buckets of the n-grams of a whole text between two spaces, each once, for a stretch of starts at a time."""
+    raw = np.frombuffer(b" " + text + b" ", np.uint8)
     k = U64(0x9E3779B97F4A7C15)
-    three = (v[:-2] * k + v[1:-1]) * k + v[2:]
-    four = three[:-1] * k + v[3:]
-    h = np.concatenate((three, four))
-    return ((h ^ (h >> U64(29))) * U64(0xBF58476D1CE4E5B9) >> U64(64 - bits)).astype(np.int64)
+    for at in range(0, max(len(raw) - 2, 1), step):
+        some = LOWERED[raw[at : at + step + 3]]
+        v = BYTE_VALUE[np.where(SPACE[some], np.uint8(32), some)]
+        three = (v[:-2] * k + v[1:-1]) * k + v[2:]
+        four = three[:-1] * k + v[3:]
+        h = np.concatenate((three[:step], four))
+        yield ((h ^ (h >> U64(29))) * U64(0xBF58476D1CE4E5B9) >> U64(64 - bits)).astype(np.int64)
 
 
 def counted(text: bytes) -> tuple[np.ndarray, np.ndarray]:
@@ -56,8 +63,7 @@ class Model:
         if not self.languages or not text or not _LETTER.search(text.decode("utf-8", "replace")):
             return UNKNOWN, 0.0
         total, n = np.zeros(len(self.languages)), 0
-        for at in range(0, len(text), step):  # a stretch at a time bounds the memory
-            b = buckets(text[at : at + step + 3] if at else text[: step + 3])
+        for b in stretches(text, step=step):  # a stretch at a time bounds the memory
             total += self.logits[b].sum(0, dtype=np.float64)
             n += len(b)
         return self.pick(total / max(n, 1) + self.bias)
@@ -132,7 +138,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
 
 
 def identify(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
-    """docs with lang_pred, score and rejected (score under the calibrated threshold); the model is of a fixed size."""
+    """docs with lang_pred, score and rejected (score under the calibrated threshold), in place of columns so named; the model is of a fixed size."""
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("struct<lang_pred string, score double, rejected boolean>")
@@ -141,8 +147,8 @@ def identify(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame
         got = [m.predict((t or "").encode()) for t in text]
         return pd.DataFrame({"lang_pred": [g[0] for g in got], "score": [g[1] for g in got], "rejected": [g[0] == UNKNOWN or g[1] < m.threshold for g in got]})
 
-    names = docs.columns
-    return docs.withColumn("_sg_told", told(F.col(text_col))).select(*names, "_sg_told.lang_pred", "_sg_told.score", "_sg_told.rejected")
+    done = carried(docs, told=told(F.col(text_col)))
+    return handed_back(done, docs, {n: f"told.{n}" for n in ("lang_pred", "score", "rejected")})
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,7 +9,7 @@ and no text.
 
 Defined cases: a null or empty text is one empty line; rows with a null id are kept whole and count for nothing; rows
 that share an id count as one document, and each is cut by its own text; ties cannot occur, as the largest id decides;
-extra columns pass through untouched, whatever their names.
+extra columns pass through untouched, whatever their names, but for those that have the names of the two counts.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.llm.common import LOWER, UPPER, WHITE_SPACE, staged, table, text_or_empty
+from synthguard.llm.common import LOWER, UPPER, WHITE_SPACE, carried, handed_back, staged, table, text_or_empty
 
 DECIDED, EDGE, SUMMARY = 0, 1, 2
 _SCHEMA = "kind int, doc long, print long, pos int, h1 long, h2 long"
@@ -142,10 +142,9 @@ def keep_bitmaps(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", t
 
 
 def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with the lines that the bitmaps drop cut from the text (null stays null), plus _n_lines and _n_dropped."""
-    b = bitmaps.select(F.col("doc").alias("_sg_doc"), F.col("print").alias("_sg_print"), F.col("keep_bitmap").alias("_sg_bits"))
-    left = docs.withColumn("_sg_of", F.xxhash64(text_or_empty(text_col)))
-    joined = left.join(b, (F.col(id_col) == F.col("_sg_doc")) & (F.col("_sg_of") == F.col("_sg_print")), "left")
+    """docs with the lines that the bitmaps drop cut from the text (null stays null), plus _n_lines and _n_dropped (in place of columns so named)."""
+    left = carried(docs, doc=F.col(id_col).cast("long"), print=F.xxhash64(text_or_empty(text_col)), text=F.col(text_col))
+    joined = left.join(bitmaps.select("doc", "print", "keep_bitmap"), ["doc", "print"], "left")
 
     @F.pandas_udf("struct<text string, n_lines long, n_dropped long>")
     def cut(text: pd.Series, bits: pd.Series) -> pd.DataFrame:
@@ -164,9 +163,8 @@ def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame, id_col: str = "doc_id", t
             n_dropped.append(len(lines) - len(stay))
         return pd.DataFrame({"text": out, "n_lines": n_lines, "n_dropped": n_dropped})
 
-    names = [c for c in docs.columns if c != text_col]
-    done = joined.withColumn("_sg_cut", cut(F.col(text_col), F.col("_sg_bits")))
-    return done.select(*names, F.col("_sg_cut.text").alias(text_col), F.col("_sg_cut.n_lines").alias("_n_lines"), F.col("_sg_cut.n_dropped").alias("_n_dropped"))
+    done = joined.select("row", cut("text", "keep_bitmap").alias("cut"))
+    return handed_back(done, docs, {text_col: "cut.text", "_n_lines": "cut.n_lines", "_n_dropped": "cut.n_dropped"})
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 20, min_docs: int = 3) -> DataFrame:

@@ -20,7 +20,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.llm.common import held_out, table, text_or_empty
+from synthguard.llm.common import carried, handed_back, held_out, table, text_or_empty
 from synthguard.llm.textkernel import BYTE_VALUE, U64, Words, mix
 
 BITS, GRAMS = 17, (1, 2, 3, 4)
@@ -161,7 +161,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
 
 def score(docs: DataFrame, model: Model, text_col: str = "text", out: str = "score") -> DataFrame:
-    """docs with a column of scores; the model is of a fixed size (2 * 2**BITS floats)."""
+    """docs with a column of scores, in place of one so named; the model is of a fixed size (2 * 2**BITS floats)."""
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
@@ -169,7 +169,7 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", out: str = "sco
         m = held.value
         return pd.Series(m.scores([features((t or "").encode()) for t in text]), dtype="float64")
 
-    return docs.withColumn(out, scored(F.col(text_col)))
+    return handed_back(carried(docs, scored=scored(F.col(text_col))), docs, {out: "scored"})
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
