@@ -1,18 +1,22 @@
 """Removal of every byte that lies in a string of `length` bytes found at two starts or more, over the whole corpus.
 
 1. Anchors. Each window of `length` bytes has an anchor, its least hashed n-gram (the leftmost of equals); equal windows
-   have equal anchors at equal places. Neighbouring windows with one anchor form an occurrence: the anchor's hash, and
-   the hash of all bytes its windows cover. Occurrences whose anchor stands once in the corpus hold no repeat.
-2. Occurrences that equal another as a whole are repeated as a whole, however many there are: a count settles them.
-3. Of the others, one for each distinct content is cut out of its text, and its windows fall into zones of 16 by the anchor's place in
+   have equal anchors at equal places. Neighbouring windows with one anchor form an occurrence: all bytes its windows
+   cover, its extent. Occurrences whose anchor stands once in the corpus hold no repeat.
+2. Equal extents are one from here on: the whole of them is repeated, and one of them is looked at for the others.
+3. Of anchors with several extents, each extent is cut out of its text, and its windows fall into zones by the anchor's place in
    them. A zone has a core, which all its windows hold: if no other zone has it, none of them is repeated. Zones that
-   equal another as a whole are repeated as a whole. What is left are zones through which a border of a repeat runs.
+   equal another are one again. What is left are zones through which a border of a repeat runs.
 4. Those of one core meet in one task, in lots of bounded size. A lot is dealt into shards; each shard gets a suffix order
    and its Burrows-Wheeler transform, and the shards' transforms are merged by refining their interleave: each round stably sorts the merged
    transform by the symbols in front (eight bytes a round), which orders all rows by eight bytes more without a look at the
-   suffixes. Rows that no round has told apart after `length` bytes have a common prefix that long: those intervals are the repeats.
-5. A core with more than `hot` distinct surroundings is not gathered: the windows of its zones are hashed where their bytes
-   are, counted and joined back.
+   suffixes. The round that first parts two neighbouring rows gives their common prefix; runs of rows with common prefixes of `length` bytes are
+   the repeated intervals.
+5. A core with more surroundings than a lot holds is cut into narrower zones (16 windows, then 4, then 1), whose longer cores
+   part those surroundings; the core of a single window is that window, and has one surrounding.
+
+Anchors only bring together what may be equal, so an anchor that two grams share costs time and nothing else. Extents, cores and zones
+are equal where their 64-bit XXH3 hashes are, within one anchor's.
 
 Defined cases: null text counts as empty; rows that share text are repeats of each other, so texts of `length` bytes or more that occur
 twice lose all bytes, repeated rows included; a null id is an id like others; strings are judged on the input; text that is
@@ -26,11 +30,12 @@ import hashlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.llm.common import staged, table, text_or_empty
-from synthguard.llm.textkernel import U64, chunks, mix, powers, prefix_hash, span_hash
+from synthguard.llm.common import carried, handed_back, staged, table, text_or_empty
+from synthguard.llm.textkernel import BYTE_VALUE, U64, chunks, mix
 
 GRAM = 48
 #: Bytes of text that a task works on at a time; some dozen arrays of eight times that stand in its memory.
@@ -43,20 +48,41 @@ def _signed(x: np.ndarray) -> pa.Array:
     return pa.array(x.view(np.int64))
 
 
+def _grams(buf: np.ndarray, gram: int) -> np.ndarray:
+    """A number for each n-gram, by which anchors are picked; different n-grams may share one."""
+    step = 0xD1342543DE82EF95  # odd
+    up, down = np.full(len(buf), step, U64), np.full(len(buf), pow(step, -1, 1 << 64), U64)
+    up[0] = down[0] = 1
+    np.cumprod(up, out=up)
+    np.cumprod(down, out=down)
+    h = np.zeros(len(buf) + 1, U64)
+    np.cumsum(BYTE_VALUE[buf] * up, out=h[1:])
+    return mix((h[gram:] - h[:-gram]) * down[: len(buf) - gram + 1])
+
+
+def _hashed(buf: bytes, start: np.ndarray, stop: np.ndarray, seeds: np.ndarray | None = None) -> np.ndarray:
+    """64-bit hashes of buf[start:stop], each with its own seed where seeds are given."""
+    view, of = memoryview(buf), xxhash.xxh3_64_intdigest
+    if seeds is None:
+        found = (of(view[a:b]) for a, b in zip(start.tolist(), stop.tolist(), strict=True))
+    else:
+        found = (of(view[a:b], k) for a, b, k in zip(start.tolist(), stop.tolist(), seeds.tolist(), strict=True))
+    return np.fromiter(found, U64, len(start))
+
+
 def occurrences(texts: list[bytes], length: int, gram: int = GRAM) -> tuple[np.ndarray, ...]:
-    """text, anchor place, first and last window start (in the text), anchor hash, hash of all that the windows cover."""
+    """text, anchor place, first and last window start (in the text), anchor, hash of all that the windows cover."""
     sizes = np.fromiter(map(len, texts), np.int64, len(texts))
     begin = np.cumsum(sizes) - sizes
-    buf = np.frombuffer(b"".join(texts), np.uint8)
+    joined = b"".join(texts)
+    buf = np.frombuffer(joined, np.uint8)
     none = tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.int64, U64, U64))
     wide = length - gram + 1
     n = len(buf) - gram + 1
     if not (sizes >= length).any():
         return none
-    h = prefix_hash(buf)
-    grams = mix((h[gram:] - h[:-gram]) * powers(n)[1])
+    grams = _grams(buf, gram)
     order = (grams & ~_LOW) | np.arange(n, dtype=U64)
-    del grams
     padded = np.full(-(-n // wide) * wide, ~U64(0))
     padded[:n] = order
     rows = padded.reshape(-1, wide)
@@ -79,7 +105,7 @@ def occurrences(texts: list[bytes], length: int, gram: int = GRAM) -> tuple[np.n
     text = np.searchsorted(begin, at, "right") - 1
     # of empty texts at the same place the last is found, which is the one that holds the bytes
     base = begin[text]
-    return text, p - base, at - base, until - base, span_hash(h, p, p + gram), span_hash(h, at, until + length)
+    return text, p - base, at - base, until - base, grams[p], _hashed(joined, at, until + length)
 
 
 def _find(length: int):
@@ -123,13 +149,17 @@ class Shard:
         return front[self.order]
 
 
-def merged_classes(shards: list[Shard], depth: int, step: int = 8) -> list[np.ndarray]:
-    """For each shard, by place in its text, the class of places whose next depth symbols are equal in all shards."""
+def merged_rows(shards: list[Shard], depth: int, step: int = 8) -> tuple[np.ndarray, np.ndarray]:
+    """The shards' transforms merged: for each row the shard it comes from, and how many symbols (rounded down to what the
+    rounds have told, depth at most) it has in common with the row before."""
     sizes = np.array([len(s.order) for s in shards])
     ends = np.cumsum(sizes)
     source = np.repeat(np.arange(len(shards), dtype=np.uint8 if len(shards) < 256 else np.int32), sizes)
     block = np.zeros(len(source), np.int32)
+    common = np.full(len(source), depth, np.int32)
+    common[:1] = 0
     rounds = [depth % step] * (depth % step > 0) + [step] * (depth // step)
+    ordered = 0
     for k, wide in enumerate(rounds):
         if k == 0 or wide != rounds[k - 1]:  # symbols as ranks, which keep their order
             distinct, rank = np.unique(np.concatenate([s.transform(wide) for s in shards]), return_inverse=True)
@@ -146,13 +176,23 @@ def merged_classes(shards: list[Shard], depth: int, step: int = 8) -> list[np.nd
         source, block, now = source[move], block[move], symbols[move]
         edge = np.zeros(len(block), bool)
         edge[1:] = (now[1:] != now[:-1]) | (block[1:] != block[:-1])
+        # a border between rows stays where it is once a round has drawn it
+        common[edge & (common == depth)] = ordered
+        ordered += wide
         block = np.cumsum(edge, dtype=np.int32)
         if block[-1] == len(block) - 1:
             break  # no two rows are alike
+    return source, common
+
+
+def merged_classes(shards: list[Shard], depth: int, step: int = 8) -> list[np.ndarray]:
+    """For each shard, by place in its text, the number of the interval of rows whose next depth symbols are equal in all shards."""
+    source, common = merged_rows(shards, depth, step)
+    interval = np.cumsum(common < depth, dtype=np.int32)
     out = []
     for j, s in enumerate(shards):
         by_place = np.empty(len(s.order), np.int32)
-        by_place[s.order] = block[source == j]
+        by_place[s.order] = interval[source == j]
         out.append(by_place)
     return out
 
@@ -191,10 +231,11 @@ def _stretches(places: np.ndarray, length: int) -> list[tuple[int, int]]:
     return [(int(a), int(b) + length) for a, b in zip(places[np.concatenate(([0], cuts + 1))], places[np.append(cuts, len(places) - 1)], strict=True)]
 
 
-ZONE = 16
+#: Windows of a zone, and of the zones into which over-full cores are cut.
+ZONES = (16, 4, 1)
 _CONTEXT = "anchor long, again boolean, doc long, print long, start long, place int, context binary"
-_ZONE = "core long, extent long, again boolean, doc long, print long, start long, first long, last long"
-_PIECE = "core long, hot boolean, again boolean, doc long, print long, start long, context binary"
+_ZONE = "core long, extent long, again boolean, doc long, print long, start long, first long, last long, place int"
+_PIECE = "core long, over boolean, again boolean, doc long, print long, start long, place int, context binary"
 _SPAN = "doc long, print long, start long, stop long"
 
 
@@ -213,7 +254,7 @@ def _cut_out(length: int):
     return run
 
 
-def _zones(length: int):
+def _zones(length: int, width: int):
     """Zones of contexts; core and extent hashes also tell the anchor and the zone's number."""
 
     def run(batches):
@@ -225,19 +266,20 @@ def _zones(length: int):
                 begin = np.cumsum(sizes) - sizes
                 most = hi[at : at + len(some)].astype(np.int64)
                 least = most - (sizes - length)
-                n = most // ZONE - least // ZONE + 1
+                n = most // width - least // width + 1
                 own = np.repeat(np.arange(len(some)), n)
-                zone = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(least // ZONE, n)
-                top, low = np.minimum(most[own], ZONE * zone + ZONE - 1), np.maximum(least[own], ZONE * zone)
-                h = prefix_hash(np.frombuffer(b"".join(some), np.uint8))
+                zone = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(least // width, n)
+                top, low = np.minimum(most[own], width * zone + width - 1), np.maximum(least[own], width * zone)
+                raw = b"".join(some)
                 origin = begin[own] + most[own]  # the anchor's place
                 key = mix(anchor[at + own].view(U64) + zone.astype(U64))
-                core = mix(span_hash(h, origin - ZONE * zone, origin - ZONE * zone - ZONE + 1 + length) ^ key)
-                extent = mix(span_hash(h, origin - top, origin - low + length) ^ key)
+                # the bytes of the zone's middle; a zone cut short at its context's border may hold some more in common
+                core = _hashed(raw, origin - width * zone, origin - width * zone - width + 1 + length, key)
+                extent = _hashed(raw, origin - top, origin - low + length, key)
                 first = start[at + own] + most[own] - top
                 yield pa.RecordBatch.from_arrays(
-                    [_signed(core), _signed(extent), pa.array(again[at + own]), *(pa.array(x) for x in (doc[at + own], mark[at + own], start[at + own], first, first + top - low))],
-                    names=["core", "extent", "again", "doc", "print", "start", "first", "last"],
+                    [_signed(core), _signed(extent), pa.array(again[at + own]), *(pa.array(x) for x in (doc[at + own], mark[at + own], start[at + own], first, first + top - low)), pa.array(top.astype(np.int32))],
+                    names=["core", "extent", "again", "doc", "print", "start", "first", "last", "place"],
                 )
 
     return run
@@ -248,10 +290,10 @@ def _pieces(length: int):
         for b in batches:
             rows = []
             for doc, mark, start, context, wanted in zip(*(b.column(k).to_pylist() for k in ("doc", "print", "start", "context", "wanted")), strict=True):
-                rows += [(w["core"], w["hot"], w["again"], doc, mark, w["first"], context[w["first"] - start : w["last"] - start + length]) for w in wanted]
-            columns = list(zip(*rows, strict=True)) or [()] * 7
-            types = (pa.int64(), pa.bool_(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["core", "hot", "again", "doc", "print", "start", "context"])
+                rows += [(w["core"], w["over"], w["again"], doc, mark, w["first"], w["place"], context[w["first"] - start : w["last"] - start + length]) for w in wanted]
+            columns = list(zip(*rows, strict=True)) or [()] * 8
+            types = (pa.int64(), pa.bool_(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["core", "over", "again", "doc", "print", "start", "place", "context"])
 
     return run
 
@@ -280,32 +322,14 @@ def _merge(length: int, lot_bytes: int):
     return run
 
 
-def _window_hashes(length: int):
-    def run(batches):
-        for b in batches:
-            core, doc, mark, start = (b.column(k).to_numpy(zero_copy_only=False) for k in ("core", "doc", "print", "start"))
-            for at, some in chunks(b.column("context").to_pylist(), STRETCH):
-                sizes = np.fromiter(map(len, some), np.int64, len(some))
-                begin = np.cumsum(sizes) - sizes
-                counts = sizes - length + 1
-                own = np.repeat(np.arange(len(some)), counts)
-                place = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
-                h = prefix_hash(np.frombuffer(b"".join(some), np.uint8))
-                x = begin[own] + place
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(core[at + own]), _signed(span_hash(h, x, x + length)), pa.array(doc[at + own]), pa.array(mark[at + own]), pa.array(start[at + own] + place)], names=["core", "window", "doc", "print", "start"]
-                )
-
-    return run
-
-
-def repeated_spans(spark: SparkSession, rows: DataFrame, length: int, hot: int, lot_bytes: int) -> DataFrame:
+def repeated_spans(spark: SparkSession, rows: DataFrame, length: int, kinds_in_lot: int, lot_bytes: int) -> DataFrame:
     """doc, print, spans (start, stop in bytes; they may overlap) of every text with repeats. rows: doc, print, text (binary)."""
     seen = staged(spark, rows.mapInArrow(_find(length), _OCCURRENCE), "anchors")
-    again = seen.groupBy("anchor").agg(F.count("*").alias("k")).where("k > 1").select("anchor")
+    # counts are written before they are joined, so that the join's own shuffle can be split where one anchor or extent fills a task
+    again = staged(spark, seen.groupBy("anchor").agg(F.count("*").alias("k")).where("k > 1").select("anchor"), "again")
     some = staged(spark, seen.join(again, "anchor"), "repeated")
-    extents = some.groupBy("anchor", "extent").agg(F.count("*").alias("k"), F.min(F.struct("doc", "print", "place")).alias("one"))
-    whole = some.join(extents.where("k > 1").select("anchor", "extent"), ["anchor", "extent"]).select(
+    extents = staged(spark, some.groupBy("anchor", "extent").agg(F.count("*").alias("k"), F.min(F.struct("doc", "print", "place")).alias("one")), "extents")
+    spans = some.join(extents.where("k > 1").select("anchor", "extent"), ["anchor", "extent"]).select(
         "doc", "print", (F.shiftright("place", 16) - (F.shiftright("place", 8).bitwiseAND(255))).alias("start"), (F.shiftright("place", 16) - F.col("place").bitwiseAND(255) + length).alias("stop")
     )
     # anchors with several surroundings
@@ -313,35 +337,33 @@ def repeated_spans(spark: SparkSession, rows: DataFrame, length: int, hot: int,
     open_ = extents.join(kinds, "anchor").select("anchor", (F.col("k") > 1).alias("again"), "one.*")
     wanted = open_.groupBy("doc", "print").agg(F.collect_list(F.struct("anchor", "again", "place")).alias("wanted"))
     contexts = staged(spark, rows.join(wanted, ["doc", "print"]).dropDuplicates(["doc", "print"]).select("doc", "print", "text", "wanted").mapInArrow(_cut_out(length), _CONTEXT), "contexts")
-    zones = staged(spark, contexts.mapInArrow(_zones(length), _ZONE), "zones")
-    alike = zones.groupBy("core", "extent").agg(F.count("*").alias("k"), F.min(F.struct("doc", "print", "start", "first", "last", "again")).alias("one"))
-    same = zones.where("NOT again").join(alike.where("k > 1").select("core", "extent"), ["core", "extent"]).select("doc", "print", F.col("first").alias("start"), (F.col("last") + length).alias("stop"))
-    # a core none of whose zones is open any more needs no look at its windows
-    cores = alike.groupBy("core").agg(F.count("*").alias("kinds"), F.min((F.col("k") > 1) | F.col("one.again")).alias("settled")).where("kinds > 1 AND NOT settled").select("core", (F.col("kinds") > hot).alias("hot"))
-    left = alike.join(cores, "core").select("core", "hot", ((F.col("k") > 1) | F.col("one.again")).alias("again"), "one.doc", "one.print", "one.start", "one.first", "one.last")
-    by_context = left.groupBy("doc", "print", "start").agg(F.collect_list(F.struct("core", "hot", "again", "first", "last")).alias("wanted"))
-    pieces = staged(spark, contexts.join(by_context, ["doc", "print", "start"]).select("doc", "print", "start", "context", "wanted").mapInArrow(_pieces(length), _PIECE), "pieces")
-    calm = pieces.where("NOT hot").repartition("core").sortWithinPartitions("core").mapInArrow(_merge(length, lot_bytes), _SPAN)
-    windows = pieces.where("hot").mapInArrow(_window_hashes(length), "core long, window long, doc long, print long, start long")
-    common = windows.groupBy("core", "window").agg(F.count("*").alias("k")).where("k > 1").select("core", "window")
-    busy = windows.join(common, ["core", "window"]).groupBy("doc", "print").agg(F.collect_list("start").alias("starts"))
-
-    @F.pandas_udf("array<struct<start: long, stop: long>>")
-    def joined(starts: pd.Series) -> pd.Series:
-        return starts.map(lambda s: [{"start": a, "stop": b} for a, b in _stretches(np.unique(s), length)])
-
-    busy = busy.select("doc", "print", F.explode(joined("starts")).alias("x")).select("doc", "print", "x.*")
-    return whole.unionByName(same).unionByName(calm).unionByName(busy).groupBy("doc", "print").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
-
-
-def remove_repeats(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 200, hot: int = 512, lot_bytes: int = 1 << 18) -> DataFrame:
-    """docs with repeats cut from the text, plus _n_bytes, _n_removed, _n_spans and _kept_sha256 (of the bytes that stay)."""
+    for width in ZONES:
+        zones = staged(spark, contexts.mapInArrow(_zones(length, width), _ZONE), "zones")
+        alike = staged(spark, zones.groupBy("core", "extent").agg(F.count("*").alias("k"), F.min(F.struct("doc", "print", "start", "first", "last", "place", "again")).alias("one")), "alike")
+        same = zones.where("NOT again").join(alike.where("k > 1").select("core", "extent"), ["core", "extent"]).select("doc", "print", F.col("first").alias("start"), (F.col("last") + length).alias("stop"))
+        # a core none of whose zones is open any more needs no look at its windows
+        settled = (F.col("k") > 1) | F.col("one.again")
+        cores = alike.groupBy("core").agg(F.count("*").alias("kinds"), F.min(settled).alias("settled")).where("kinds > 1 AND NOT settled").select("core", (F.col("kinds") > kinds_in_lot).alias("over"))
+        left = alike.join(cores, "core").select("core", "over", settled.alias("again"), "one.doc", "one.print", "one.start", "one.first", "one.last", "one.place")
+        by_context = left.groupBy("doc", "print", "start").agg(F.collect_list(F.struct("core", "over", "again", "first", "last", "place")).alias("wanted"))
+        pieces = staged(spark, contexts.join(by_context, ["doc", "print", "start"]).select("doc", "print", "start", "context", "wanted").mapInArrow(_pieces(length), _PIECE), "pieces")
+        merged = pieces.where("NOT over").repartition("core").sortWithinPartitions("core").mapInArrow(_merge(length, lot_bytes), _SPAN)
+        spans = spans.unionByName(same).unionByName(merged)
+        contexts = pieces.where("over").select(F.col("core").alias("anchor"), "again", "doc", "print", "start", "place", "context")
+        if contexts.isEmpty():
+            break
+    return spans.groupBy("doc", "print").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
+
+
+def remove_repeats(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 200, kinds_in_lot: int = 512, lot_bytes: int = 1 << 18) -> DataFrame:
+    """docs with repeats cut from the text, plus _n_bytes, _n_removed, _n_spans and _kept_sha256 (of the bytes that stay).
+
+    These four replace columns of docs that have their names."""
     if not GRAM < length <= GRAM + 208:
         raise ValueError(f"length must lie above {GRAM} and below {GRAM + 209}")
-    marked = docs.withColumn("_sg_doc", F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63)))).withColumn("_sg_print", F.xxhash64(text_or_empty(text_col)))
-    rows = marked.select(F.col("_sg_doc").alias("doc"), F.col("_sg_print").alias("print"), text_or_empty(text_col).cast("binary").alias("text"))
-    spans = repeated_spans(spark, rows, length, hot, lot_bytes).select(F.col("doc").alias("_sg_d"), F.col("print").alias("_sg_p"), F.col("spans").alias("_sg_spans"))
-    joined = marked.join(spans, (F.col("_sg_doc") == F.col("_sg_d")) & (F.col("_sg_print") == F.col("_sg_p")), "left")
+    marked = carried(docs, doc=F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63))), print=F.xxhash64(text_or_empty(text_col)), text=F.col(text_col))
+    rows = marked.select("doc", "print", F.coalesce("text", F.lit("")).cast("binary").alias("text"))
+    joined = marked.join(repeated_spans(spark, rows, length, kinds_in_lot, lot_bytes), ["doc", "print"], "left")
 
     @F.pandas_udf("struct<text string, n_bytes long, n_removed long, n_spans long, sha string>")
     def cut(text: pd.Series, spans: pd.Series) -> pd.DataFrame:
@@ -363,11 +385,8 @@ def remove_repeats(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id",
             out.append((t if not runs else stays.decode("utf-8", "ignore"), len(raw), gone, runs, hashlib.sha256(stays).hexdigest()))
         return pd.DataFrame(out, columns=["text", "n_bytes", "n_removed", "n_spans", "sha"])
 
-    names = [c for c in docs.columns if c != text_col]
-    done = joined.withColumn("_sg_cut", cut(F.col(text_col), F.col("_sg_spans")))
-    return done.select(
-        *names, F.col("_sg_cut.text").alias(text_col), F.col("_sg_cut.n_bytes").alias("_n_bytes"), F.col("_sg_cut.n_removed").alias("_n_removed"), F.col("_sg_cut.n_spans").alias("_n_spans"), F.col("_sg_cut.sha").alias("_kept_sha256")
-    )
+    done = joined.select("row", cut("text", "spans").alias("cut"))
+    return handed_back(done, docs, {text_col: "cut.text", "_n_bytes": "cut.n_bytes", "_n_removed": "cut.n_removed", "_n_spans": "cut.n_spans", "_kept_sha256": "cut.sha"})
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
