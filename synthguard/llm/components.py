@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.llm.common import staged
+from synthguard.llm.common import staged, unstaged
 
 
 def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
@@ -20,14 +20,15 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
     while True:
         # the smallest label among the neighbours, and then the label of one's label
         near = links.join(labels.select(F.col("node").alias("to"), F.col("comp").alias("c")), "to").groupBy("node").agg(F.min("c").alias("c"))
-        lower = labels.join(near, "node").select("node", F.least("comp", "c").alias("new"), F.col("comp").alias("old"))
+        lower = labels.select("node", "comp").join(near, "node").select("node", F.least("comp", "c").alias("new"), F.col("comp").alias("old"))
         # a label's own node hears of the smaller label that one of its members has met
         told = lower.where("new < old").groupBy(F.col("old").alias("node")).agg(F.min("new").alias("heard"))
         once = lower.join(told, "node", "left").select("node", F.least("new", F.coalesce("heard", "new")).alias("new"), "old")
-        once = staged(spark, once, "labels")
+        once, before = staged(spark, once, "labels"), labels
         jump = once.select(F.col("node").alias("new"), F.col("new").alias("further"))
         labels = staged(spark, once.join(jump, "new", "left").select("node", F.least("new", F.coalesce("further", "new")).alias("comp"), "old"), "labels")
         moved = not labels.where("comp <> old").isEmpty()
-        labels = labels.select("node", "comp")
+        unstaged(spark, once, before)
         if not moved:
-            return labels
+            unstaged(spark, links)
+            return labels.select("node", "comp")

@@ -4,12 +4,13 @@
 2. Sets: each document's distinct shingles are hashed to 64 bits; equal sets become one set. Of each set, the rarest
    n - ceil(t n) + 1 shingles are kept (two linked sets share one of these), and blocks of documents ask in packed messages which of theirs stand in
    other sets too; only those go on.
-3. Groups: each set joins the group of the leader with which it shares most rare shingles, if their exact index allows; this is
-   repeated among groups.
-4. Token-group matrix: for each shingle and group, the group's entry holds the range of its set sizes, the longest
-   rest behind the shingle, and the union of its sets' shingles as a bitmap. Bits of a query set that the union lacks, and the rests, bound what it can
-   share with any set of the group; only groups that qualify are opened. Pairs of sets from different groups that pass
-   the same bounds are then compared, exactly, on whole texts.
+3. Groups: the least shingle of each eighth of the hash space is a mark. Sets that share marks are likely alike: each meets the
+   set whose marks are the commonest, and its neighbour in the order of the next mark; the likeliest of these goes first, and if
+   their exact index allows, the two are in one group. One pair a set and round, so a cluster of near copies takes as many pairs as it has sets.
+4. Token-group matrix: for each shingle and group, the group's entry holds the range of its set sizes and the longest
+   rest behind the shingle. Shingles that the same groups hold are one row of the matrix, and a row's groups meet where sizes and rests allow.
+   A set opens a group if it lacks few enough of the bits of the union of the group's shingles; of two groups that open each other, the
+   sets that are likeliest alike are compared first, exactly, on whole texts, and all others that pass the bounds only if those are not.
    Within a group the classes are the same already, so copies are never expanded into pairs.
 
 Defined cases: A-Z are lowered, words are separated by [\\x20\\x09-\\x0D]; a text with fewer words than a shingle has is one
@@ -22,12 +23,12 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.taskcontext import TaskContext
 
 from synthguard.llm.blocks import U64, by_bucket, packed, packed_counts, unpacked, unpacked_counts
-from synthguard.llm.common import staged, table, text_or_empty
+from synthguard.llm.common import staged, table, text_or_empty, unstaged
 from synthguard.llm.components import components
 from synthguard.llm.textkernel import Words, as_bytes, chunks, mix, runs_unique
 
@@ -36,6 +37,8 @@ SLICE = 1 << 10
 MOST_BITS = 24
 #: 64-bit words of a set's bitmap, one bit a shingle; bits of the filter of wanted texts.
 BITMAP, WANTED = 16, 1 << 23
+#: Parts of the hash space, each of which gives a set a mark.
+MARKS = 8
 _WEIGHTS = mix(np.arange(1, 65, dtype=U64)) | U64(1)
 
 
@@ -77,6 +80,13 @@ def bitmap(s: np.ndarray) -> list[int]:
     return np.packbits(bits).view(np.int64).tolist()
 
 
+def marks(s: np.ndarray) -> list[int | None]:
+    """The least shingle of each part of the hash space; s is sorted."""
+    cuts = np.searchsorted(s, np.arange(MARKS, dtype=U64) << U64(61))
+    ends = np.append(cuts[1:], len(s))
+    return [int(s[a].view(np.int64)) if a < b else None for a, b in zip(cuts.tolist(), ends.tolist(), strict=True)]
+
+
 def alike(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     both = len(np.intersect1d(a, b, assume_unique=True))
     return 100 * both >= percent * (len(a) + len(b) - both)
@@ -108,7 +118,7 @@ def _counts(docs: DataFrame, words: int, bits: int) -> np.ndarray:
     return total.astype(np.int32) if total.max(initial=0) < 1 << 31 else total
 
 
-_SETS = "kind int, doc_id long, print long, n long, sid long, block long, bucket long, payload binary, bitmap array<long>"
+_SETS = "kind int, doc_id long, print long, n long, sid long, block long, bucket long, payload binary, bitmap array<long>, marks array<long>"
 
 
 def _sets(docs: DataFrame, counts: np.ndarray, words: int, percent: int, buckets: int) -> DataFrame:
@@ -134,13 +144,13 @@ def _sets(docs: DataFrame, counts: np.ndarray, words: int, percent: int, buckets
                             seen.add(sid)
                             rarest = s[np.lexsort((s, rank[(s >> shift).astype(np.int64)]))[:keep]]
                             asked.append(rarest)
-                    rows.append((0, ids[at + i], prints[at + i], n, sid, number, None, rarest.tobytes() if len(rarest) else None, bitmap(s) if len(rarest) else None))
+                    rows.append((0, ids[at + i], prints[at + i], n, sid, number, None, rarest.tobytes() if len(rarest) else None, bitmap(s) if len(rarest) else None, marks(s) if len(rarest) else None))
                 if asked:
                     keys, times = np.unique(np.concatenate(asked), return_counts=True)
                     own = times > 1  # known in this block to stand in several sets
                     for bucket, lo, hi in by_bucket(keys, buckets):
-                        rows.append((1, None, None, hi - lo, None, number, bucket, packed(keys[lo:hi]) + np.packbits(own[lo:hi]).tobytes(), None))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), *[pa.int64()] * 6, pa.binary(), pa.list_(pa.int64())), strict=True)], names=["kind", "doc_id", "print", "n", "sid", "block", "bucket", "payload", "bitmap"])
+                        rows.append((1, None, None, hi - lo, None, number, bucket, packed(keys[lo:hi]) + np.packbits(own[lo:hi]).tobytes(), None, None))
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), *[pa.int64()] * 6, pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64())), strict=True)], names=["kind", "doc_id", "print", "n", "sid", "block", "bucket", "payload", "bitmap", "marks"])
                 number += 1
 
     return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text"), "text").mapInArrow(run, _SETS)
@@ -196,12 +206,18 @@ def _among(wanted: DataFrame, col: str):
     return may_be(place)
 
 
-def _linked(docs: DataFrame, classes: DataFrame, pairs: DataFrame, words: int, percent: int) -> DataFrame:
-    """Of candidate pairs (a, b) of sets those whose whole texts are alike."""
-    ids = pairs.select(F.col("a").alias("sid")).unionByName(pairs.select(F.col("b").alias("sid"))).distinct()
-    needed = staged(docs.sparkSession, ids.join(classes.select("sid", "rep", "print"), "sid"), "needed")
+def _texts(docs: DataFrame, known: DataFrame, ids: DataFrame) -> DataFrame:
+    """sid, text of the sets in ids (sid, distinct)."""
+    spark = docs.sparkSession
+    needed = staged(spark, ids.join(known.select("sid", "rep", "print"), "sid"), "needed")
     held = docs.select(F.col("doc_id").cast("long").alias("rep"), F.xxhash64("text").alias("print"), F.col("text").cast("binary").alias("text")).where(_among(needed, "print"))
-    texts = needed.join(held, ["rep", "print"]).dropDuplicates(["sid"])
+    found = staged(spark, needed.join(held, ["rep", "print"]).dropDuplicates(["sid"]).select("sid", "text"), "texts")
+    unstaged(spark, needed)
+    return found
+
+
+def _linked(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
+    """Of candidate pairs (a, b) of sets those whose whole texts are alike. The text of a moves with its pairs, so a comes once or seldom."""
     both = pairs.join(texts.select(F.col("sid").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("sid").alias("b"), F.col("text").alias("tb")), "b")
 
     def check(batches):
@@ -217,57 +233,167 @@ def _linked(docs: DataFrame, classes: DataFrame, pairs: DataFrame, words: int, p
     return both.select("a", "b", "ta", "tb").mapInArrow(check, "a long, b long")
 
 
-def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, rounds: int = 2) -> DataFrame:
+class _Bounds:
+    """What sizes and bitmaps tell of two sets."""
+
+    def __init__(self, percent: int):
+        self.percent = percent
+
+    def apart(self, n, m) -> Column:
+        return 100 * F.least(n, m) < self.percent * F.greatest(n, m)
+
+    def least(self, n, m) -> Column:
+        """What linked sets of these sizes must share."""
+        return F.ceil((F.lit(self.percent) * (n + m)) / F.lit(100 + self.percent) - 1e-9)
+
+    def smallest_partner(self, n, lo) -> Column:
+        """The smallest size from lo on that a set linked to one of size n can have."""
+        return F.greatest(lo, F.ceil(F.lit(self.percent) * n / 100 - 1e-9))
+
+    @staticmethod
+    def lacking(own, other) -> Column:
+        return F.aggregate(F.zip_with(own, other, lambda x, y: F.bit_count(x.bitwiseAND(F.bitwise_not(y)))), F.lit(0), lambda t, x: t + x)
+
+    def shared(self, na, ma, nb, mb) -> Column:
+        """The most that two sets can share by their bitmaps."""
+        return F.least(F.col(na) - self.lacking(ma, mb), F.col(nb) - self.lacking(mb, ma))
+
+
+def _before_in_order(rows: DataFrame) -> DataFrame:
+    """a, b: sets that follow each other among the sets of one mark, in the order of their next mark; pairs across a partition's border are left out."""
+
+    def run(batches):
+        held = None
+        for batch in batches:
+            key, sid = (batch.column(k).to_numpy(zero_copy_only=False) for k in ("key", "sid"))
+            if held is not None:
+                key, sid = np.concatenate(([held[0]], key)), np.concatenate(([held[1]], sid))
+            if len(key):
+                held = key[-1], sid[-1]
+            same = key[1:] == key[:-1]
+            yield pa.RecordBatch.from_arrays([pa.array(sid[1:][same], pa.int64()), pa.array(sid[:-1][same], pa.int64())], names=["a", "b"])
+
+    return rows.repartitionByRange("key", "following", "sid").sortWithinPartitions("key", "following", "sid").select("key", "sid").mapInArrow(run, "a long, b long")
+
+
+def _likely(spark: SparkSession, known: DataFrame, bounds: _Bounds) -> DataFrame:
+    """a, b, k: sets that share k marks with a popular set or a neighbour, and may be alike by size and bitmap."""
+    following = F.element_at("marks", F.pmod(F.col("at") + 1, F.lit(MARKS)) + 1)
+    marked = known.select("sid", "n", "marks", F.posexplode("marks").alias("at", "key")).where("key IS NOT NULL").select("sid", "n", "key", following.alias("following"))
+    several = staged(spark, marked.groupBy("key").agg(F.count("*").alias("k")).where("k > 1"), "marks")
+    rows = staged(spark, marked.join(several, "key"), "marked")
+    popular = rows.groupBy("sid").agg(F.sum("k").alias("popular"))
+    ranked = staged(spark, rows.drop("k").join(popular, "sid"), "ranked")
+    leaders = staged(spark, ranked.groupBy("key").agg(F.max(F.struct("popular", "sid")).alias("l")).select("key", F.col("l.sid").alias("b")), "leaders")
+    led = ranked.join(leaders, "key").where("sid <> b").select(F.col("sid").alias("a"), "b")
+    counted = led.unionByName(_before_in_order(ranked).where("a <> b")).groupBy("a", "b").agg(F.count("*").alias("k"))
+    side = lambda x: known.select(F.col("sid").alias(x), F.col("n").alias(f"n{x}"), F.col("bitmap").alias(f"m{x}"))
+    both = counted.join(side("a"), "a").join(side("b"), "b").where(~bounds.apart(F.col("na"), F.col("nb")))
+    found = staged(spark, both.where(bounds.shared("na", "ma", "nb", "mb") >= bounds.least(F.col("na"), F.col("nb"))).select("a", "b", "k"), "likely")
+    unstaged(spark, several, rows, ranked, leaders)
+    return found
+
+
+def _crossing(pairs: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """pairs with the groups ca and cb of their sets, where these differ."""
+    if labels is None:
+        return pairs.withColumns({"ca": F.col("a"), "cb": F.col("b")})
+    side = lambda x: labels.select(F.col("node").alias(x), F.col("comp").alias(f"c{x}"))
+    told = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left")
+    return told.withColumns({"ca": F.coalesce("ca", "a"), "cb": F.coalesce("cb", "b")}).where("ca <> cb")
+
+
+def _open_groups(spark: SparkSession, shared: DataFrame, known: DataFrame, labels: DataFrame | None, bounds: _Bounds) -> DataFrame:
+    """g, h, a, na, ma, most: sets a of group g that open group h, g and h opening each other; most: what a can share with a set of h."""
+    percent = bounds.percent
+    rows = shared.withColumn("comp", F.col("sid")) if labels is None else _labelled(shared, labels)
+    rows = staged(spark, rows, "labelled")
+    several = staged(spark, rows.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min("n").alias("lo"), F.max("n").alias("hi"), F.max(F.col("n") - F.col("pos")).alias("rest")).where("x < y").select("token", "lo", "hi", "rest"), "several")
+    # rows whose rest is too short for any size and any rest that their shingle has cannot open a group or be opened
+    partner = bounds.smallest_partner(F.col("n"), F.col("lo"))
+    near = (percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n")) & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= bounds.least(F.col("n"), partner))
+    mixed = staged(spark, rows.join(several, "token").where(near).select("token", "sid", "comp", "n", "pos"), "mixed")
+    entry = mixed.groupBy("token", "comp").agg(F.min("n").alias("lo"), F.max("n").alias("hi"), F.max(F.col("n") - F.col("pos")).alias("rest"))
+    entry = staged(spark, entry, "entries")
+    # shingles that the same groups hold are one row
+    alike_rows = entry.groupBy("token").agg(F.count("*").alias("held"), F.sum(F.pmod(F.xxhash64("comp"), F.lit(1 << 31))).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "comp")).alias("y"))
+    alike_rows = staged(spark, alike_rows.where("held > 1").select("token", F.xxhash64("held", "x", "y").alias("row")), "rows")
+    matrix = entry.join(alike_rows, "token").groupBy("row", "comp").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.max("rest").alias("rest"))
+    matrix = staged(spark, matrix, "matrix")
+    other = matrix.select("row", F.col("comp").alias("h"), F.col("lo").alias("lo_"), F.col("hi").alias("hi_"), F.col("rest").alias("rest_"))
+    x, y = bounds.smallest_partner(F.col("lo_"), F.col("lo")), bounds.smallest_partner(F.col("lo"), F.col("lo_"))
+    meets = (F.col("comp") < F.col("h")) & (100 * F.col("hi") >= percent * F.col("lo_")) & (100 * F.col("hi_") >= percent * F.col("lo")) & (F.least("rest", "rest_") >= bounds.least(x, y))
+    met = staged(spark, matrix.join(other, "row").where(meets).select(F.col("comp").alias("g"), "h").distinct(), "met")
+    sets = mixed.select("sid", "comp", "n").distinct().join(known.select("sid", F.col("bitmap").alias("m")), "sid")
+    sets = staged(spark, sets.select(F.col("comp").alias("g"), F.col("sid").alias("a"), F.col("n").alias("na"), F.col("m").alias("ma")), "inside")
+    union = staged(spark, sets.groupBy(F.col("g").alias("h")).agg(F.min("na").alias("lo"), F.max("na").alias("hi"), F.array(*[F.bit_or(F.col("ma")[k]) for k in range(BITMAP)]).alias("u")), "unions")
+    both_ways = met.unionByName(met.select(F.col("h").alias("g"), F.col("g").alias("h")))
+    asked = both_ways.join(union, "h").join(sets, "g").where((percent * F.col("lo") <= 100 * F.col("na")) & (100 * F.col("hi") >= percent * F.col("na")))
+    asked = asked.withColumn("most", F.col("na") - bounds.lacking("ma", "u")).where(F.col("most") >= bounds.least(F.col("na"), bounds.smallest_partner(F.col("na"), F.col("lo"))))
+    opened = staged(spark, asked.select("g", "h", "a", "na", "ma", "most"), "opened")
+    unstaged(spark, rows, several, mixed, entry, alike_rows, matrix, met, sets, union)
+    return opened
+
+
+def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, rounds: int = 3) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest id of the class) for every row; links need percent of the union in common."""
+    bounds = _Bounds(percent)
     docs = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"))
     sizes = docs.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0
     buckets = max(8, int(sizes // (1 << 24)))
     bits = int(np.clip(round(np.log2(max(sizes, 1) / 192)), 14, MOST_BITS))  # some 32 shingles for each count
     rows = staged(spark, _sets(docs, _counts(docs, words, bits), words, percent, buckets), "sets")
-    members = rows.where("kind = 0").select("doc_id", "print", "n", "sid")
+    members = staged(spark, rows.where("kind = 0").select("doc_id", "n", "sid"), "members")
     found = docs.where("doc_id IS NOT NULL")
-    classes = staged(spark, members.where("n > 0 AND doc_id IS NOT NULL").groupBy("sid").agg(F.min(F.struct("doc_id", "print", "n")).alias("x")).select("sid", F.col("x.doc_id").alias("rep"), "x.print", "x.n"), "classes")
+    known = rows.where("kind = 0 AND n > 0 AND doc_id IS NOT NULL").groupBy("sid").agg(F.min(F.struct("doc_id", "print", "n")).alias("x"), F.first("bitmap", True).alias("bitmap"), F.first("marks", True).alias("marks"))
+    known = staged(spark, known.select("sid", F.col("x.doc_id").alias("rep"), "x.print", "x.n", "bitmap", "marks"), "known")
     shared = staged(spark, _shared(rows), "shared")
-    apart = lambda n, m: (100 * F.least(n, m) < percent * F.greatest(n, m))
-    least = lambda n, m: F.ceil((F.lit(percent) * (F.col(n) + F.col(m))) / F.lit(100 + percent) - 1e-9)  # noqa: E731  what linked sets must share
-    edges = None
-    labelled = shared.select("token", "sid", "n", "pos", F.col("sid").alias("comp"))
-    maps = rows.where("bitmap IS NOT NULL").groupBy("sid").agg(F.first("bitmap").alias("m"), F.first("n").alias("n"))
-    lacking = lambda own, other: F.aggregate(F.zip_with(own, other, lambda x, y: F.bit_count(x.bitwiseAND(F.bitwise_not(y)))), F.lit(0), lambda t, x: t + x)
-    shared_most = F.least(F.col("na") - lacking("ma", "mb"), F.col("nb") - lacking("mb", "ma"))  # what two sets can share by their bitmaps
-    for r in range(rounds):
-        pick = F.max if r % 2 else F.min  # another leader each time
-        leaders = labelled.groupBy("token").agg(pick(F.struct("comp", "sid", "n")).alias("l"), F.min("comp").alias("low"), F.max("comp").alias("top")).where("low < top").select("token", F.col("l.sid").alias("to"), F.col("l.comp").alias("to_comp"), F.col("l.n").alias("m"))
-        near = labelled.join(leaders, "token").where((F.col("comp") != F.col("to_comp")) & ~apart(F.col("n"), F.col("m"))).groupBy("sid", "to").agg(F.count("*").alias("k"))
-        best = near.groupBy("sid").agg(F.max(F.struct("k", "to")).alias("x")).select(F.col("sid").alias("a"), F.col("x.to").alias("b"))
-        both = best.join(maps.select(F.col("sid").alias("a"), F.col("m").alias("ma"), F.col("n").alias("na")), "a").join(maps.select(F.col("sid").alias("b"), F.col("m").alias("mb"), F.col("n").alias("nb")), "b")
-        likely = staged(spark, both.where(shared_most >= least("na", "nb")).select("a", "b"), "pairs")
-        new = staged(spark, _linked(found, classes, likely, words, percent), "edges")
+    unstaged(spark, rows)
+    ids = lambda pairs: pairs.select(F.col("a").alias("sid")).unionByName(pairs.select(F.col("b").alias("sid"))).distinct()
+    edges = labels = None
+
+    def add(pairs: DataFrame, texts: DataFrame) -> None:
+        nonlocal edges, labels
+        new = staged(spark, _linked(pairs, texts, words, percent), "edges")
         edges = new if edges is None else edges.unionByName(new)
-        labels = components(spark, edges)
-        labelled = staged(spark, _labelled(shared, labels), "labelled")
-    # the matrix of shingles and groups, for shingles that stand in several groups
-    several = labelled.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("token")
-    mixed = staged(spark, labelled.join(several, "token"), "mixed")
-    fewest = F.greatest("lo", F.ceil(F.lit(percent) * F.col("n") / 100 - 1e-9))  # sizes of the group's sets that could be linked
-    wanted = F.ceil(F.lit(percent) * (F.col("n") + fewest) / F.lit(100 + percent) - 1e-9)
-    entry = (F.min("n").alias("lo"), F.max("n").alias("hi"), F.max(F.col("n") - F.col("pos")).alias("rest"))
-    fits = (F.col("comp") < F.col("other")) & (percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n")) & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= wanted)
-    # rows whose rest is too short for any size and any rest that their shingle has cannot open a group or be opened
-    limits = mixed.groupBy("token").agg(*entry)
-    near = mixed.join(limits, "token").where((percent * F.col("lo") <= 100 * F.col("n")) & (100 * F.col("hi") >= percent * F.col("n")) & (F.least(F.col("n") - F.col("pos"), F.col("rest")) >= wanted)).select(*mixed.columns)
-    near = staged(spark, near, "near")
-    several = near.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("token")
-    # only for what is still open do the bitmaps come in: of the sets, and their union for each group
-    mixed = staged(spark, near.join(several, "token").join(maps.drop("n"), "sid"), "active")
-    matrix = mixed.groupBy("token", "comp").agg(*entry, F.array(*[F.bit_or(F.col("m")[k]) for k in range(BITMAP)]).alias("u")).withColumnRenamed("comp", "other")
-    opened = mixed.join(matrix, "token").where(fits & (F.col("n") - lacking("m", "u") >= wanted)).select("other", F.col("sid").alias("a"), F.col("n").alias("na"), F.col("m").alias("ma")).dropDuplicates(["other", "a"])
-    inside = mixed.select(F.col("comp").alias("other"), F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("m").alias("mb")).dropDuplicates(["b"])
-    # an opened group's sets are each compared once with the set that asks
-    pairs = opened.join(inside, "other").where(~apart(F.col("na"), F.col("nb")) & (shared_most >= least("na", "nb"))).select("a", "b")
-    new = staged(spark, _linked(found, classes, staged(spark, pairs, "pairs"), words, percent), "edges")
-    labels = components(spark, edges.unionByName(new)) if not new.isEmpty() else labels
-    of = classes.join(labels.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "rep", F.coalesce("comp", "sid").alias("comp"))
+        if not new.isEmpty():
+            before, labels = labels, staged(spark, components(spark, edges), "groups")
+            if before is not None:
+                unstaged(spark, before)
+
+    # groups: one pair for each set in a round
+    likely = _likely(spark, known, bounds)
+    texts = _texts(found, known, ids(likely))
+    for r in range(rounds):
+        open_ = _crossing(likely, labels)
+        chosen = staged(spark, open_.groupBy("a").agg(F.max(F.struct("k", "b")).alias("x")).select("a", F.col("x.b").alias("b")), "chosen")
+        if chosen.isEmpty():
+            break
+        add(chosen, texts)
+        rest = staged(spark, likely.join(chosen, ["a", "b"], "left_anti"), "likely")
+        unstaged(spark, likely, chosen)
+        likely = rest
+    unstaged(spark, likely, texts)
+    # what groups have not settled
+    opened = _open_groups(spark, shared, known, labels, bounds)
+    ahead = opened.where("g < h")
+    behind = opened.where("g > h").select(F.col("g").alias("h"), F.col("h").alias("g"), F.col("a").alias("b"), F.col("na").alias("nb"), F.col("ma").alias("mb"), F.col("most").alias("most_b"))
+    texts = _texts(found, known, opened.select(F.col("a").alias("sid")).distinct())
+    likeliest = ahead.groupBy("g", "h").agg(F.max(F.struct(F.col("most") / F.col("na"), "a")).alias("x")).join(behind.groupBy("g", "h").agg(F.max(F.struct(F.col("most_b") / F.col("nb"), "b")).alias("y")), ["g", "h"])
+    first = staged(spark, likeliest.select(F.col("x.a").alias("a"), F.col("y.b").alias("b")).distinct(), "first")
+    add(first, texts)
+    of = lambda name: labels.select(F.col("node").alias(name), F.col("comp").alias(f"c{name}"))
+    if labels is not None:  # group pairs that are one by now are left out
+        alive = ahead.select("g", "h").distinct().join(of("g"), "g", "left").join(of("h"), "h", "left").where(F.coalesce("cg", "g") != F.coalesce("ch", "h")).select("g", "h")
+        ahead = ahead.join(alive, ["g", "h"])
+    pairs = ahead.join(behind, ["g", "h"]).where(~bounds.apart(F.col("na"), F.col("nb")) & (bounds.shared("na", "ma", "nb", "mb") >= bounds.least(F.col("na"), F.col("nb")))).select("a", "b")
+    pairs = staged(spark, pairs.distinct().join(first, ["a", "b"], "left_anti"), "pairs")
+    add(pairs, texts)
+    unstaged(spark, opened, texts, first, pairs, shared)
+    if labels is None:
+        of = known.select("sid", "rep", F.col("sid").alias("comp"))
+    else:
+        of = known.join(labels.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "rep", F.coalesce("comp", "sid").alias("comp"))
     smallest = of.groupBy("comp").agg(F.min("rep").alias("component_id"))
     named = of.join(smallest, "comp").select("sid", "component_id")
     done = members.join(named, "sid", "left")
