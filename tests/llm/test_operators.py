@@ -191,18 +191,18 @@ def _repeats(rows, length):
     return gone
 
 
-@pytest.mark.parametrize(("length", "hot"), [(200, 512), (200, 1), (100, 4)])
-def test_suffix_dedup(spark, docs, empty, length, hot):
+@pytest.mark.parametrize(("length", "kinds"), [(200, 512), (200, 1), (100, 4)])
+def test_suffix_dedup(spark, docs, empty, length, kinds):
     rows = [(i, t) for i, t, *_ in ROWS]
     gone = _repeats(rows, length)
-    got = {r["doc_id"]: r for r in suffix_dedup.remove_repeats(spark, docs, length=length, hot=hot, lot_bytes=3000).collect()}
+    got = {r["doc_id"]: r for r in suffix_dedup.remove_repeats(spark, docs, length=length, kinds_in_lot=kinds, lot_bytes=3000).collect()}
     for (i, t), g in zip(rows, gone, strict=True):
         raw, r = np.frombuffer((t or "").encode(), np.uint8), got[i]
         runs = int((np.diff(np.concatenate(([0], g.astype(int)))) == 1).sum())
         assert (r["_n_bytes"], r["_n_removed"], r["_n_spans"]) == (len(raw), int(g.sum()), runs)
         assert r["_kept_sha256"] == hashlib.sha256(raw[~g].tobytes()).hexdigest()
     assert any(g.any() and not g.all() for g in gone)
-    if hot == 512:
+    if kinds == 512:
         assert suffix_dedup.remove_repeats(spark, empty).count() == 0
 
 
@@ -219,6 +219,116 @@ def test_merged_transforms_equal_sorting():
         assert len(set(seen.values())) == len(seen)
 
 
+def test_common_prefixes_of_merged_rows():
+    rng = np.random.default_rng(6)
+    texts = [bytes(rng.integers(97, 100, 300, dtype=np.uint8)) + b"\xff" for _ in range(3)]
+    shards = [suffix_dedup.Shard(np.frombuffer(t, np.uint8), 16) for t in texts]
+    for depth, step in ((16, 1), (16, 4), (10, 8)):
+        source, common = suffix_dedup.merged_rows(shards, depth, step)
+        rows = sorted((t + t)[p : p + depth] for t in texts for p in range(len(t)))
+        assert sorted(np.bincount(source).tolist()) == [len(t) for t in texts]
+        first = depth % step or step
+        for k, (a, b) in enumerate(zip(rows[:-1], rows[1:], strict=True), 1):
+            same = next((i for i in range(depth) if a[i] != b[i]), depth)
+            told = depth if same == depth else 0 if same < first else first + (same - first) // step * step
+            assert common[k] == told
+
+
+def _doubled(n):
+    """A word of n letters and its opposite, which sums of powers modulo 2**64 cannot tell apart from 1024 letters on."""
+    x = "a"
+    while len(x) < n:
+        x += x.translate(str.maketrans("ab", "ba"))
+    return x, x.translate(str.maketrans("ab", "ba"))
+
+
+def _regular_rows():
+    (a, b), (c, d) = _doubled(1024), _doubled(4096)
+    texts = [a, b, c, d, f"{a} x {b}", f"{b} x {a}", f"some words {c[:700]}", f"other words {d[:700]}", f"{a[:256]}.", f"{b[:256]},", a + "!" + b]
+    return list(enumerate(texts))
+
+
+def test_regular_words_are_told_apart(spark):
+    import sentencepiece
+    from tokenizers import Tokenizer
+
+    rows = _regular_rows()
+    df = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    # packing
+    path = public_tokenizers.path("word_bpe_49k.json")
+    t, full = Tokenizer.from_file(path), {}
+    full = {i: np.array([*t.encode(x, add_special_tokens=False).ids, 2], "<u4") for i, x in rows}
+    for r in packing.pack(df, path).collect():
+        assert r["ids_crc32"] == zlib.crc32(full[r["doc_id"]][r["start"] : r["start"] + r["length"]].tobytes())
+    # pieces
+    path = public_tokenizers.path("piece_bpe_32k.model")
+    sp = sentencepiece.SentencePieceProcessor(model_file=path)
+    assert all(r["ids"] == sp.encode(rows[r["doc_id"]][1]) for r in sentence_pieces.encode(df, path).collect())
+    # shingles
+    assert _of(jaccard_join.similar_classes(spark, df, words=4, percent=85), "n_shingles", "component_id") == _jaccard_classes(rows, 4, 85)
+    # repeats
+    gone = _repeats(rows, 200)
+    got = _of(suffix_dedup.remove_repeats(spark, df), "_n_removed", "_kept_sha256")
+    assert all(got[i] == (int(g.sum()), hashlib.sha256(np.frombuffer(x.encode(), np.uint8)[~g].tobytes()).hexdigest()) for (i, x), g in zip(rows, gone, strict=True))
+    # counts of words
+    count = collections.Counter(w for _, x in rows for w in x.split()) + collections.Counter({None: len(rows)})
+    n, v = sum(count.values()), len(count)
+    got = _of(language_model.score(spark, df, F.lit(True)), "base_score")
+    assert all(got[i][0] == pytest.approx(sum(math.log10((count[w] + 1) / (n + v + 1)) for w in [*x.split(), None])) for i, x in rows)
+
+
+def test_words_whose_hashes_are_alike_are_compared(monkeypatch):
+    monkeypatch.setattr(Words, "hashes", lambda self: np.full(len(self.start), 7, np.uint64))
+    path = public_tokenizers.path("word_bpe_49k.json")
+    coder = packing.CachedTokenizer(path)
+    for texts in (["one two one", "three", "", "four one"], ["two two five"]):
+        want = [coder.tokenizer.encode(t, add_special_tokens=False).ids for t in texts]
+        ids, sizes = coder.encode([t.encode() for t in texts])
+        assert sizes.tolist() == list(map(len, want)) and ids.tolist() == sum(want, [])
+
+
+def test_pieces_of_long_unbroken_text():
+    import time
+
+    import sentencepiece
+
+    path = public_tokenizers.path("piece_bpe_32k.model")
+    sp, coder, rng = sentencepiece.SentencePieceProcessor(model_file=path), sentence_pieces.PieceCoder(path), random.Random(1)
+    letters = lambda n, of="abcdefghijklmnopqrstuvwxyz": "".join(rng.choice(of) for _ in range(n))
+    for text in [*(letters(rng.randint(1, 80), of) for of in ("ab", "thein", "abcdefgh") for _ in range(60)), letters(40_000), "the" * 9_000, "a" * 30_001, _doubled(1 << 15)[0]]:
+        assert coder.encode([text.encode()])[0].tolist() == sp.encode(text)
+    began = time.time()
+    text = letters(1_000_000)
+    assert coder.encode([text.encode()])[0].tolist() == sp.encode(text) and time.time() - began < 30
+
+
+CLASH = ["_n_lines", "_N_Dropped", "_sg_doc", "_sg_print", "_SG_id", "_n_bytes", "_n_removed", "_n_spans", "_kept_sha256", "_sg_score", "score", "Lang_Pred", "rejected", "_sg_told", "row", "Cut", "doc", "print", "spans", "told", "scored", "keep_bitmap", "_sg_label", "sid", "comp", "h1", "block", "kind"]
+
+
+def test_columns_of_any_name_pass(spark):
+    rows = [(i, t) for i, t, *_ in ROWS[:12]] + [(None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").select("*", *[F.lit(f"own {c}").alias(c) for c in CLASH])
+    labels = spark.createDataFrame([(i, i % 2) for i in range(12)], "doc_id long, quality int")
+    model = language.train(df.withColumn("lang", F.lit("aa")))
+    outputs = {"_n_lines", "_n_dropped"}, {"_n_bytes", "_n_removed", "_n_spans", "_kept_sha256"}, {"score"}, {"score", "lang_pred", "rejected"}
+    made = line_dedup.dedup_lines(spark, df), suffix_dedup.remove_repeats(spark, df), quality.score(df, quality.train(df, labels)), language.identify(df, model)
+    for out, own in zip(made, outputs, strict=True):
+        assert {c.lower() for c in out.columns} == {c.lower() for c in df.columns} | own and len(out.columns) == len({c.lower() for c in out.columns})
+        got = out.collect()
+        assert len(got) == len(rows) and all(r[c] == f"own {c}" for r in got for c in CLASH if c.lower() not in own)
+    plain = df.select("doc_id", "text")
+    assert sorted(map(str, jaccard_join.similar_classes(spark, df).collect())) == sorted(map(str, jaccard_join.similar_classes(spark, plain).collect()))
+    assert packing.pack(df, public_tokenizers.path("word_bpe_49k.json")).count() and fingerprint.edited_by_next(df).count() == len(rows)
+    assert language_model.score(spark, df, F.lit(True)).count() == len(rows) and sentence_pieces.encode(df, public_tokenizers.path("piece_bpe_32k.model")).count() == len(rows)
+
+
+def test_long_texts_are_read_in_stretches():
+    text = ("und der von " * 300 + "ß é").encode()
+    whole = language.buckets(text)
+    assert sorted(np.concatenate(list(language.stretches(text, step=100))).tolist()) == sorted(whole.tolist())
+    assert quality.features(text, step=64).tolist() == quality.features(text).tolist()
+
+
 def test_fingerprints(spark, docs, empty):
     rows = sorted(((i, t or "") for i, t, *_ in ROWS if i is not None), reverse=True) + [(None, TEXTS[0])]
     got = _of(fingerprint.edited_by_next(docs), "n_chars", "edited_sha256", "fingerprint", "near_edited", "near_next")
