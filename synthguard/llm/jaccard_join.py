@@ -5,8 +5,8 @@
    n - ceil(t n) + 1 shingles are kept (two linked sets share one of these), and blocks of documents ask in packed messages which of theirs stand in
    other sets too; only those go on.
 3. Groups: the least shingle of each eighth of the hash space is a mark. Sets that share marks are likely alike: each meets the
-   set whose marks are the commonest, and its neighbour in the order of the next mark; the likeliest of these goes first, and if
-   their exact index allows, the two are in one group. One pair a set and round, so a cluster of near copies takes as many pairs as it has sets.
+   set whose marks are the commonest, and some neighbours in the order of the next mark; those whose bitmaps are most like its own are compared,
+   exactly, on whole texts, and linked sets are one group. A few pairs for each set, however many near copies a cluster has.
 4. Token-group matrix: for each shingle and group, the group's entry holds the range of its set sizes and the longest
    rest behind the shingle. Shingles that the same groups hold are one row of the matrix, and a row's groups meet where sizes and rests allow.
    A set opens a group if it lacks few enough of the bits of the union of the group's shingles; of two groups that open each other, the
@@ -39,6 +39,8 @@ MOST_BITS = 24
 BITMAP, WANTED = 16, 1 << 23
 #: Parts of the hash space, each of which gives a set a mark.
 MARKS = 8
+#: Sets before a set that it is compared with by bitmaps, for each mark; pairs of a set that are compared exactly.
+NEIGHBOURS, TRIES = 16, 3
 _WEIGHTS = mix(np.arange(1, 65, dtype=U64)) | U64(1)
 
 
@@ -259,50 +261,53 @@ class _Bounds:
         return F.least(F.col(na) - self.lacking(ma, mb), F.col(nb) - self.lacking(mb, ma))
 
 
-def _before_in_order(rows: DataFrame) -> DataFrame:
-    """a, b: sets that follow each other among the sets of one mark, in the order of their next mark; pairs across a partition's border are left out."""
+def _neighbours(rows: DataFrame, percent: int) -> DataFrame:
+    """a, b, near: of the NEIGHBOURS sets before a set, in the order of the next mark among the sets of one mark, the one whose bitmap is most
+    like its own, if sizes and bitmaps allow a link. Neighbours beyond a partition's border are not seen."""
 
     def run(batches):
-        held = None
+        key, sid, size, bits = (np.zeros(0, np.int64),) * 3 + (np.zeros((0, BITMAP), U64),)
         for batch in batches:
-            key, sid = (batch.column(k).to_numpy(zero_copy_only=False) for k in ("key", "sid"))
-            if held is not None:
-                key, sid = np.concatenate(([held[0]], key)), np.concatenate(([held[1]], sid))
-            if len(key):
-                held = key[-1], sid[-1]
-            same = key[1:] == key[:-1]
-            yield pa.RecordBatch.from_arrays([pa.array(sid[1:][same], pa.int64()), pa.array(sid[:-1][same], pa.int64())], names=["a", "b"])
-
-    return rows.repartitionByRange("key", "following", "sid").sortWithinPartitions("key", "following", "sid").select("key", "sid").mapInArrow(run, "a long, b long")
+            old = min(NEIGHBOURS, len(key))
+            new = [batch.column(k).to_numpy(zero_copy_only=False) for k in ("key", "sid", "n")]
+            own = batch.column("bitmap").flatten().to_numpy(zero_copy_only=False).view(U64).reshape(-1, BITMAP)
+            key, sid, size = (np.concatenate((x[len(x) - old :], y)) for x, y in zip((key, sid, size), new, strict=True))
+            bits = np.concatenate((bits[len(bits) - old :], own))
+            best, who = np.full(len(key), -1.0), np.zeros(len(key), np.int64)
+            for back in range(1, min(NEIGHBOURS, len(key) - 1) + 1):
+                at = np.arange(max(back, old), len(key))
+                at = at[(key[at] == key[at - back]) & (100 * np.minimum(size[at], size[at - back]) >= percent * np.maximum(size[at], size[at - back]))]
+                x, y, n, m = bits[at], bits[at - back], size[at], size[at - back]
+                only = [np.bitwise_count(p).sum(1, dtype=np.int64) for p in (x & ~y, y & ~x, x & y)]
+                can = np.minimum(n - only[0], m - only[1]) * (100 + percent) >= percent * (n + m)
+                near = np.where(can, only[2] / np.maximum(sum(only), 1), -1.0)
+                better = near > best[at]
+                best[at[better]], who[at[better]] = near[better], sid[at[better] - back]
+            good = best >= 0
+            yield pa.RecordBatch.from_arrays([pa.array(sid[good]), pa.array(who[good]), pa.array(best[good])], names=["a", "b", "near"])
+
+    return rows.repartitionByRange("key", "following", "sid").sortWithinPartitions("key", "following", "sid").select("key", "sid", "n", "bitmap").mapInArrow(run, "a long, b long, near double")
 
 
 def _likely(spark: SparkSession, known: DataFrame, bounds: _Bounds) -> DataFrame:
-    """a, b, k: sets that share k marks with a popular set or a neighbour, and may be alike by size and bitmap."""
+    """a, b: for each set that shares a mark with others the TRIES whose bitmaps are most like its own, of its marks' most popular sets and of its neighbours."""
     following = F.element_at("marks", F.pmod(F.col("at") + 1, F.lit(MARKS)) + 1)
-    marked = known.select("sid", "n", "marks", F.posexplode("marks").alias("at", "key")).where("key IS NOT NULL").select("sid", "n", "key", following.alias("following"))
+    marked = known.select("sid", "marks", F.posexplode("marks").alias("at", "key")).where("key IS NOT NULL").select("sid", "key", following.alias("following"))
     several = staged(spark, marked.groupBy("key").agg(F.count("*").alias("k")).where("k > 1"), "marks")
     rows = staged(spark, marked.join(several, "key"), "marked")
     popular = rows.groupBy("sid").agg(F.sum("k").alias("popular"))
-    ranked = staged(spark, rows.drop("k").join(popular, "sid"), "ranked")
-    leaders = staged(spark, ranked.groupBy("key").agg(F.max(F.struct("popular", "sid")).alias("l")).select("key", F.col("l.sid").alias("b")), "leaders")
-    led = ranked.join(leaders, "key").where("sid <> b").select(F.col("sid").alias("a"), "b")
-    counted = led.unionByName(_before_in_order(ranked).where("a <> b")).groupBy("a", "b").agg(F.count("*").alias("k"))
-    side = lambda x: known.select(F.col("sid").alias(x), F.col("n").alias(f"n{x}"), F.col("bitmap").alias(f"m{x}"))
-    both = counted.join(side("a"), "a").join(side("b"), "b").where(~bounds.apart(F.col("na"), F.col("nb")))
-    found = staged(spark, both.where(bounds.shared("na", "ma", "nb", "mb") >= bounds.least(F.col("na"), F.col("nb"))).select("a", "b", "k"), "likely")
+    ranked = staged(spark, rows.drop("k").join(popular.join(known.select("sid", "n", "bitmap"), "sid"), "sid"), "ranked")
+    leaders = staged(spark, ranked.groupBy("key").agg(F.max_by(F.struct(F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("bitmap").alias("mb")), F.struct("popular", "sid")).alias("l")).select("key", "l.*"), "leaders")
+    led = ranked.join(leaders, "key").where((F.col("sid") != F.col("b")) & ~bounds.apart(F.col("n"), F.col("nb")) & (bounds.shared("n", "bitmap", "nb", "mb") >= bounds.least(F.col("n"), F.col("nb"))))
+    ones = lambda x: F.aggregate(x, F.lit(0), lambda t, v: t + F.bit_count(v))
+    near = ones(F.zip_with("bitmap", "mb", lambda x, y: x.bitwiseAND(y))) / ones(F.zip_with("bitmap", "mb", lambda x, y: x.bitwiseOR(y)))
+    met = led.select(F.col("sid").alias("a"), "b", near.alias("near")).unionByName(_neighbours(ranked, bounds.percent).where("a <> b")).groupBy("a", "b").agg(F.max("near").alias("near"))
+    best = F.slice(F.sort_array(F.collect_list(F.struct("near", "b")), False), 1, TRIES)  # of 2 * MARKS at most
+    found = staged(spark, met.groupBy("a").agg(best.alias("best")).select("a", F.explode("best.b").alias("b")), "likely")
     unstaged(spark, several, rows, ranked, leaders)
     return found
 
 
-def _crossing(pairs: DataFrame, labels: DataFrame | None) -> DataFrame:
-    """pairs with the groups ca and cb of their sets, where these differ."""
-    if labels is None:
-        return pairs.withColumns({"ca": F.col("a"), "cb": F.col("b")})
-    side = lambda x: labels.select(F.col("node").alias(x), F.col("comp").alias(f"c{x}"))
-    told = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left")
-    return told.withColumns({"ca": F.coalesce("ca", "a"), "cb": F.coalesce("cb", "b")}).where("ca <> cb")
-
-
 def _open_groups(spark: SparkSession, shared: DataFrame, known: DataFrame, labels: DataFrame | None, bounds: _Bounds) -> DataFrame:
     """g, h, a, na, ma, most: sets a of group g that open group h, g and h opening each other; most: what a can share with a set of h."""
     percent = bounds.percent
@@ -335,13 +340,13 @@ def _open_groups(spark: SparkSession, shared: DataFrame, known: DataFrame, label
     return opened
 
 
-def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, rounds: int = 3) -> DataFrame:
+def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest id of the class) for every row; links need percent of the union in common."""
     bounds = _Bounds(percent)
     docs = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"))
     sizes = docs.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0
     buckets = max(8, int(sizes // (1 << 24)))
-    bits = int(np.clip(round(np.log2(max(sizes, 1) / 192)), 14, MOST_BITS))  # some 32 shingles for each count
+    bits = int(np.clip(round(np.log2(max(sizes, 1) / 1536)), 14, MOST_BITS))  # some 256 shingles for each count
     rows = staged(spark, _sets(docs, _counts(docs, words, bits), words, percent, buckets), "sets")
     members = staged(spark, rows.where("kind = 0").select("doc_id", "n", "sid"), "members")
     found = docs.where("doc_id IS NOT NULL")
@@ -350,7 +355,7 @@ def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     shared = staged(spark, _shared(rows), "shared")
     unstaged(spark, rows)
     ids = lambda pairs: pairs.select(F.col("a").alias("sid")).unionByName(pairs.select(F.col("b").alias("sid"))).distinct()
-    edges = labels = None
+    edges = labels = None  # links that are known, and groups by them
 
     def add(pairs: DataFrame, texts: DataFrame) -> None:
         nonlocal edges, labels
@@ -361,18 +366,10 @@ def similar_classes(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
             if before is not None:
                 unstaged(spark, before)
 
-    # groups: one pair for each set in a round
+    # groups: some pairs for each set
     likely = _likely(spark, known, bounds)
     texts = _texts(found, known, ids(likely))
-    for r in range(rounds):
-        open_ = _crossing(likely, labels)
-        chosen = staged(spark, open_.groupBy("a").agg(F.max(F.struct("k", "b")).alias("x")).select("a", F.col("x.b").alias("b")), "chosen")
-        if chosen.isEmpty():
-            break
-        add(chosen, texts)
-        rest = staged(spark, likely.join(chosen, ["a", "b"], "left_anti"), "likely")
-        unstaged(spark, likely, chosen)
-        likely = rest
+    add(likely, texts)
     unstaged(spark, likely, texts)
     # what groups have not settled
     opened = _open_groups(spark, shared, known, labels, bounds)
