@@ -43,7 +43,7 @@ def entropy_bits(c: Column) -> Column:
 
 def register(spark: SparkSession) -> None:
     """The functions under their names in SQL (SQL-defined, so they stay in the JVM)."""
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION gamma_bucket(logp DOUBLE, gamma DOUBLE) RETURNS BIGINT RETURN CASE WHEN logp IS NULL THEN NULL ELSE CAST(greatest(floor(-logp / ln(gamma) + 1e-12), 0) AS BIGINT) END")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION gamma_bucket(logp DOUBLE, gamma DOUBLE) RETURNS BIGINT RETURN CASE WHEN logp IS NULL OR logp = double('-inf') THEN NULL WHEN abs(-logp - (floor(-logp / ln(gamma)) + 1) * ln(gamma)) <= 1e-12 * greatest(1.0D, abs(logp)) THEN greatest(CAST(floor(-logp / ln(gamma)) AS BIGINT) + 1, 0L) ELSE greatest(CAST(floor(-logp / ln(gamma)) AS BIGINT), 0L) END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION pass_probability(plausible DOUBLE, k DOUBLE, eps0 DOUBLE) RETURNS DOUBLE RETURN CASE WHEN plausible >= k THEN 1 - 0.5 * exp(-eps0 * (plausible - k)) ELSE 0.5 * exp(-eps0 * (k - plausible)) END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION sym_uncertainty(hi DOUBLE, hj DOUBLE, hij DOUBLE) RETURNS DOUBLE RETURN CASE WHEN hi + hj <= 0 THEN 0 ELSE greatest(0, least(1, 2 - 2 * hij / (hi + hj))) END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION keyed_uniform(k STRING) RETURNS DOUBLE RETURN (CAST(conv(substring(sha2(k, 256), 1, 13), 16, 10) AS DOUBLE) + 0.5) / 4503599627370496")

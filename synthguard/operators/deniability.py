@@ -34,19 +34,19 @@ def prefix_counts(seeds: DataFrame, order: list[str], depths) -> DataFrame:
 def plausible_counts(model: Model, candidates: DataFrame, seeds: DataFrame, omegas=None) -> DataFrame:
     """candidates (with omega) and plausible: how many seeds could have given them, for omega known with the candidate.
     omegas: those that candidates may have; looked up where they aren't told."""
-    omegas = omegas or [r[0] for r in candidates.select("omega").distinct().collect()]  # at most m
-    order = [model.schema.names[i] for i in model.graph.order]
-    out = None
-    for w in sorted(omegas):
-        some, names = candidates.where(F.col("omega") == w), order[: model.m - w]
-        if not names:  # every seed is plausible: no join
-            one = some.crossJoin(F.broadcast(seeds.agg(F.count("*").alias("plausible"))))
-        else:
-            index = seeds.groupBy(*names).agg(F.count("*").alias("plausible"))  # combined before it is shuffled
-            one = some.join(index, names, "left").withColumn("plausible", F.coalesce("plausible", F.lit(0)))
-        one = one.select(*candidates.columns, F.col("plausible").cast("long").alias("plausible"))
-        out = one if out is None else out.unionByName(one)
-    return out if out is not None else candidates.withColumn("plausible", F.lit(0).cast("long"))
+    omegas = sorted(set(omegas or [r[0] for r in candidates.select("omega").distinct().collect()]))  # at most m
+    if not omegas:
+        return candidates.withColumn("plausible", F.lit(0).cast("long"))
+    order, m = [model.schema.names[i] for i in model.graph.order], model.m
+    # one index of all depths, one scan of the candidates: attributes beyond a candidate's depth are blanked on both sides
+    deepest = max(m - w for w in omegas)
+    index = prefix_counts(seeds, order, [m - w for w in omegas])
+    names = order[:deepest]
+    index = index.select(F.col("depth").alias("_depth"), *[(F.when(F.col("depth") > j, F.col(a)).otherwise(F.lit(-1))).alias(f"_p{j}") for j, a in enumerate(names)], F.col("n").alias("_n"))
+    depth = F.lit(m) - F.col("omega")
+    asked = candidates.withColumn("_depth", depth).withColumns({f"_p{j}": F.when(depth > j, F.col(a)).otherwise(F.lit(-1)) for j, a in enumerate(names)})
+    done = asked.join(index, ["_depth", *[f"_p{j}" for j in range(deepest)]], "left")
+    return done.select(*candidates.columns, F.coalesce("_n", F.lit(0)).cast("long").alias("plausible"))
 
 
 def mixture_counts(model: Model, candidates: DataFrame, seeds: DataFrame, omegas, gamma: float) -> DataFrame:
@@ -142,18 +142,23 @@ def capped_scan(pairs: DataFrame, max_plausible: int, max_check: int, salt: str,
     return run.where(before < max_plausible).groupBy(key).agg(F.max("_k").alias("plausible"), F.count("*").alias("checked"))
 
 
-def generic_counts(candidates: DataFrame, seeds: DataFrame, logp: Column, gamma: float, key: str = "cand_id", most: int = 100_000) -> DataFrame:
+def generic_counts(candidates: DataFrame, seeds: DataFrame, logp: Column, gamma: float, key: str = "cand_id", block: int = 10_000, max_check: int | None = None, salt: str = "scan") -> DataFrame:
     """key, bucket, plausible under any likelihood: every candidate against every seed, by definition of the test.
 
-    candidates: key, y (struct), seed (struct); seeds: d (struct); logp: over y and d. candidates are counted first and
-    must not exceed `most`, the block that each task holds; larger sets come in blocks of their own.
+    candidates: key, y (struct), seed (struct); seeds: d (struct), and rk where max_check is given; logp: over y and d. Candidates come in blocks
+    of about `block` by a hash of their key, which bounds what is broadcast; each block scans the seeds once. With max_check each block looks
+    at as many seeds as that alone, those with the smallest keyed numbers (a random sample, the same for a block's candidates).
     """
-    n = candidates.count()
-    if n > most:
-        raise ValueError(f"{n} candidates exceed a block of {most}")
+    blocks = max(1, -(-candidates.count() // block))
     own = candidates.select(key, "y", F.col("seed").alias("d")).withColumn("own", gamma_bucket(logp, gamma)).select(key, "y", "own")
-    tested = seeds.select("d").crossJoin(F.broadcast(own)).withColumn("b", gamma_bucket(logp, gamma))
-    return tested.groupBy(key).agg(F.first("own").alias("bucket"), F.count_if(F.col("b") == F.col("own")).alias("plausible"))
+    out = None
+    for k in range(blocks):
+        some = own.where(F.pmod(F.xxhash64(F.col(key)), F.lit(blocks)) == k)
+        looked = seeds if max_check is None else seeds.orderBy(uniform(f"{salt}-{k}", "rk"), "rk").limit(max_check)
+        tested = looked.select("d").crossJoin(F.broadcast(some)).withColumn("b", gamma_bucket(logp, gamma))
+        one = tested.groupBy(key).agg(F.first("own").alias("bucket"), F.count_if(F.col("b") == F.col("own")).alias("plausible"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def seed_partitions(pairs: DataFrame, gamma: float) -> DataFrame:

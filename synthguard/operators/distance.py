@@ -12,35 +12,45 @@ from pyspark.sql import functions as F
 from synthguard.plans.schema import Schema
 
 
-def distributions(df: DataFrame, schema: Schema, pairs: bool = False) -> DataFrame:
-    """attrs, value, p of every attribute or pair: one scan, fixed arrays in each task."""
+def distributions(df: DataFrame, schema: Schema, pairs: bool = False, by: str | None = None) -> DataFrame:
+    """attrs, value, p of every attribute or pair (for each value of by, a column of few values): one scan, fixed arrays in each task."""
     names, cards = schema.names, [a.card for a in schema.attributes]
     sets = list(combinations(range(len(names)), 2)) if pairs else [(i, i) for i in range(len(names))]
 
     def count(batches):
-        total = [np.zeros(cards[i] * (cards[j] if i != j else 1), np.int64) for i, j in sets]
+        totals = {}
         for b in batches:
-            x = [b.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in names]
+            kinds = np.array(b.column("_kind").to_pylist())
+            for kind in sorted(set(kinds.tolist())):
+                at = kinds == kind
+                total = totals.setdefault(kind, [np.zeros(cards[i] * (cards[j] if i != j else 1), np.int64) for i, j in sets])
+                x = [b.column(n).to_numpy(zero_copy_only=False).astype(np.int64)[at] for n in names]
+                for t, (i, j) in zip(total, sets, strict=True):
+                    t += np.bincount(x[i] * cards[j] + x[j] if i != j else x[i], minlength=len(t))
+        for kind, total in totals.items():
             for t, (i, j) in zip(total, sets, strict=True):
-                t += np.bincount(x[i] * cards[j] + x[j] if i != j else x[i], minlength=len(t))
-        for t, (i, j) in zip(total, sets, strict=True):
-            at = np.flatnonzero(t)
-            label = names[i] if i == j else f"{names[i]},{names[j]}"
-            yield pa.RecordBatch.from_arrays([pa.array([label] * len(at), pa.string()), pa.array(at), pa.array(t[at])], names=["attrs", "value", "n"])
+                at = np.flatnonzero(t)
+                label = names[i] if i == j else f"{names[i]},{names[j]}"
+                yield pa.RecordBatch.from_arrays([pa.array([kind] * len(at), pa.string()), pa.array([label] * len(at), pa.string()), pa.array(at), pa.array(t[at])], names=["_kind", "attrs", "value", "n"])
 
-    found = df.select(*names).mapInArrow(count, "attrs string, value long, n long").groupBy("attrs", "value").agg(F.sum("n").alias("n"))
-    totals = found.groupBy("attrs").agg(F.sum("n").alias("_all"))  # a row for each attribute or pair
-    return found.join(F.broadcast(totals), "attrs").select("attrs", "value", (F.col("n") / F.col("_all")).alias("p"))
+    kind = F.lit("") if by is None else F.col(by).cast("string")
+    found = df.select(kind.alias("_kind"), *names).mapInArrow(count, "_kind string, attrs string, value long, n long").groupBy("_kind", "attrs", "value").agg(F.sum("n").alias("n"))
+    totals = found.groupBy("_kind", "attrs").agg(F.sum("n").alias("_all"))  # a row for each attribute or pair
+    told = found.join(F.broadcast(totals), ["_kind", "attrs"])
+    return told.select(*([F.col("_kind").alias(by)] if by else []), "attrs", "value", (F.col("n") / F.col("_all")).alias("p"))
 
 
-def tv_distance(a: DataFrame, b: DataFrame, schema: Schema, pairs: bool = False) -> DataFrame:
-    """attrs, distance: half the sum of absolute differences; values that one side lacks count there as 0."""
-    x, y = distributions(a, schema, pairs), distributions(b, schema, pairs).withColumnRenamed("p", "q")
-    both = x.join(y, ["attrs", "value"], "full")
-    return both.groupBy("attrs").agg((0.5 * F.sum(F.abs(F.coalesce("p", F.lit(0.0)) - F.coalesce("q", F.lit(0.0))))).alias("distance"))
+def tv_distance(a: DataFrame, b: DataFrame, schema: Schema, pairs: bool = False, by: str | None = None) -> DataFrame:
+    """attrs, distance (for each value of by in b): half the sum of absolute differences; values that one side lacks count there as 0."""
+    x, y = distributions(a, schema, pairs), distributions(b, schema, pairs, by).withColumnRenamed("p", "q")
+    if by:
+        x = x.crossJoin(F.broadcast(y.select(by).distinct()))  # a row for each kind
+    keys = [*([by] if by else []), "attrs"]
+    both = x.join(y, [*keys, "value"], "full")
+    return both.groupBy(*keys).agg((0.5 * F.sum(F.abs(F.coalesce("p", F.lit(0.0)) - F.coalesce("q", F.lit(0.0))))).alias("distance"))
 
 
-def boxplot(distances: DataFrame) -> DataFrame:
-    """low, q1, median, q3, high of the distances."""
+def boxplot(distances: DataFrame, by: list[str] = ()) -> DataFrame:
+    """low, q1, median, q3, high of the distances (for each value of by)."""
     q = F.percentile("distance", F.array(*[F.lit(x) for x in (0.0, 0.25, 0.5, 0.75, 1.0)]))
-    return distances.agg(q.alias("_q")).select(*[F.col("_q")[i].alias(n) for i, n in enumerate(("low", "q1", "median", "q3", "high"))])
+    return distances.groupBy(*by).agg(q.alias("_q")).select(*by, *[F.col("_q")[i].alias(n) for i, n in enumerate(("low", "q1", "median", "q3", "high"))])

@@ -13,7 +13,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from synthguard.functions.noise import uniform
-from synthguard.plans.schema import Schema
+from synthguard.operators.bounded import generator, trained
+from synthguard.plans.schema import Schema, categorical
 
 
 def vectors(df: DataFrame, schema: Schema, target: str | None) -> DataFrame:
@@ -147,6 +148,11 @@ def minimise(df: DataFrame, schema: Schema, target: str, loss: str, lam: float,
             t[r["k"]] = r["s"]
         return t[0] / n + lam / 2 * w @ w + linear @ w / n, t[1 : d + 1] / n + lam * w + linear / n, t[d + 1 :].reshape(d, d) / n + lam * np.eye(d)
 
+    return newton(measured, d, n, bound, steps)
+
+
+def newton(measured, d: int, n: int, bound: float, steps: int) -> np.ndarray:
+    """The minimum by damped steps; measured: cost, gradient and curvature at w."""
     # with damping at the bound of the curvature a step cannot fail; it is taken off as steps succeed
     w, damping = np.zeros(d), bound
     cost, g, h = measured(w)
@@ -165,27 +171,47 @@ def minimise(df: DataFrame, schema: Schema, target: str, loss: str, lam: float,
     raise RuntimeError(f"{steps} steps left a gradient of {np.linalg.norm(g)}")
 
 
-def _noise(d: int, rate: float, seed: int) -> np.ndarray:
-    """A vector of random direction whose norm has density proportional to r^(d-1) exp(-rate r)."""
-    rng = np.random.Generator(np.random.Philox(seed))
+def minimise_arrays(x: np.ndarray, y: np.ndarray, loss: str, lam: float, linear: np.ndarray | None = None, steps: int = 200) -> np.ndarray:
+    """minimise() of a sample that one task holds; y in -1, 1."""
+    slope, bound, value, bend = _loss(loss)
+    n, d = x.shape
+    linear = np.zeros(d) if linear is None else linear
+
+    def measured(w):
+        z = y * (x @ w)
+        return value(z).sum() / n + lam / 2 * w @ w + linear @ w / n, x.T @ (slope(z) * y) / n + lam * w + linear / n, x.T @ (x * bend(z)[:, None]) / n + lam * np.eye(d)
+
+    return newton(measured, d, n, bound, steps)
+
+
+def _noise(d: int, rate: float, *key) -> np.ndarray:
+    """A vector of random direction whose norm has density proportional to r^(d-1) exp(-rate r); it hangs on the key, whose salt must stay secret."""
+    rng = generator(*key)
     v = rng.normal(size=d)
     return v / np.linalg.norm(v) * rng.gamma(d, 1 / rate)
 
 
-def linear_weights(df: DataFrame, schema: Schema, target: str, loss: str = "lr", lam: float = 1e-4, privacy: str | None = None, eps: float = 1.0, seed: int = 1, steps: int = 200) -> np.ndarray:
-    """Weights without privacy, or eps-private by perturbing the output or the objective. loss: lr, or svm (Huber's hinge)."""
-    n, d = df.count(), encoded_width(schema, target)
+def private_weights(fit, n: int, d: int, loss: str, lam: float, privacy: str | None, eps: float, *key) -> np.ndarray:
+    """Weights of fit(lam, linear) without privacy, or eps-private by perturbing the output or the objective."""
     if privacy is None:
-        return minimise(df, schema, target, loss, lam, n=n, steps=steps)
+        return fit(lam, None)
     if privacy == "output":
-        return minimise(df, schema, target, loss, lam, n=n, steps=steps) + _noise(d, n * lam * eps / 2, seed)
+        return fit(lam, None) + _noise(d, n * lam * eps / 2, *key, loss, privacy)
     c = _loss(loss)[1]
     left = eps - math.log(1 + 2 * c / (n * lam) + c * c / (n * lam) ** 2)
     extra = 0.0
     if left <= 0:
         extra = c / (n * (math.exp(eps / 4) - 1)) - lam
         left = eps / 2
-    return minimise(df, schema, target, loss, lam + max(extra, 0.0), _noise(d, left / 2, seed), n, steps)
+    return fit(lam + max(extra, 0.0), _noise(d, left / 2, *key, loss, privacy))
+
+
+def linear_weights(df: DataFrame, schema: Schema, target: str, loss: str = "lr", lam: float = 1e-4, privacy: str | None = None, eps: float = 1.0, salt: str = "", steps: int = 200) -> np.ndarray:
+    """Weights without privacy, or eps-private; loss: lr, or svm (Huber's hinge). The noise hangs on salt, a secret, and the loss."""
+    if privacy is not None and not salt:
+        raise ValueError("the noise needs a secret salt")
+    n, d = df.count(), encoded_width(schema, target)
+    return private_weights(lambda lam, push: minimise(df, schema, target, loss, lam, push, n, steps), n, d, loss, lam, privacy, eps, salt, schema.name, target)
 
 
 def linear(weights: np.ndarray, schema: Schema, target: str) -> Fitted:
@@ -226,11 +252,14 @@ def game(real: DataFrame, other: DataFrame, schema: Schema, kind: str, salt: str
 
     Each side gives its n rows of the smallest keyed numbers; by the same order, its first two thirds train and the rest test."""
     n = min(real.count(), other.count())
-    label = Schema(schema.name + "_game", (*schema.attributes, type(schema.attributes[0])("_real", "categorical", 2, (0, 1), ("0", "1"))))
+    label = with_label(schema)
 
     def even(df, mark):
+        # the n smallest numbers: a bound that surely lets them pass, and a sort of what is left
         u = uniform(f"{salt}-{mark}", key)
-        return df.withColumn("_u", u).orderBy("_u").limit(n).withColumn("_real", F.lit(mark)).select(*label.names, "_u")
+        share = n / max(1, df.count())
+        near = min(1.0, share + 6 * math.sqrt(share / max(1, df.count())) + 20 / max(1, df.count()))
+        return df.withColumn("_u", u).where(F.col("_u") <= near).orderBy("_u").limit(n).withColumn("_real", F.lit(mark)).select(*label.names, "_u")
 
     mixed = even(real, 1).unionByName(even(other, 0)).cache()
     try:
@@ -240,3 +269,19 @@ def game(real: DataFrame, other: DataFrame, schema: Schema, kind: str, salt: str
         return accuracy(fit(kind, mixed.where(train), label, "_real"), mixed.where(~train), "_real")
     finally:
         mixed.unpersist()
+
+
+def with_label(schema: Schema) -> Schema:
+    """The schema of records that are marked as real or not."""
+    return Schema(schema.name + "_game", (*schema.attributes, categorical("_real", ("0", "1"))))
+
+
+def play(rows: pd.DataFrame, label: Schema, kinds=("tree", "rf")) -> pd.DataFrame:
+    """The game on one sample (kind, the attributes, _real, and _u, by which each side is ordered): kind, classifier, accuracy, records of a side."""
+    name, got = rows["kind"].iloc[0], []
+    sides = [rows[rows["_real"] == mark].sort_values("_u") for mark in (0, 1)]
+    n = min(map(len, sides))
+    train, test = (pd.concat([s.iloc[a:b] for s in sides]) for a, b in ((0, 2 * n // 3), (2 * n // 3, n)))
+    for c in kinds if n >= 3 else ():
+        got.append((name, c, float((trained(c, train, label, "_real", "game")(test) == test["_real"]).mean()), n))
+    return pd.DataFrame(got, columns=["kind", "classifier", "accuracy", "records"])

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+from dataclasses import dataclass
 from math import lgamma, log
 
 import numpy as np
@@ -11,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from synthguard.functions.noise import laplace
+from synthguard.functions.noise import laplace, laplace_value, uniform
 from synthguard.operators.prep import bucket
 from synthguard.operators.structure import config_cost
 from synthguard.plans.schema import Graph, Schema
@@ -26,26 +28,92 @@ def config(schema: Schema, graph: Graph, i: int) -> Column:
     return out
 
 
-def counts(df: DataFrame, schema: Schema, graph: Graph) -> DataFrame:
-    """attr, config, value, n of what occurs: one scan, fixed arrays in each task, tiny partial sums."""
-    names = schema.names
-    lookup = [np.array(a.bucket_of, np.int64) for a in schema.attributes]
-    sizes = [config_cost(graph.parents[i], schema) * schema.attributes[i].card for i in range(len(schema))]
+def config_numbers(schema: Schema, parents, x: list[np.ndarray]) -> np.ndarray:
+    """The same numbers for arrays of codes, one array for each attribute."""
+    out = np.zeros(len(x[0]), np.int64)
+    for p in parents:
+        a = schema.attributes[p]
+        out = out * a.buckets + np.asarray(a.bucket_of, np.int64)[x[p]]
+    return out
+
+
+def _counted(df: DataFrame, schema: Schema, sets) -> DataFrame:
+    """s, at, n: how often each cell (configuration times card plus value) of each (attribute, parents) in sets occurs: one scan, fixed arrays in each task."""
+    sizes = [config_cost(ps, schema) * schema.attributes[i].card for i, ps in sets]
 
     def run(batches):
         total = [np.zeros(s, np.int64) for s in sizes]
         for batch in batches:
-            x = [batch.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in names]
-            for i, t in enumerate(total):
-                c = np.zeros(batch.num_rows, np.int64)
-                for p in graph.parents[i]:
-                    c = c * schema.attributes[p].buckets + lookup[p][x[p]]
-                t += np.bincount(c * schema.attributes[i].card + x[i], minlength=len(t))
-        for i, t in enumerate(total):
-            at, card = np.flatnonzero(t), schema.attributes[i].card
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), i, np.int32)), pa.array(at // card), pa.array((at % card).astype(np.int32)), pa.array(t[at])], names=["attr", "config", "value", "n"])
+            x = [batch.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in schema.names]
+            for t, (i, ps) in zip(total, sets, strict=True):
+                t += np.bincount(config_numbers(schema, ps, x) * schema.attributes[i].card + x[i], minlength=len(t))
+        for k, t in enumerate(total):
+            at = np.flatnonzero(t)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), k, np.int32)), pa.array(at), pa.array(t[at])], names=["s", "at", "n"])
 
-    return df.select(*names).mapInArrow(run, "attr int, config long, value int, n long").groupBy("attr", "config", "value").agg(F.sum("n").alias("n"))
+    return df.select(*schema.names).mapInArrow(run, "s int, at long, n long").groupBy("s", "at").agg(F.sum("n").alias("n"))
+
+
+def counts(df: DataFrame, schema: Schema, graph: Graph) -> DataFrame:
+    """attr, config, value, n of what occurs."""
+    found = _counted(df, schema, list(enumerate(graph.parents)))
+    card = F.element_at(F.array(*[F.lit(a.card) for a in schema.attributes]), F.col("s") + 1)
+    return found.select(F.col("s").alias("attr"), F.floor(F.col("at") / card).cast("long").alias("config"), F.pmod("at", card).cast("int").alias("value"), "n")
+
+
+def counts_by_set(df: DataFrame, schema: Schema, graphs: list[Graph]) -> dict:
+    """(attribute, parents) -> configurations x values, of all graphs' sets in one scan: at most maxcost * card numbers for each set."""
+    sets = sorted({(i, ps) for g in graphs for i, ps in enumerate(g.parents)})
+    out = [np.zeros((config_cost(ps, schema), schema.attributes[i].card)) for i, ps in sets]
+    for r in _counted(df, schema, sets).collect():
+        out[r["s"]].flat[r["at"]] = r["n"]
+    return dict(zip(sets, out, strict=True))
+
+
+@dataclass(frozen=True)
+class Tables:
+    """Conditional tables as arrays: for each attribute a row of probabilities, and of their sums, for each configuration."""
+
+    probs: tuple[np.ndarray, ...]
+    cum: tuple[np.ndarray, ...]
+
+    @staticmethod
+    def of_rows(schema: Schema, graph: Graph, rows) -> Tables:
+        """Of rows (attr, config, probs); a configuration that has none is not a number."""
+        probs = [np.full((config_cost(ps, schema), schema.attributes[i].card), np.nan) for i, ps in enumerate(graph.parents)]
+        for r in rows:
+            probs[r["attr"]][r["config"]] = r["probs"]
+        return Tables(tuple(probs), tuple(np.cumsum(p, 1) for p in probs))
+
+    def rows(self):
+        """(attr, config, probs, cum)."""
+        for i, (p, c) in enumerate(zip(self.probs, self.cum, strict=True)):
+            for k, (x, y) in enumerate(zip(p.tolist(), c.tolist(), strict=True)):
+                yield i, k, x, y
+
+
+def learn_tables(counted: dict, schema: Schema, graph: Graph, alpha: float = 1.0, estimator: str = "mean", eps: float | None = None, salt: str = "parameters") -> Tables:
+    """The tables of learn_parameters from counts_by_set(), with the same noise and the same draws."""
+    probs = []
+    for i, ps in enumerate(graph.parents):
+        n = counted[i, ps]
+        if eps is not None:
+            noise = [[laplace_value(1 / eps, salt, i, c, v) for v in range(n.shape[1])] for c in range(n.shape[0])]
+            n = np.maximum(0.0, n + noise)
+        if estimator == "sampled":
+            p = np.array([_posterior_draw(salt, i, c, x, alpha) for c, x in enumerate(n)])
+        else:
+            raw = np.maximum(n + {"mean": alpha, "mode": alpha - 1}[estimator], 0.0)
+            total = raw.sum(1, keepdims=True)
+            p = np.where(total > 0, raw / np.where(total > 0, total, 1), 1 / n.shape[1])
+        probs.append(p)
+    return Tables(tuple(probs), tuple(np.cumsum(p, 1) for p in probs))
+
+
+def _posterior_draw(salt: str, attr: int, conf: int, n, alpha: float) -> list[float]:
+    seed = int.from_bytes(hashlib.sha256(f"{salt}|{attr}|{conf}".encode()).digest()[:16], "little")
+    g = np.random.Generator(np.random.Philox(key=seed)).standard_gamma(np.asarray(n) + alpha)
+    return (g / g.sum()).tolist() if g.sum() > 0 else [1 / len(n)] * len(n)
 
 
 def all_configs(spark, schema: Schema, graph: Graph) -> DataFrame:
@@ -68,13 +136,7 @@ def estimate(cells_: DataFrame, alpha: float = 1.0, estimator: str = "mean", sal
     weights = cells_.groupBy("attr", "config").agg(F.transform(F.array_sort(F.collect_list(F.struct("value", "n"))), lambda s: s["n"]).alias("n"))
     if estimator == "sampled":
         def draw(attr: pd.Series, conf: pd.Series, n: pd.Series) -> pd.Series:
-            import hashlib
-
-            out = []
-            for a, c, x in zip(attr, conf, n, strict=True):
-                seed = int.from_bytes(hashlib.sha256(f"{salt}|{a}|{c}".encode()).digest()[:16], "little")
-                g = np.random.Generator(np.random.Philox(key=seed)).standard_gamma(np.asarray(x) + alpha)
-                out.append((g / g.sum()).tolist() if g.sum() > 0 else [1 / len(x)] * len(x))
+            out = [_posterior_draw(salt, a, c, x, alpha) for a, c, x in zip(attr, conf, n, strict=True)]
             return pd.Series(out)
 
         probs = F.pandas_udf(draw, T.ArrayType(T.DoubleType()))("attr", "config", "n")
@@ -113,6 +175,17 @@ def linear_params(df: DataFrame, target: str, regressor: str, by: list[str]) ->
     return df.groupBy(*by).agg(F.regr_slope(target, regressor).alias("slope"), F.regr_intercept(target, regressor).alias("intercept"), F.count("*").alias("n"))
 
 
+def draw_continuous(df: DataFrame, params: DataFrame, by: list[str], salt: str, out: str, key: str = "rk", regressor: str | None = None, spread: float = 1.0) -> DataFrame:
+    """df with a continuous target drawn for each row: normal with gaussian_params(), or linear_params() of the regressor with
+    normal residuals of the given deviation. The draw hangs on salt and key (Box and Muller's transform of two keyed numbers)."""
+    names = df.columns
+    normal = F.sqrt(-2 * F.ln(uniform(salt, key, F.lit("r")))) * F.cos(2 * float(np.pi) * uniform(salt, key, F.lit("a")))
+    known = params.select(*by, *[F.col(c).alias(f"_{c}") for c in params.columns if c not in (*by, "n")])
+    told = df.join(known, by, "left")
+    value = F.col("_mean") + F.col("_deviation") * normal if regressor is None else F.col("_slope") * F.col(regressor) + F.col("_intercept") + spread * normal
+    return told.select(*names, value.alias(out))
+
+
 def without_parents(schema: Schema) -> Graph:
     """The graph of the marginal baseline."""
     return Graph(((),) * len(schema), tuple(range(len(schema))))

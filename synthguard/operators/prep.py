@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import math
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from synthguard.functions.noise import uniform
@@ -68,44 +71,58 @@ def part(df: DataFrame, which: str, shares=SHARES, salt: str = SALT) -> DataFram
     raise ValueError(f"no split {which}")
 
 
-def dense_ids(df: DataFrame, name: str = "_rid") -> DataFrame:
-    """df with ids 0..n-1 without a global sort: the partitions' row counts (one number for each) give their offsets.
+def ranked(df: DataFrame, n: int, in_cell: int = 10_000, most_cells: int = 100_000) -> tuple[DataFrame, np.ndarray]:
+    """df with a cell by the hash of its key (_c) and a rank in it (_r, from 0), and the number of rows of each cell.
 
-    df must give the same rows in the same partitions on every run, as a written table does.
-    """
-    marked = df.withColumn("_part", F.spark_partition_id()).withColumn("_in", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
-    counts = sorted(marked.groupBy("_part").count().collect())
-    offsets, at = [], 0
-    for p, n in counts:
-        offsets.append((p, at))
-        at += n
-    known = df.sparkSession.createDataFrame(offsets or [(0, 0)], "_part int, _at long")
-    return marked.join(F.broadcast(known), "_part").withColumn(name, F.col("_at") + F.col("_in")).drop("_part", "_in", "_at")
+    Both hang on the rows alone, so they are the same however a plan deals its rows to partitions. n: about how many rows
+    there are; cells hold about in_cell rows, and at most most_cells numbers go to the driver."""
+    cells = int(min(max(1, n // in_cell), most_cells))
+    marked = df.withColumn("_c", F.pmod(F.xxhash64("rk"), F.lit(cells)))
+    sizes = np.zeros(cells, np.int64)
+    for r in marked.groupBy("_c").count().collect():
+        sizes[r["_c"]] = r["count"]
+    order = Window.partitionBy("_c").orderBy("rk", *[c for c in df.columns if c != "rk"])
+    return marked.withColumn("_r", (F.row_number().over(order) - 1).cast("long")), sizes
 
 
 def sample_seeds(seeds: DataFrame, n: int, salt: str, how: str = "rank") -> DataFrame:
     """Seeds, each drawn uniformly and on its own: rows of seeds with cand_id.
 
-    rank: exactly n draws with replacement, each a hashed rank joined to dense ids. poisson: every row comes a hashed
-    Poisson number of times with mean n / rows; it needs no ids and no join, but its draws are not exactly n.
+    rank: exactly n draws with replacement, each a hashed rank joined to the rows' own ranks. poisson: every row comes a hashed
+    Poisson number of times with mean n / rows; it needs no ranks and no join, but its draws are not exactly n.
     """
     spark = seeds.sparkSession
+    total = seeds.count()
     if how == "rank":
-        held = dense_ids(seeds)
-        total = held.count()
-        draws = spark.range(n).select(F.col("id").cast("string").alias("cand_id"), F.floor(uniform(salt, F.col("id")) * total).cast("long").alias("_rid"))
-        return draws.join(held, "_rid").drop("_rid")
+        held, sizes = ranked(seeds, total)
+        ends = np.cumsum(sizes)
+        if not ends[-1]:
+            raise ValueError("there are no seeds")
+        known = spark.sparkContext.broadcast(ends)
+
+        @F.pandas_udf("struct<_c: long, _r: long>")
+        def place(u: pd.Series) -> pd.DataFrame:
+            e = known.value
+            rank = np.minimum(np.floor(u.to_numpy() * e[-1]).astype(np.int64), e[-1] - 1)
+            cell = np.searchsorted(e, rank, "right")
+            return pd.DataFrame({"_c": cell, "_r": rank - np.where(cell > 0, e[cell - 1], 0)})
+
+        draws = spark.range(n).select(F.col("id").cast("string").alias("cand_id"), place(uniform(salt, F.col("id"))).alias("_at")).select("cand_id", "_at.*")
+        return draws.join(held, ["_c", "_r"]).drop("_c", "_r")
     if how == "poisson":
-        mean = n / max(1, seeds.count())
+        mean = n / max(1, total)
+        if mean > 500:
+            raise ValueError("more than 500 draws a row: draw by rank")
         u = uniform(salt, "rk")
         # the inverse of the Poisson distribution, summed up to where the tail is below 2**-52
-        terms, p, total = [], 2.718281828459045 ** (-mean), 0.0
+        terms, p, reached = [], math.exp(-mean), 0.0
         k = 0
-        while total + p < 1 - 2**-52 and k < 1000:
-            total += p
+        while reached + p < 1 - 2**-52 and k < 2000:
+            reached += p
             k += 1
-            terms.append(total)
+            terms.append(reached)
             p *= mean / k
-        times = F.size(F.filter(F.array(*[F.lit(t) for t in terms]), lambda t: t <= u)) if terms else F.lit(0)
+        # bound once: a hash in the lambda would be made for each term
+        times = F.transform(F.array(u), lambda v: F.size(F.filter(F.array(*[F.lit(t) for t in terms]), lambda t: t <= v)))[0] if terms else F.lit(0)
         return seeds.withColumn("_n", times).where("_n > 0").withColumn("_k", F.explode(F.sequence(F.lit(1), "_n"))).withColumn("cand_id", F.concat_ws("#", "rk", "_k")).drop("_n", "_k")
     raise ValueError("how is rank or poisson")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import zipfile
 from pathlib import Path
@@ -21,6 +23,7 @@ def ship(spark: SparkSession) -> SparkSession:
     if app not in _sent:
         here = Path(__file__).resolve().parent
         target = Path(tempfile.mkdtemp(prefix="synthguard-src-")) / "synthguard_src.zip"
+        atexit.register(shutil.rmtree, target.parent, True)
         with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as z:
             for p in sorted(here.rglob("*.py")):
                 z.write(p, p.relative_to(here.parent))

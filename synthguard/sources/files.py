@@ -71,8 +71,8 @@ def run_config(spark: SparkSession, path: str) -> int:
     t, p, s = (prep.part(df, which, salt=f"{salt}-split") for which in ("T", "P", "S"))
     e_h, e_p = calibrate(eps, m, 2.0**-30) if eps is not None else (None, None)
     graph = structure.learn(t, schema, min_gain=x.get("min_gain", 0.02), eps_entropy=e_h, salt=f"{salt}-structure")
-    table = parameters.learn_parameters(p, schema, graph, estimator="mean" if eps is None else "sampled", eps=e_p, salt=f"{salt}-parameters")
-    out = release.release(synth.Model(schema, graph, synth.settled(table)), s, x["params"], x.get("n") or s.count(), x.get("omega", m), salt, x.get("test", "randomized")).persist()
+    tables = parameters.learn_tables(parameters.counts_by_set(p, schema, [graph]), schema, graph, estimator="mean" if eps is None else "sampled", eps=e_p, salt=f"{salt}-parameters")
+    out = release.release(synth.from_tables(spark, schema, graph, tables), s, x["params"], x.get("n") or s.count(), x.get("omega", m), salt, x.get("test", "randomized")).persist()
     write_release(out, schema, x["output"], "csv")
     released = out.count()
     out.unpersist()

@@ -3,14 +3,16 @@
 from __future__ import annotations
 
 import math
+from contextlib import contextmanager
 from itertools import combinations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from synthguard.functions.noise import laplace_sql, uniform_sql
+from synthguard.functions.noise import laplace_sql, uniform, uniform_sql
 from synthguard.functions.scalar import gamma_bucket, pass_probability
-from synthguard.operators import deniability, distance, info, learners, params, predict, prep, release, structure, synth
+from synthguard.operators import bounded, deniability, distance, info, learners, params, predict, prep, release, structure, synth
 from synthguard.plans.budget import calibrate, entropy_sensitivity, release_epsilon
 from synthguard.plans.schema import DeniabilityParams, Graph, Schema
 from synthguard.sources.tables import CONVERSATION, DOCUMENT, EVENT, ORDERLINE, View, read_table, wide_view
@@ -37,18 +39,30 @@ def split_of(spark: SparkSession, sf_dir: str, which: str, view: View = ORDERLIN
 
 
 def fixed_model(spark: SparkSession, sf_dir: str) -> synth.Model:
-    return synth.Model(OL, FIXED, synth.settled(params.learn_parameters(split_of(spark, sf_dir, "P"), OL, FIXED)))
+    return synth.from_tables(spark, OL, FIXED, params.learn_tables(params.counts_by_set(split_of(spark, sf_dir, "P"), OL, [FIXED]), OL, FIXED))
+
+
+def learned_graphs(t: DataFrame, schema: Schema, cases: dict[str, float | None], min_gain: float = 0.02) -> dict[str, Graph]:
+    """By salt: the graph of t without noise, or with noise of its own that keeps to that epsilon; one scan for all."""
+    values, n = info.entropy_sets(t, schema)
+    noisy = lambda salt, eps: values if eps is None else info.with_noise(values, n, calibrate(eps, len(schema), 2.0**-30)[0], 0.01, f"{salt}-structure")
+    return {salt: structure.learn_structure(info.correlations(noisy(salt, eps), len(schema)), schema, min_gain=min_gain) for salt, eps in cases.items()}
+
+
+def learned_tables(p: DataFrame, schema: Schema, graphs: dict[str, Graph], cases: dict[str, float | None]) -> dict[str, params.Tables]:
+    """By salt: the graph's tables, private and drawn from their posterior where there is an epsilon; one scan for all."""
+    counted, out = params.counts_by_set(p, schema, list(graphs.values())), {}
+    for salt, eps in cases.items():
+        noise = {} if eps is None else {"estimator": "sampled", "eps": calibrate(eps, len(schema), 2.0**-30)[1], "salt": f"{salt}-parameters"}
+        out[salt] = params.learn_tables(counted, schema, graphs[salt], **noise)
+    return out
 
 
 def learned_model(spark: SparkSession, sf_dir: str, eps: float | None = None, salt: str = "model", min_gain: float = 0.02, view: View = ORDERLINE, split: str = prep.SALT) -> synth.Model:
     """Structure from T and parameters from P; with eps, both private and the parameters drawn from their posterior."""
     schema, t, p = view.schema, split_of(spark, sf_dir, "T", view, split), split_of(spark, sf_dir, "P", view, split)
-    if eps is None:
-        graph = structure.learn(t, schema, min_gain=min_gain)
-        return synth.Model(schema, graph, synth.settled(params.learn_parameters(p, schema, graph)))
-    e_h, e_p = calibrate(eps, len(schema), 2.0**-30)
-    graph = structure.learn(t, schema, min_gain=min_gain, eps_entropy=e_h, salt=f"{salt}-structure")
-    return synth.Model(schema, graph, synth.settled(params.learn_parameters(p, schema, graph, estimator="sampled", eps=e_p, salt=f"{salt}-parameters")))
+    graphs = learned_graphs(t, schema, {salt: eps}, min_gain)
+    return synth.from_tables(spark, schema, graphs[salt], learned_tables(p, schema, graphs, {salt: eps})[salt])
 
 
 def _seeds(spark: SparkSession, sf_dir: str, view: View = ORDERLINE, split: str = prep.SALT) -> DataFrame:
@@ -206,7 +220,7 @@ _CORR = "corr AS (SELECT a.i, a.j, CASE WHEN x.h + b.h <= 0 THEN 0 ELSE greatest
 
 def _correlations_sql():
     name = lambda c: f"list_extract({list(OL.names)!r}, {c} + 1)"
-    return f"WITH {_v()}, {_part('T')}, e AS ({_entropy_sql('t_', OL)}), {_CORR} SELECT {name('i')} AS child, {name('j')} AS parent, su FROM corr"
+    return f"WITH {_v()}, {_part('T').replace(' AS ', ' AS MATERIALIZED ', 1)}, e AS MATERIALIZED ({_entropy_sql('t_', OL)}), {_CORR} SELECT {name('i')} AS child, {name('j')} AS parent, su FROM corr"
 
 
 NOISE = {"eps_entropy": 0.5, "eps_size": 0.1, "salt": "noise"}
@@ -254,11 +268,20 @@ def learned_edges(spark, sf_dir):
     return spark.createDataFrame(rows, "eps string, child string, parent string, kept long")
 
 
-def wide_structure(spark, sf_dir):
-    """Edges among the sign bits of the embeddings, above the bias floor of independent columns."""
+def wide_structure(spark, sf_dir, planted: int = 8):
+    """Edges among the sign bits of the embeddings, of which the last eight are made to follow the first (one row in eight by the hash
+    of its key excepted), above the correlation that independent columns of as many rows show; planted tells which edges were made."""
     schema, df = wide_view(spark, sf_dir, 64)
-    g = structure.learn(df, schema, maxcost=16, min_gain=0.05)
-    return spark.createDataFrame([(schema.names[c], schema.names[p]) for c, p in g.edges], "child string, parent string")
+    first = 64 - planted
+    follows = F.pmod(F.xxhash64("rk"), F.lit(8)) > 0
+    df = df.withColumns({f"s{first + k}": F.when(follows, F.col(f"s{k}")).otherwise(F.col(f"s{first + k}")) for k in range(planted)})
+    values, n = info.entropy_sets(df, schema)
+    c = info.correlations(values, len(schema))
+    # ten times what independence gives on average: the largest of 4032 pairs stays below
+    floor = 10 * max(info.spurious_floor(values, schema, n, 0, j) for j in range(1, 64))
+    g = structure.learn_structure(np.where(c > floor, c, 0.0), schema, maxcost=16, min_gain=0.05)
+    made = {(k, first + k) for k in range(planted)} | {(first + k, k) for k in range(planted)}
+    return spark.createDataFrame([(schema.names[x], schema.names[y], (x, y) in made) for x, y in g.edges], "child string, parent string, planted boolean")
 
 
 # --- parameters
@@ -274,7 +297,7 @@ def _cpt_counts_sql():
 
 
 def cpt_probs(spark, sf_dir):
-    t = fixed_model(spark, sf_dir).table
+    t = params.learn_parameters(split_of(spark, sf_dir, "P"), OL, FIXED)
     return t.select("attr", "config", F.posexplode("probs").alias("value", "p"))
 
 
@@ -334,6 +357,37 @@ def pass_rate_whole_grid(spark, sf_dir):
     return pass_rate_grid(spark, sf_dir, range(GRID[0], len(OL) + 1))
 
 
+def pass_rate_random(spark, sf_dir):
+    """Share of candidates that pass the deterministic test at gamma 2 when each draws its omega from a set, for every k."""
+    model, seeds, out = fixed_model(spark, sf_dir), _seeds(spark, sf_dir), None
+    for omegas in RANDOM:
+        counted = deniability.plausible_counts(model, synth.synthesize_random(model, seeds, omegas, SALT), seeds, omegas)
+        one = counted.agg(*[F.avg((F.col("plausible") >= k).cast("double")).alias(f"k{k}") for k in KS]).select(F.lit(f"{omegas[0]}-{omegas[-1]}").alias("omegas"), F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.col(f"k{k}").alias("pass_rate")) for k in KS])).alias("x")).select("omegas", "x.*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def pass_rate_capped(spark, sf_dir, max_check: int = 100_000):
+    """As pass_rate_random, with scans that stop after max_check seeds and the rows they look at; the scans' outcomes are drawn from their law."""
+    model, seeds, out = fixed_model(spark, sf_dir), _seeds(spark, sf_dir), None
+    for omegas in RANDOM:
+        judged = release.judged(model, seeds, DeniabilityParams(max(KS), 2.0, max_check=max_check), omegas, SALT, seeds, "deterministic")
+        one = judged.agg(F.avg("checked").alias("checked"), *[F.avg((F.col("plausible") >= k).cast("double")).alias(f"k{k}") for k in KS])
+        one = one.select(F.lit(f"{omegas[0]}-{omegas[-1]}").alias("omegas"), "checked", F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.col(f"k{k}").alias("pass_rate")) for k in KS])).alias("x")).select("omegas", "checked", "x.*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _pass_rate_random_sql():
+    m, parts = len(OL), []
+    for omegas in RANDOM:
+        pick = f"list_extract({list(omegas)}, floor({uniform_sql(f"'{SALT}|' || rk || '|omega'")} * {len(omegas)})::BIGINT + 1)"
+        counts = ", ".join(f"count(*) OVER (PARTITION BY {', '.join(ORDER[: m - w])})::BIGINT AS c{w}" if w < m else f"count(*) OVER ()::BIGINT AS c{w}" for w in omegas)
+        plausible = "CASE w " + " ".join(f"WHEN {w} THEN c{w}" for w in omegas) + " END"
+        parts += [f"SELECT '{omegas[0]}-{omegas[-1]}' AS omegas, {k}::INTEGER AS k, avg(({plausible} >= {k})::INTEGER)::DOUBLE AS pass_rate FROM (SELECT {pick} AS w, {counts} FROM s_)" for k in KS]
+    return f"WITH {_v()}, {_part('S').replace(' AS ', ' AS MATERIALIZED ', 1)} " + " UNION ALL ".join(parts)
+
+
 def _pass_rate_sql():
     m, parts = len(OL), []
     for w in GRID:
@@ -343,12 +397,9 @@ def _pass_rate_sql():
 
 
 def plausible_counts(spark, sf_dir):
-    model, seeds = fixed_model(spark, sf_dir), _seeds(spark, sf_dir)
-    out = None
-    for w in (7, 8, 9):
-        one = deniability.plausible_counts(model, synth.synthesize(model, seeds, w, SALT), seeds).groupBy("omega", "plausible").agg(F.count("*").alias("candidates"))
-        out = one if out is None else out.unionByName(one)
-    return out
+    model, seeds, omegas = fixed_model(spark, sf_dir), _seeds(spark, sf_dir), (7, 8, 9)
+    drawn = seeds.withColumn("omega", F.explode(F.array(*map(F.lit, omegas)))).withColumn("cand_id", F.concat_ws("#", "rk", "omega"))
+    return deniability.plausible_counts(model, synth.synthesize_by(model, drawn, omegas, SALT), seeds, omegas).groupBy("omega", "plausible").agg(F.count("*").alias("candidates"))
 
 
 def _plausible_sql():
@@ -488,22 +539,58 @@ def _tv_boxplot_sql():
     return f"SELECT {q} FROM ({_tv_sql(True)})"
 
 
-def kinds(spark, sf_dir, eps: float = 1.0, view: View = ORDERLINE, run: int = 0) -> dict[str, DataFrame]:
-    """The data sets that are compared: other reals, eps-private marginals, and synthetics of an eps-private model by omega (all
-    attributes, one and two less, and two random choices). Each run deals the rows anew and learns, noises and draws anew."""
+#: What the experiments compare: omegas (by how many attributes fewer than all) of each set of synthetics.
+CASES = {"omega all": (0,), "omega -1": (1,), "omega -2": (2,), "omega -2 to all": (2, 1, 0), "omega -6 to all": (6, 5, 4, 3, 2, 1, 0)}
+
+
+def case_names(m: int) -> dict[str, tuple[int, ...]]:
+    """omega m, m - 1, m - 2, m-2..m and m-6..m, with their omegas."""
+    return {(f"omega {m - less[0]}" if len(less) == 1 else f"omega {m - less[0]}-{m}"): tuple(m - x for x in less) for less in CASES.values()}
+
+
+def kinds(spark, sf_dir, eps: float = 1.0, view: View = ORDERLINE, run: int = 0) -> DataFrame:
+    """kind, rk and the attributes of the data sets that are compared: other reals, eps-private marginals, and synthetics of an eps-private
+    model by omega (all attributes, one and two less, and two random choices). Each run deals the rows anew and learns, noises and draws anew.
+
+    All synthetics come from one scan of the seeds: a candidate of each case for each seed, all tested against one index of prefixes."""
     schema, split, mark = view.schema, run_salt(run), f"-{run}" if run else ""
-    m = len(schema)
-    model, seeds = learned_model(spark, sf_dir, eps, f"kinds{mark}", 0.02, view, split), _seeds(spark, sf_dir, view, split)
+    m, k = len(schema), 50
+    seeds = _seeds(spark, sf_dir, view, split)
+    model = learned_model(spark, sf_dir, eps, f"kinds{mark}", 0.02, view, split)
     # every attribute's counts are noised, so the marginals pay as the model's parameters do
     marginals = synth.marginal_model(split_of(spark, sf_dir, "P", view, split), schema, calibrate(eps, m, 2.0**-30)[1], f"kinds-marginals{mark}")
-    out = {"reals": split_of(spark, sf_dir, "other", view, split), "marginals": synth.synthesize(marginals, seeds, m, f"marginal{mark}")}
-    cases = {**{str(w): w for w in (m, m - 1, m - 2)}, **{f"{low}-{m}": tuple(range(low, m + 1)) for low in (m - 2, m - 6)}}
-    enough = seeds.count() >= 50
-    for name, w in cases.items():
-        # the mechanism releases nothing from fewer than k seeds
-        out[f"omega {name}"] = release.judged(model, split_of(spark, sf_dir, "S", view, split), DeniabilityParams(50, 4.0), w, f"kinds-{name}{mark}", seeds).where("passed") if enough else seeds.where("false")
-    # each is read many times
-    return {k: v.select(*([c for c in ("rk", "cand_id") if c in v.columns][:1]), *schema.names).persist() for k, v in out.items()}
+    columns = ("kind", "rk", *schema.names)
+    out = split_of(spark, sf_dir, "other", view, split).withColumn("kind", F.lit("reals")).select(*columns)
+    out = out.unionByName(synth.synthesize(marginals, seeds, m, f"marginal{mark}").select(F.lit("marginals").alias("kind"), F.col("cand_id").alias("rk"), *schema.names))
+    if seeds.count() < k:  # the mechanism releases nothing from fewer than k seeds
+        return out
+    cases = case_names(m)
+    salt = f"kinds{mark}"
+    pick = lambda name, ws: F.element_at(F.array(*map(F.lit, ws)), (F.floor(uniform(salt, F.lit(name), "rk", F.lit("omega")) * len(ws)) + 1).cast("int"))
+    each = F.explode(F.array(*[F.struct(F.lit(name).alias("kind"), pick(name, ws).alias("omega")) for name, ws in cases.items()])).alias("_case")
+    drawn = seeds.select("rk", *schema.names, each).select(F.concat_ws("|", "_case.kind", "rk").alias("cand_id"), *schema.names, "_case.omega")
+    omegas = sorted({w for ws in cases.values() for w in ws})
+    counted = deniability.plausible_counts(model, synth.synthesize_by(model, drawn, omegas, salt), seeds, omegas)
+    passed = deniability.randomized(counted, k, 1.0, salt).where("passed")
+    return out.unionByName(passed.select(F.substring_index("cand_id", "|", 1).alias("kind"), F.col("cand_id").alias("rk"), *schema.names))
+
+
+def sampled(df: DataFrame, total: int, share: float, records: int, salt: str) -> DataFrame:
+    """About records rows of a share of total rows, by a keyed number of their own; all where there are fewer."""
+    keep = records / max(1.0, share * total)
+    return df if keep >= 1 else df.where(uniform(f"{salt}-sample", "rk") < keep)
+
+
+@contextmanager
+def held(*frames: DataFrame):
+    """Frames that are read many times, computed once; plans that begin like theirs read them."""
+    for df in frames:
+        df.persist()
+    try:
+        yield
+    finally:
+        for df in frames:
+            df.unpersist()
 
 
 def run_salt(run: int) -> str:
@@ -513,12 +600,14 @@ def run_salt(run: int) -> str:
 
 def tv_synthetic(spark, sf_dir):
     """Box plots of the distances to S, single attributes and pairs, for every kind of data."""
-    real, out = split_of(spark, sf_dir, "S"), None
-    for kind, df in kinds(spark, sf_dir).items():
-        for pairs in (False, True):
-            one = distance.boxplot(distance.tv_distance(real, df, OL, pairs)).select(F.lit(kind).alias("kind"), F.lit(pairs).alias("pairs"), "*")
-            out = one if out is None else out.unionByName(one)
-    return out
+    rows = []
+    with held(micro(spark, sf_dir)):
+        real, data = split_of(spark, sf_dir, "S"), kinds(spark, sf_dir)
+        with held(data):
+            for pairs in (False, True):
+                told = distance.boxplot(distance.tv_distance(real, data, OL, pairs, "kind"), ["kind"]).collect()
+                rows += [(r["kind"], pairs, *r[1:]) for r in told]
+    return spark.createDataFrame(rows, "kind string, pairs boolean, low double, q1 double, median double, q3 double, high double")
 
 
 def attribute_baselines(spark, sf_dir):
@@ -532,77 +621,146 @@ def _baselines_sql():
 
 def model_error(spark, sf_dir, models: int = 20):
     """Errors of the model without noise and at epsilon 1 and 0.1, and of the marginals; improvement over the last. Those of an
-    epsilon are means over that many models, each learned with noise of its own."""
-    test = split_of(spark, sf_dir, "test").persist()
+    epsilon are means over that many models, each learned with noise of its own; all are learned and tried in one scan each."""
+    cases = {f"error-{eps}-{t}": eps for eps in (None, 1.0, 0.1) for t in range(1 if eps is None else models)}
+    graphs = learned_graphs(split_of(spark, sf_dir, "T"), OL, cases)
+    tables = learned_tables(split_of(spark, sf_dir, "P"), OL, graphs, cases)
+    test = split_of(spark, sf_dir, "test")
     base = {r["attr"]: 1 - r["marginal_accuracy"] for r in predict.baselines(split_of(spark, sf_dir, "P"), test, OL).collect()}
+    total: dict[tuple, float] = {}
+    for r in predict.model_errors(OL, {k: (graphs[k], tables[k]) for k in cases}, test).collect():
+        at = (cases[r["model"]], r["attr"])
+        total[at] = total.get(at, 0.0) + r["error"] / (1 if cases[r["model"]] is None else models)
     rows = [("marginals", a, float(e), 0.0) for a, e in base.items()]
-    for eps in (None, 1.0, 0.1):
-        total, times = dict.fromkeys(base, 0.0), 1 if eps is None else models
-        for t in range(times):
-            for r in predict.model_error(learned_model(spark, sf_dir, eps, f"error-{eps}-{t}"), test).collect():
-                total[r["attr"]] += r["error"] / times
-        rows += [(f"eps {eps}", a, float(e), float((base[a] - e) / base[a]) if base[a] > 0 else 0.0) for a, e in total.items()]
-    test.unpersist()
+    rows += [(f"eps {eps}", a, float(e), float((base[a] - e) / base[a]) if base[a] > 0 else 0.0) for (eps, a), e in total.items()]
     return spark.createDataFrame(rows, "model string, attr string, error double, improvement double")
 
 
-def forest_accuracy(spark, sf_dir):
-    """Accuracy of a random forest for each attribute of few values, beside the model's."""
-    train, test = split_of(spark, sf_dir, "P").select(*OL.names), split_of(spark, sf_dir, "test")
-    own = {r["attr"]: 1 - r["error"] for r in predict.model_error(learned_model(spark, sf_dir), test).collect()}
-    rows = [(a.name, learners.accuracy(learners.fit("rf", train, OL, a.name), test, a.name), own[a.name]) for a in OL.attributes]
-    return spark.createDataFrame(rows, "attr string, forest double, model double")
+RECORDS = 100_000
+
+
+def forest_accuracy(spark, sf_dir, records: int = RECORDS):
+    """Accuracy of a random forest for each attribute, trained on about `records` rows, beside the model's."""
+    total = micro(spark, sf_dir).count()
+    train = sampled(split_of(spark, sf_dir, "P"), total, 0.1875, records, "forest")
+    test = split_of(spark, sf_dir, "test")
+    rows = sampled(test, total, 0.07, records, "forest").withColumn("_role", F.lit("test")).unionByName(train.withColumn("_role", F.lit("train")))
+    each = rows.withColumn("attr", F.explode(F.array(*map(F.lit, OL.names))))
 
+    def tried(pdf):
+        a = pdf["attr"].iloc[0]
+        x, y = pdf[pdf["_role"] == "train"], pdf[pdf["_role"] == "test"]
+        hit = float((bounded.trained("rf", x, OL, a)(y) == y[a]).mean()) if len(x) and len(y) else 0.0
+        return type(pdf)({"attr": [a], "forest": [hit]})
 
-def classifier_table(spark, sf_dir, runs: int = 5):
+    own = predict.model_error(learned_model(spark, sf_dir), test).select("attr", (1 - F.col("error")).alias("model"))
+    return each.groupBy("attr").applyInPandas(tried, "attr string, forest double").join(F.broadcast(own), "attr")
+
+
+def _run_of(schema: Schema, target: str):
+    """One run and classifier of the table, on rows (kind, classifier, the attributes) that hold the test rows and the yardstick's as well."""
+
+    def tried(pdf):
+        test, yard, c = pdf[pdf["kind"] == "_test"], pdf[pdf["kind"] == "_yard"], pdf["classifier"].iloc[0]
+        got = []
+        if len(test) and len(yard):
+            other = bounded.trained(c, yard, schema, target)(test)
+            for k in sorted(set(pdf["kind"]) - {"_test", "_yard"}):
+                guess = bounded.trained(c, pdf[pdf["kind"] == k], schema, target)(test)
+                got.append((k, c, float((guess == test[target]).mean()), float((guess == other).mean())))
+        return type(pdf)(got, columns=["kind", "classifier", "accuracy", "agreement"])
+
+    return tried
+
+
+def classifier_table(spark, sf_dir, runs: int = 5, records: int = RECORDS):
     """Accuracy on reals, and agreement with the classifier trained on reals, by target, classifier and training data; means
-    over runs whose training and test rows are drawn anew. `runs` counts those that had rows to train on (few labelled documents
-    may leave nothing to release); without any, the measures are null."""
-    total: dict[tuple, list[float]] = {}
+    over runs whose training and test rows are drawn anew, about `records` of each. `runs` counts those that had rows to train on (few labelled
+    documents may leave nothing to release); without any, the measures are null. The runs are trained side by side, a task each."""
+    rows = []
     for view, target in ((ORDERLINE, "netc"), (DOCUMENT, "quality")):
-        for run in range(runs):
-            part = lambda which, view=view, run=run: split_of(spark, sf_dir, which, view, run_salt(run))
-            test, data = part("test").persist(), kinds(spark, sf_dir, 1.0, view, run)
-            data["reals"].unpersist()
-            data["reals"] = part("S").persist()
-            for c in ("tree", "rf", "adaboost"):
+        schema, data = view.schema, None
+        with held(micro(spark, sf_dir, view)):
+            total = micro(spark, sf_dir, view).count()
+            for run in range(runs):
+                some = lambda df, share, run=run: sampled(df, total, share, records, f"table-{run}")  # noqa: B023, E731
+                part = lambda which, role, share, run=run: some(split_of(spark, sf_dir, which, view, run_salt(run)), share).select(F.lit(role).alias("kind"), "rk", *schema.names)  # noqa: B023, E731
+                made = some(kinds(spark, sf_dir, 1.0, view, run).where("kind <> 'reals'"), 0.49)
                 # the yardstick is trained on another real sample
-                yard = learners.fit(c, part("P"), view.schema, target)
-                for k, df in data.items():
-                    got = total.setdefault((target, k, c), [0.0, 0.0, 0])
-                    if df.isEmpty():
-                        continue
-                    for i, x in enumerate((*learners.scores(learners.fit(c, df, view.schema, target), yard, test, target), 1)):
-                        got[i] += x
-            for df in (test, *data.values()):
-                df.unpersist()
-    rows = [(*k, float(a / n) if n else None, float(g / n) if n else None, n) for k, (a, g, n) in total.items()]
+                one = made.unionByName(part("S", "reals", 0.49)).unionByName(part("P", "_yard", 0.1875)).unionByName(part("test", "_test", 0.07)).withColumn("run", F.lit(run))
+                data = one if data is None else data.unionByName(one)
+            each = data.withColumn("classifier", F.explode(F.array(*map(F.lit, bounded.MAKERS))))
+            # a task for each run and classifier
+            found = each.groupBy("run", "classifier").applyInPandas(_run_of(schema, target), "kind string, classifier string, accuracy double, agreement double")
+            mean = {(r["kind"], r["classifier"]): (r["a"], r["g"], r["n"]) for r in found.groupBy("kind", "classifier").agg(F.avg("accuracy").alias("a"), F.avg("agreement").alias("g"), F.count("*").alias("n")).collect()}
+        rows += [(target, k, c, *mean.get((k, c), (None, None, 0))) for k in ("reals", "marginals", *case_names(len(schema))) for c in bounded.MAKERS]
     return spark.createDataFrame(rows, "target string, training string, classifier string, accuracy double, agreement double, runs long")
 
 
-def private_classifier_table(spark, sf_dir):
-    """Linear classifiers on reals without and with privacy, and without it on marginals and every kind of synthetics."""
-    real, test = split_of(spark, sf_dir, "S").cache(), split_of(spark, sf_dir, "test").cache()
-    data = kinds(spark, sf_dir)
-    rows = []
-    for loss in ("lr", "svm"):
-        lam = learners.choose_lambda(real, test, OL, "netc", loss)
-        fit = lambda df, how=None, loss=loss, lam=lam: float(learners.accuracy(learners.linear(learners.linear_weights(df, OL, "netc", loss, lam, how, 1.0), OL, "netc"), test, "netc"))
-        rows += [("reals", loss, "none", fit(real)), ("reals", loss, "output", fit(real, "output")), ("reals", loss, "objective", fit(real, "objective"))]
-        rows += [(k, loss, "none", fit(df)) for k, df in data.items() if k != "reals"]
-    for df in (real, test, *data.values()):
-        df.unpersist()
-    return spark.createDataFrame(rows, "training string, loss string, privacy string, accuracy double")
-
-
-def distinguishing_game(spark, sf_dir):
-    """How well a tree and a forest tell reals from each kind of data."""
-    real = split_of(spark, sf_dir, "T").select("rk", *OL.names)
-    rows = []
-    for k, df in kinds(spark, sf_dir).items():
-        other = df.withColumnRenamed("cand_id", "rk") if "cand_id" in df.columns else df
-        rows += [(k, c, float(learners.game(real, other, OL, c, f"game-{k}"))) for c in ("tree", "rf")]
-    return spark.createDataFrame(rows, "kind string, classifier string, accuracy double")
+LAMBDAS = (1e-3, 1e-4, 1e-5, 1e-6)
+
+
+def private_classifier_table(spark, sf_dir, records: int = RECORDS, salt: str = "private classifiers"):
+    """Linear classifiers on reals without and with privacy, and without it on marginals and every kind of synthetics, trained on about `records` rows
+    each; lambda is, for each loss, the value at which the classifier of reals without privacy is best."""
+    with held(micro(spark, sf_dir)):
+        total, target = micro(spark, sf_dir).count(), "netc"
+        part = lambda which, share: sampled(split_of(spark, sf_dir, which), total, share, records, "linear")
+        made = sampled(kinds(spark, sf_dir).where("kind <> 'reals'"), total, 0.49, records, "linear")
+        data = made.unionByName(part("S", 0.49).select(F.lit("reals").alias("kind"), "rk", *OL.names))
+        every = F.explode(F.array(*map(F.lit, ("reals", "marginals", *case_names(len(OL))))))
+        test = part("test", 0.07).select(every.alias("kind"), "rk", *OL.names)
+        data = data.withColumn("_test", F.lit(False)).unionByName(test.withColumn("_test", F.lit(True))).persist()
+
+        def sides(pdf):
+            x, y = learners.encode(pdf, OL, target), np.where(pdf[target].to_numpy() == 1, 1.0, -1.0)
+            held = pdf["_test"].to_numpy(bool)
+            return x[~held], y[~held], x[held], y[held]
+
+        hit = lambda w, x, y: float((np.where(x @ w > 0, 1.0, -1.0) == y).mean()) if len(y) else 0.0
+
+        def grid(pdf):
+            x, y, tx, ty = sides(pdf)
+            loss, lam = pdf["loss"].iloc[0], float(pdf["lam"].iloc[0])
+            return type(pdf)({"loss": [loss], "lam": [lam], "accuracy": [hit(learners.minimise_arrays(x, y, loss, lam), tx, ty)]})
+
+        # a task for each loss and lambda
+        tried = data.where("kind = 'reals'").withColumn("loss", F.explode(F.array(F.lit("lr"), F.lit("svm")))).withColumn("lam", F.explode(F.array(*map(F.lit, LAMBDAS))))
+        best: dict[str, tuple] = {}
+        for r in tried.groupBy("loss", "lam").applyInPandas(grid, "loss string, lam double, accuracy double").collect():
+            best[r["loss"]] = max(best.get(r["loss"], (-1.0, 0.0)), (r["accuracy"], r["lam"]))
+
+        def fitted(pdf):
+            x, y, tx, ty = sides(pdf)
+            kind, got = pdf["kind"].iloc[0], []
+            for loss in ("lr", "svm") if len(x) else ():
+                fit = lambda lam, push, loss=loss: learners.minimise_arrays(x, y, loss, lam, push)
+                for how in (None, "output", "objective") if kind == "reals" else (None,):
+                    w = learners.private_weights(fit, len(x), x.shape[1], loss, best[loss][1], how, 1.0, salt, OL.name, target)
+                    got.append((kind, loss, how or "none", best[loss][1], hit(w, tx, ty)))
+            return type(pdf)(got, columns=["training", "loss", "privacy", "lam", "accuracy"])
+
+        rows = data.groupBy("kind").applyInPandas(fitted, "training string, loss string, privacy string, lam double, accuracy double").collect()
+        data.unpersist()
+        return spark.createDataFrame(rows, "training string, loss string, privacy string, lam double, accuracy double")
+
+
+def distinguishing_game(spark, sf_dir, records: int = 75_000):
+    """How well a tree and a forest tell reals from each kind of data: as many of both sides (about `records` at most), two thirds to train and the
+    rest to test; 1/2 says they cannot be told apart."""
+    with held(micro(spark, sf_dir)):
+        total, names = micro(spark, sf_dir).count(), ("reals", "marginals", *case_names(len(OL)))
+        label = learners.with_label(OL)
+        real = sampled(split_of(spark, sf_dir, "T"), total, 0.1875, records, "game").withColumn("kind", F.explode(F.array(*map(F.lit, names))))
+        made = kinds(spark, sf_dir)
+        others = made.where("kind = 'reals'").unionByName(sampled(made.where("kind <> 'reals'"), total, 0.49, records, "game"))
+        mixed = real.withColumn("_real", F.lit(1)).select("kind", "rk", *label.names).unionByName(others.withColumn("_real", F.lit(0)).select("kind", "rk", *label.names)).withColumn("_u", uniform("game", "kind", "_real", "rk"))
+
+        def played(pdf):
+            return learners.play(pdf, label)
+
+        form = "kind string, classifier string, accuracy double, records long"
+        return spark.createDataFrame(mixed.groupBy("kind").applyInPandas(played, form).collect(), form)
 
 
 def event_drift(spark, sf_dir):
@@ -621,7 +779,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         attribute_profile, clean_counts, bucketized, split_sizes, entropies, correlations, noisy_entropies, merit_scores, learned_edges, wide_structure, cpt_counts, cpt_probs, noisy_cpt,
-        synth_candidates, marginal_sample, pass_rate_grid, pass_rate_whole_grid, plausible_counts, deterministic_release, randomized_verdicts, release_sample, mixture_release, pooled_release, definition_check,
+        synth_candidates, marginal_sample, pass_rate_grid, pass_rate_whole_grid, pass_rate_random, pass_rate_capped, plausible_counts, deterministic_release, randomized_verdicts, release_sample, mixture_release, pooled_release, definition_check,
         release_budget_table, sensitivity_table, tv_single, tv_pairs, tv_boxplot, tv_synthetic, attribute_baselines, model_error, forest_accuracy, classifier_table, private_classifier_table,
         distinguishing_game, event_drift,
     )
@@ -629,7 +787,7 @@ QUERIES = {
 SQL = {
     "attribute_profile": _attribute_profile_sql(), "dataset_profile": f"WITH {_v()} {_profile_sql(ORDERLINE)}", "clean_counts": _clean_counts_sql(), "bucketized": _bucketized_sql(), "split_sizes": _split_sizes_sql(),
     "entropies": _entropies_sql(), "correlations": _correlations_sql(), "noisy_entropies": _noisy_entropies_sql(), "merit_scores": _merit_sql(), "cpt_counts": _cpt_counts_sql(), "cpt_probs": _cpt_probs_sql(),
-    "noisy_cpt": _noisy_cpt_sql(), "synth_candidates": _synth_candidates_sql(), "marginal_sample": _marginal_sample_sql(), "pass_rate_grid": _pass_rate_sql(), "plausible_counts": _plausible_sql(),
+    "noisy_cpt": _noisy_cpt_sql(), "synth_candidates": _synth_candidates_sql(), "marginal_sample": _marginal_sample_sql(), "pass_rate_grid": _pass_rate_sql(), "pass_rate_random": _pass_rate_random_sql(), "plausible_counts": _plausible_sql(),
     "deterministic_release": _deterministic_sql(), "randomized_verdicts": _randomized_sql(), "definition_check": _definition_sql(), "release_budget_table": RELEASE_BUDGET_SQL, "sensitivity_table": SENSITIVITY_SQL,
     "tv_single": _tv_sql(False), "tv_pairs": _tv_sql(True), "tv_boxplot": _tv_boxplot_sql(), "attribute_baselines": _baselines_sql(), "event_drift": EVENT_DRIFT_SQL,
 }

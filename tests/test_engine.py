@@ -28,7 +28,7 @@ def toy_rows(n=200, seed=3):
 @pytest.fixture(scope="module")
 def toy(spark):
     df = spark.createDataFrame(toy_rows(), "rk string, a int, b int, c int, d int").cache()
-    model = synth.Model(TOY, TOY_GRAPH, synth.settled(params.learn_parameters(df, TOY, TOY_GRAPH)))
+    model = synth.Model(TOY, TOY_GRAPH, params.learn_parameters(df, TOY, TOY_GRAPH).cache())
     return df, model
 
 
@@ -151,8 +151,13 @@ def test_generic_test_and_definition(spark, toy):
     cands = df.limit(10).select(F.col("rk").alias("cand_id"), F.struct("a", "b").alias("y"), F.struct("a", "b").alias("seed"))
     logp = F.when(F.col("y.a") == F.col("d.a"), F.lit(math.log(0.5))).otherwise(F.lit(None).cast("double"))
     got = deniability.generic_counts(cands, df.select(F.struct("a", "b").alias("d")), logp, 2.0)
-    counts = {a: df.where(F.col("a") == a).count() for a in (0, 1)}
-    assert all(r["plausible"] in counts.values() for r in got.collect())
+    own = {r["cand_id"]: r["y"]["a"] for r in cands.collect()}
+    want = {k: df.where(F.col("a") == a).count() for k, a in own.items()}
+    assert {r["cand_id"]: r["plausible"] for r in got.collect()} == want
+    seeds = df.select("rk", F.struct("a", "b").alias("d"))
+    assert {r["cand_id"]: r["plausible"] for r in deniability.generic_counts(cands, seeds, logp, 2.0, block=3).collect()} == want
+    some = {r["cand_id"]: r["plausible"] for r in deniability.generic_counts(cands, seeds, logp, 2.0, block=3, max_check=40).collect()}
+    assert all(0 < some[k] <= min(40, want[k]) for k in want)
     # records on both sides of a bucket's edge: the definition holds, the test does not
     rows = spark.createDataFrame([("y", 0.9 * math.log(2), 3), ("y", 1.1 * math.log(2), 3)], "cand_id string, neglogp double, n long")
     told = deniability.is_deniable(rows, 6, 2.0).withColumn("b", scalar.gamma_bucket(-F.col("neglogp"), 2.0)).collect()
@@ -207,6 +212,56 @@ def test_parameters(spark, toy):
     assert params.dirichlet_log_density([0.5, 0.5], [1, 1]) == pytest.approx(0.0)
 
 
+def test_arrays_equal_the_joined_tables(spark, toy, monkeypatch):
+    df, model = toy
+    for how in ({}, {"estimator": "mode"}, {"estimator": "sampled", "eps": 0.5}):
+        rows = params.learn_parameters(df, TOY, TOY_GRAPH, salt="z", **how).collect()
+        held = params.learn_tables(params.counts_by_set(df, TOY, [TOY_GRAPH]), TOY, TOY_GRAPH, salt="z", **how)
+        assert all(held.probs[r["attr"]][r["config"]] == pytest.approx(r["probs"]) and held.cum[r["attr"]][r["config"]] == pytest.approx(r["cum"]) for r in rows)
+        assert sum(len(p) for p in held.probs) == len(rows)
+    seeds = df.select(F.col("rk").alias("cand_id"), *TOY.names)
+    both = []
+    for cells in (synth.BROADCAST_CELLS, 3):  # with 3 all but one attribute are joined by a shuffle
+        monkeypatch.setattr(synth, "BROADCAST_CELLS", cells)
+        drawn = [synth.synthesize(model, seeds, 3, "d"), synth.synthesize_random(model, seeds, (1, 4), "d")]
+        both.append([sorted((*tuple(r)[:6], round(r["logq"], 9)) for r in x.collect()) for x in drawn])
+        both[-1].append(sorted(round(r["logp"], 9) for r in model.log_prob(df).collect()))
+        both[-1].append(sorted((round(r["q_1"], 9), round(r["q_4"], 9)) for r in synth.log_q(model, df, (1, 4)).collect()))
+    assert both[0] == both[1]
+
+
+def test_continuous_targets(spark):
+    rng = np.random.default_rng(8)
+    rows = [(str(i), i % 2, float(x), float((i % 2) * 3 + 2 * x + e)) for i, (x, e) in enumerate(rng.normal(size=(4000, 2)))]
+    df = spark.createDataFrame(rows, "rk string, g int, x double, t double").coalesce(2)
+    drawn = params.draw_continuous(df, params.gaussian_params(df, "t", ["g"]), ["g"], "c", "y")
+    got = {r["g"]: r for r in drawn.groupBy("g").agg(F.avg("y").alias("m"), F.stddev("y").alias("s"), F.avg("t").alias("tm"), F.stddev("t").alias("ts")).collect()}
+    assert all(r["m"] == pytest.approx(r["tm"], abs=0.2) and r["s"] == pytest.approx(r["ts"], rel=0.08) for r in got.values())
+    lines = params.linear_params(df, "t", "x", ["g"])
+    fitted = params.draw_continuous(df, lines, ["g"], "c", "y", regressor="x", spread=1.0).agg(F.stddev(F.col("y") - F.col("t")).alias("s"), F.avg(F.col("y") - F.col("t")).alias("m")).first()
+    assert fitted["m"] == pytest.approx(0, abs=0.1) and fitted["s"] == pytest.approx(2**0.5, rel=0.06)
+
+
+def test_seeds_hang_on_the_rows_alone(spark, toy):
+    df, _ = toy
+    draw = lambda x: sorted(map(tuple, prep.sample_seeds(x, 300, "s").collect()))
+    assert draw(df) == draw(df.repartition(7)) and len(draw(df)) == 300
+    seen, sizes = prep.ranked(df, 200, in_cell=20)
+    rows = sorted((r["_c"], r["_r"]) for r in seen.collect())
+    assert rows == [(c, r) for c, n in enumerate(sizes) for r in range(n)] and len(sizes) == 10
+    with pytest.raises(ValueError):
+        prep.sample_seeds(df, 200 * 600, "s", "poisson")
+
+
+def test_ranking_by_gain_and_seed_partitions(spark, toy):
+    df, _ = toy
+    values, _ = info.entropy_sets(df, TOY)
+    ranks = structure.rank_by_gain(values, 4, 2)
+    assert [j for j, _ in ranks][0] in (1, 3) and [g for _, g in ranks] == sorted((g for _, g in ranks), reverse=True)
+    pairs = spark.createDataFrame([(-0.1,), (-0.2,), (-0.8,), (None,)], "logp double")
+    assert {r["bucket"]: r["n"] for r in deniability.seed_partitions(pairs, 2.0).collect()} == {0: 2, 1: 1}
+
+
 def test_deniability_theorem_on_toys():
     """Enumerates the release law of tiny data sets, with and without one record, against the theorem."""
     rng, eps0, gamma = np.random.default_rng(7), 1.0, 2.0
