@@ -128,10 +128,13 @@ def edited_by_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """
     n = parts(docs.sparkSession)
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63))).alias("id"), F.col(id_col).isNull().alias("no_id"), text_or_empty(text_col).cast("binary").alias("t"))
-    cuts = sorted(set(rows.approxQuantile("id", [i / n for i in range(1, n)], 0.25 / n))) if n > 1 else []
+    cuts = [int(c) for c in sorted(rows.approxQuantile("id", [i / n for i in range(1, n)], 0.25 / n))] if n > 1 else []
+    # an id that fills several ranges is cut by its texts' hashes
+    pairs = [(c, j * (1 << 64) // (cuts.count(c) + 1) - (1 << 63) if cuts.count(c) > 1 else -(1 << 63)) for c in sorted(set(cuts)) for j in range(1, cuts.count(c) + 1)]
     # ranges in descending order of ids: 0 holds the largest
-    bound = F.array(*[F.lit(int(c)) for c in cuts]) if cuts else F.array().cast("array<long>")
-    ranged = rows.withColumn("range", F.size(F.filter(bound, lambda c: c > F.col("id"))) if cuts else F.lit(0)).withColumn("tie", F.xxhash64("t"))
+    bound = F.array(*[F.struct(F.lit(c).cast("long").alias("id"), F.lit(t).cast("long").alias("tie")) for c, t in pairs])
+    ranged = rows.withColumn("tie", F.xxhash64("t"))
+    ranged = ranged.withColumn("range", F.size(F.filter(bound, lambda c: (c["id"] > F.col("id")) | ((c["id"] == F.col("id")) & (c["tie"] > F.col("tie"))))) if pairs else F.lit(0))
     # one row for each range
     heads = ranged.groupBy("range").agg(F.max(F.struct("id", "tie")).alias("head")).orderBy("range").collect()
     filled = [r["range"] for r in heads]
@@ -149,7 +152,10 @@ def edited_by_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         "id", "no_id", "t", "tie", F.explode(F.when(F.col("first_of").isNull(), F.array(F.struct(F.col("range").alias("range"), F.lit(False).alias("ahead")))).otherwise(
             F.array(F.struct(F.col("range").alias("range"), F.lit(False).alias("ahead")), F.struct(F.col("first_of").alias("range"), F.lit(True).alias("ahead"))))).alias("to")
     ).select("to.range", "to.ahead", F.when(F.col("no_id"), None).otherwise(F.col("id")).alias("doc_id"), "id", "tie", "t")
-    ordered = dealt.repartition(n, "range").sortWithinPartitions("range", "ahead", F.desc("id"), F.desc("tie"))
+    # a number for each range whose hash is that of a task of its own
+    slots = {r["at"]: r["id"] for r in docs.sparkSession.range(64 * n).select("id", F.pmod(F.hash("id"), F.lit(n)).alias("at")).collect()}
+    dealt = dealt.withColumn("slot", F.element_at(F.array(*[F.lit(slots.get(k % n, k)).cast("long") for k in range(len(pairs) + 1)]), F.col("range") + 1))
+    ordered = dealt.repartition(n, "slot").sortWithinPartitions("range", "ahead", F.desc("id"), F.desc("tie"))
 
     def run(batches):
         spots = Spots(chain=chain, gap=gap)
@@ -193,3 +199,19 @@ def edited_by_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edited_by_next(table(spark, sf_dir, "documents"))
+
+
+def edits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of the query that SQL can express."""
+    return query(spark, sf_dir).select("doc_id", "n_chars", "edited_sha256")
+
+
+def alike(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs of classes of equal fingerprints that are alike, 0.8 or more."""
+    return matches(fingerprints(table(spark, sf_dir, "documents").where("doc_id IS NOT NULL")))
+
+
+EDITS_SQL = """
+SELECT doc_id, length(t)::BIGINT AS n_chars, sha256(left(t, length(t) - length(t) // 2) || left(nxt, length(t) // 2)) AS edited_sha256
+FROM (SELECT doc_id, t, coalesce(lead(t) OVER w, first_value(t) OVER w) AS nxt FROM (SELECT doc_id, coalesce(text, '') AS t FROM documents) WINDOW w AS (ORDER BY doc_id DESC))
+"""

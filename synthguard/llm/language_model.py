@@ -194,3 +194,25 @@ def score(spark: SparkSession, docs: DataFrame, learnt: Column, id_col: str = "d
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     done = score(spark, table(spark, sf_dir, "documents"), ~held_out("doc_id", 7, 2))
     return done.select("doc_id", (~F.col("learnt")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
+def base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of the query that SQL can express."""
+    return query(spark, sf_dir).select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score")
+
+
+BASE_SQL = r"""
+WITH words AS (
+  SELECT doc_id, list_append(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+'), ' ') AS w FROM documents),
+tokens AS (SELECT doc_id, unnest(w) AS t FROM words),
+crc AS (SELECT range AS i, list_reduce(list_prepend(range, range(8)), lambda c, k: CASE WHEN c % 2 = 1 THEN xor(c // 2, 3988292384) ELSE c // 2 END) AS v FROM range(256)),
+look AS (SELECT list(v ORDER BY i) AS vs FROM crc),
+folds AS (
+  SELECT doc_id, xor(list_reduce(list_prepend(4294967295::BIGINT, list_transform(string_split(doc_id::VARCHAR, ''), lambda c: ascii(c)::BIGINT)), lambda c, b: xor(c // 256, vs[xor(c % 256, b) + 1])), 4294967295) % 7 = 2 AS held_out
+  FROM documents, look),
+counts AS (SELECT t, count(*) AS c FROM tokens JOIN folds USING (doc_id) WHERE NOT held_out GROUP BY t),
+total AS (SELECT sum(c) AS n, count(*) AS v FROM counts)
+SELECT doc_id, any_value(held_out) AS held_out, count(*)::BIGINT AS n_tokens, count(c)::BIGINT AS n_known, any_value(n)::BIGINT AS train_tokens,
+  sum(log10((coalesce(c, 0) + 1) / (n + v + 1)::DOUBLE)) AS base_score
+FROM tokens JOIN folds USING (doc_id) LEFT JOIN counts USING (t), total GROUP BY doc_id
+"""

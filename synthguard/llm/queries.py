@@ -15,10 +15,15 @@ QUERIES = {
     "op8_exact_top_k": metric_search.query,
     "op9_packing": packing.query,
     "op10_lm_scoring": language_model.query,
+    "fingerprint_edits": fingerprint.edits,
+    "fingerprint_matches": fingerprint.alike,
+    "lm_base_scores": language_model.base,
 }
 SQL = {
     "op1_line_dedup": line_dedup.SQL,
     "op5_ngram_jaccard": jaccard_join.SQL,
     "op6_suffix_dedup": suffix_dedup.SQL,
     "op8_exact_top_k": metric_search.SQL,
+    "fingerprint_edits": fingerprint.EDITS_SQL,
+    "lm_base_scores": language_model.BASE_SQL,
 }
