@@ -10,40 +10,48 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from synthguard.llm import jaccard_join, line_dedup, packing, quality, suffix_dedup
-from synthguard.llm.common import staged, table
+from synthguard.llm.common import staged, table, unstaged
 from synthguard.shipping import ship
 
 
-def _measured(docs: DataFrame) -> DataFrame:
-    """n_chars follows the text."""
-    return docs.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else docs
+def _alone(docs: DataFrame) -> DataFrame:
+    """The two columns that stages work on, and all columns in one struct, whose names cannot clash with theirs."""
+    return docs.select("doc_id", "text", F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("whole"))
+
+
+def _whole(done: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of docs with the text as it is now; n_chars follows it."""
+    now = {"text": F.col("text"), "n_chars": F.length("text").cast("long")}
+    return done.select(*[now.get(c, F.col(f"whole.`{c}`")).alias(c) for c in docs.columns])
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier scores 0.3 or more; it learns from the labelled documents among them."""
     model = quality.train(docs, table(spark, sf_dir, "labels"))
-    return quality.score(docs, model, out="_sg_score").where("_sg_score >= 0.3").select(*docs.columns)
+    kept = quality.score(_alone(docs), model).where("score >= 0.3")
+    return kept.select(*[F.col(f"whole.`{c}`").alias(c) for c in docs.columns])
 
 
 def drop_common_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines of 20 characters or more that three documents hold stay only in the largest id."""
     ship(spark)
-    return _measured(line_dedup.dedup_lines(spark, docs).select(*docs.columns))
+    return _whole(line_dedup.dedup_lines(spark, _alone(docs)), docs)
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents tied by a Jaccard index of 0.8 or more of their five-word shingles, the smallest id; rows without an id stay."""
     ship(spark)
     classes = jaccard_join.similar_classes(spark, docs)
-    first = classes.where("component_id = doc_id").select(F.col("doc_id").alias("_sg_id")).distinct()
-    named = docs.where("doc_id IS NOT NULL").join(first, F.col("doc_id") == F.col("_sg_id"), "left_semi")
+    first = classes.where("component_id = doc_id").select("doc_id").distinct()
+    # a semi join keeps the columns of docs alone, whatever their names
+    named = docs.where("doc_id IS NOT NULL").join(first, "doc_id", "left_semi").select(*[f"`{c}`" for c in docs.columns])
     return named.unionByName(docs.where("doc_id IS NULL"))
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every byte in a string of 200 bytes that stands twice goes."""
     ship(spark)
-    return _measured(suffix_dedup.remove_repeats(spark, docs).select(*docs.columns))
+    return _whole(suffix_dedup.remove_repeats(spark, _alone(docs)), docs)
 
 
 def into_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -66,7 +74,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
         docs = staged(spark, stage(spark, docs, sf_dir), name)
+        if before is not None:
+            unstaged(spark, before)
+        before = docs
     return docs
