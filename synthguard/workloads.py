@@ -657,26 +657,38 @@ def forest_accuracy(spark, sf_dir, records: int = RECORDS):
     return each.groupBy("attr").applyInPandas(tried, "attr string, forest double").join(F.broadcast(own), "attr")
 
 
-def _run_of(schema: Schema, target: str):
-    """One run and classifier of the table, on rows (kind, classifier, the attributes) that hold the test rows and the yardstick's as well."""
+def _learner_of(schema: Schema, target: str):
+    """One classifier trained on one set of a run, on its rows and the test rows: what it tells of the test rows, in the order of their keys."""
 
     def tried(pdf):
-        test, yard, c = pdf[pdf["kind"] == "_test"], pdf[pdf["kind"] == "_yard"], pdf["classifier"].iloc[0]
+        pdf = pdf.sort_values(["rk", *schema.names])
+        test, own = pdf[pdf["kind"] == "_test"], pdf[pdf["kind"] != "_test"]
         got = []
-        if len(test) and len(yard):
-            other = bounded.trained(c, yard, schema, target)(test)
-            for k in sorted(set(pdf["kind"]) - {"_test", "_yard"}):
-                guess = bounded.trained(c, pdf[pdf["kind"] == k], schema, target)(test)
-                got.append((k, c, float((guess == test[target]).mean()), float((guess == other).mean())))
-        return type(pdf)(got, columns=["kind", "classifier", "accuracy", "agreement"])
+        if len(test) and len(own):
+            run, c, of = pdf[["run", "classifier", "of"]].iloc[0]
+            guess = bounded.trained(c, own, schema, target)(test)
+            got = [(run, c, of, guess.astype(np.int32).tobytes(), test[target].to_numpy(np.int32).tobytes())]
+        return type(pdf)(got, columns=["run", "classifier", "of", "guess", "truth"])
 
     return tried
 
 
+def _compared(pdf):
+    """Accuracy, and agreement with the yardstick, of the classifiers of one run and kind."""
+    codes = lambda b: np.frombuffer(b, np.int32)
+    yard, got = pdf[pdf["of"] == "_yard"], []
+    if len(yard):
+        other = codes(yard["guess"].iloc[0])
+        for r in pdf[pdf["of"] != "_yard"].itertuples():
+            guess = codes(r.guess)
+            got.append((r.of, r.classifier, float((guess == codes(r.truth)).mean()), float((guess == other).mean())))
+    return type(pdf)(got, columns=["kind", "classifier", "accuracy", "agreement"])
+
+
 def classifier_table(spark, sf_dir, runs: int = 5, records: int = RECORDS):
     """Accuracy on reals, and agreement with the classifier trained on reals, by target, classifier and training data; means
     over runs whose training and test rows are drawn anew, about `records` of each. `runs` counts those that had rows to train on (few labelled
-    documents may leave nothing to release); without any, the measures are null. The runs are trained side by side, a task each."""
+    documents may leave nothing to release); without any, the measures are null. All are trained side by side: a task for each run, training set and classifier."""
     rows = []
     for view, target in ((ORDERLINE, "netc"), (DOCUMENT, "quality")):
         schema, data = view.schema, None
@@ -689,9 +701,14 @@ def classifier_table(spark, sf_dir, runs: int = 5, records: int = RECORDS):
                 # the yardstick is trained on another real sample
                 one = made.unionByName(part("S", "reals", 0.49)).unionByName(part("P", "_yard", 0.1875)).unionByName(part("test", "_test", 0.07)).withColumn("run", F.lit(run))
                 data = one if data is None else data.unionByName(one)
-            each = data.withColumn("classifier", F.explode(F.array(*map(F.lit, bounded.MAKERS))))
-            # a task for each run and classifier
-            found = each.groupBy("run", "classifier").applyInPandas(_run_of(schema, target), "kind string, classifier string, accuracy double, agreement double")
+            sets = ("_yard", "reals", "marginals", *case_names(len(schema)))
+            # each set meets the test rows of its run
+            of = F.explode(F.when(F.col("kind") == "_test", F.array(*map(F.lit, sets))).otherwise(F.array("kind")))
+            each = data.withColumn("of", of).withColumn("classifier", F.explode(F.array(*map(F.lit, bounded.MAKERS))))
+            # small groups of long work, which are not to be coalesced by their bytes
+            each = each.repartition(runs * len(sets) * len(bounded.MAKERS), "run", "classifier", "of")
+            told = each.groupBy("run", "classifier", "of").applyInPandas(_learner_of(schema, target), "run int, classifier string, of string, guess binary, truth binary")
+            found = told.groupBy("run", "classifier").applyInPandas(_compared, "kind string, classifier string, accuracy double, agreement double")
             mean = {(r["kind"], r["classifier"]): (r["a"], r["g"], r["n"]) for r in found.groupBy("kind", "classifier").agg(F.avg("accuracy").alias("a"), F.avg("agreement").alias("g"), F.count("*").alias("n")).collect()}
         rows += [(target, k, c, *mean.get((k, c), (None, None, 0))) for k in ("reals", "marginals", *case_names(len(schema))) for c in bounded.MAKERS]
     return spark.createDataFrame(rows, "target string, training string, classifier string, accuracy double, agreement double, runs long")
