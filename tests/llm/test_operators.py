@@ -362,6 +362,18 @@ def test_exact_search(spark):
         for q in [i for i in v if i % 100 == 0]:
             want = sorted(((int(v[q] @ v[c]), -c) for c in v if c != q), reverse=True)[:10]
             assert got[q] == [(-c, s) for s, c in want]
+    # clusters, one of them of copies: cells whose bound lies below the kth score are not visited
+    centre = rng.normal(size=(12, 8))
+    x2 = centre[rng.integers(0, 12, 1500)] + 0.02 * rng.normal(size=(1500, 8))
+    x2[500:1000] = x2[0]
+    v2 = np.floor(1024 * x2).astype(np.int64)
+    many = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(v2)], "id long, v array<long>")
+    got = collections.defaultdict(list)
+    for r in metric_search.top_k(many, many.where("id % 50 = 0"), 10, 64, 7, 20).orderBy("query_id", "rank").collect():
+        got[r["query_id"]].append((r["vec_id"], r["score"]))
+    for q in range(0, 1500, 50):
+        want = sorted(((int(v2[q] @ v2[c]), -c) for c in range(1500) if c != q), reverse=True)[:10]
+        assert got[q] == [(-c, s) for s, c in want]
     tree = metric_search.MTree(np.arange(700), np.floor(1024 * x).astype(np.int64))
     tree.search(tree.vectors[5], 10, 5)
     assert tree.products < 700
