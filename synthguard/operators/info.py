@@ -18,9 +18,10 @@ from synthguard.plans.schema import Schema
 _SCHEMA = "role string, i int, j int, vi int, vj int, c long"
 
 
-def joint_histograms(df: DataFrame, schema: Schema, family: str = "paper_count") -> DataFrame:
+def joint_histograms(df: DataFrame, schema: Schema, family: str = "paper_count", groups: int | None = None) -> DataFrame:
     """role, i, j, vi, vj, c: counts of x_i (role x), b(x_i) (role b), and (x_i, b(x_j)) (role xb) for all i, j apart;
-    with family bucket_pairs those of (b(x_i), b(x_j)) for i < j (role bb) as well.
+    with family bucket_pairs those of (b(x_i), b(x_j)) for i < j (role bb) as well. With groups, df has _g (0..groups - 1), and each
+    group is counted by itself (g).
 
     One scan: each task counts all of them in fixed arrays and sends each once, however many rows it has read.
     """
@@ -33,21 +34,23 @@ def joint_histograms(df: DataFrame, schema: Schema, family: str = "paper_count")
         sets += [("bb", i, j, cuts[i], cuts[j]) for i in range(m) for j in range(i + 1, m)]
 
     def count(batches):
-        total = [np.zeros(a * b, np.int64) for *_, a, b in sets]
+        total = [np.zeros((groups or 1) * a * b, np.int64) for *_, a, b in sets]
         for batch in batches:
             x = [batch.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in names]
             b = [lookup[i][x[i]] for i in range(m)]
+            g = batch.column("_g").to_numpy(zero_copy_only=False).astype(np.int64) if groups else 0
             for t, (role, i, j, ca, cb) in zip(total, sets, strict=True):
-                left = b[i] if role in ("b", "bb") else x[i]
-                t += np.bincount(left * cb + b[j] if j >= 0 else left, minlength=ca * cb)
-        for t, (role, i, j, _, cb) in zip(total, sets, strict=True):
+                left = g * ca + (b[i] if role in ("b", "bb") else x[i])
+                t += np.bincount(left * cb + b[j] if j >= 0 else left, minlength=len(t))
+        for t, (role, i, j, ca, cb) in zip(total, sets, strict=True):
             at = np.flatnonzero(t)
             if len(at):
                 n = len(at)
-                columns = [pa.array([role] * n), *(pa.array(np.full(n, v, np.int32)) for v in (i, j)), pa.array((at // cb).astype(np.int32)), pa.array((at % cb).astype(np.int32)), pa.array(t[at])]
-                yield pa.RecordBatch.from_arrays(columns, names=["role", "i", "j", "vi", "vj", "c"])
+                columns = [pa.array([role] * n), *(pa.array(np.full(n, v, np.int32)) for v in (i, j)), pa.array((at // cb % ca).astype(np.int32)), pa.array((at % cb).astype(np.int32)), pa.array(t[at]), pa.array((at // cb // ca).astype(np.int32))]
+                yield pa.RecordBatch.from_arrays(columns, names=["role", "i", "j", "vi", "vj", "c", "g"])
 
-    return df.select(*names).mapInArrow(count, _SCHEMA).groupBy("role", "i", "j", "vi", "vj").agg(F.sum("c").alias("c"))
+    own = ["g"] if groups else []
+    return df.select(*names, *(["_g"] if groups else [])).mapInArrow(count, f"{_SCHEMA}, g int").groupBy(*own, "role", "i", "j", "vi", "vj").agg(F.sum("c").alias("c"))
 
 
 def entropies(df: DataFrame, schema: Schema, family: str = "paper_count") -> DataFrame:
@@ -61,6 +64,17 @@ def entropy_sets(df: DataFrame, schema: Schema, family: str = "paper_count") ->
     return {(r["role"], r["i"], r["j"]): r["h"] for r in rows}, int(rows[0]["n"]) if rows else 0
 
 
+def entropy_sets_of(df: DataFrame, schema: Schema, groups: int) -> list[tuple[dict, int]]:
+    """As entropy_sets(), for each group of df (_g): one scan for all. A group without rows has entropies of 0."""
+    m = range(len(schema))
+    out = [({k: 0.0 for k in [(role, i, -1) for role in "xb" for i in m] + [("xb", i, j) for i in m for j in m if i != j]}, 0) for _ in range(groups)]
+    for r in joint_histograms(df, schema, groups=groups).groupBy("g", "role", "i", "j").agg(entropy_bits(F.col("c")).alias("h"), F.sum("c").alias("n")).collect():
+        values = out[r["g"]][0]
+        values[r["role"], r["i"], r["j"]] = r["h"]
+        out[r["g"]] = (values, int(r["n"]))
+    return out
+
+
 def with_noise(values: dict, n: int, eps_entropy: float, eps_size: float, salt: str) -> dict:
     """Each entropy with its own Laplace noise, scaled by the sensitivity bound at a noisy record count (2 at least)."""
     noisy_n = max(2.0, n + laplace_value(1 / eps_size, salt, "size"))

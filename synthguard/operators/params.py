@@ -70,6 +70,31 @@ def counts_by_set(df: DataFrame, schema: Schema, graphs: list[Graph]) -> dict:
     return dict(zip(sets, out, strict=True))
 
 
+def counts_by_group(df: DataFrame, schema: Schema, graphs: list[list[Graph]]) -> list[dict]:
+    """As counts_by_set(), for each group of df (_g) with graphs of its own: one scan for all."""
+    sets = [sorted({(i, ps) for g in own for i, ps in enumerate(g.parents)}) for own in graphs]
+    out = [{(i, ps): np.zeros((config_cost(ps, schema), schema.attributes[i].card)) for i, ps in own} for own in sets]
+
+    def run(batches):
+        total = [[np.zeros(config_cost(ps, schema) * schema.attributes[i].card, np.int64) for i, ps in own] for own in sets]
+        for batch in batches:
+            x, group = [batch.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in schema.names], batch.column("_g").to_numpy(zero_copy_only=False)
+            for g, own in enumerate(sets):
+                at = np.flatnonzero(group == g)
+                if len(at):
+                    y = [v[at] for v in x]
+                    for t, (i, ps) in zip(total[g], own, strict=True):
+                        t += np.bincount(config_numbers(schema, ps, y) * schema.attributes[i].card + y[i], minlength=len(t))
+        for g, own in enumerate(total):
+            for k, t in enumerate(own):
+                at = np.flatnonzero(t)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), g, np.int32)), pa.array(np.full(len(at), k, np.int32)), pa.array(at), pa.array(t[at])], names=["g", "s", "at", "n"])
+
+    for r in df.select(*schema.names, "_g").mapInArrow(run, "g int, s int, at long, n long").groupBy("g", "s", "at").agg(F.sum("n").alias("n")).collect():
+        out[r["g"]][sets[r["g"]][r["s"]]].flat[r["at"]] = r["n"]
+    return out
+
+
 @dataclass(frozen=True)
 class Tables:
     """Conditional tables as arrays: for each attribute a row of probabilities, and of their sums, for each configuration."""
