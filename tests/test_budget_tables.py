@@ -32,3 +32,9 @@ def test_release_budget_is_that_of_the_seeds(spark):
     assert len(got) == 49 and {r[3] for r in got} == {seeds.count()}
     assert {r[4] for r in got} == {sum(r["count"] for r in seeds.groupBy(*workloads.ORDER[:4]).count().collect() if r["count"] >= 50)}
     assert (got[28][1], got[28][2]) == pytest.approx((budget.release_epsilon(50, 4.0, 1.0, 29).eps, budget.release_epsilon(50, 4.0, 1.0, 29).delta))
+
+
+def test_sensitivity_is_that_of_the_splits(spark):
+    df, got = _alike(spark, "sensitivity_table")
+    n = workloads.split_of(spark, SF, "T").count()
+    assert ("orderline_micro", "T", n, pytest.approx(budget.entropy_sensitivity(n))) in got and {r[0] for r in got} == {"orderline_micro", "document_micro", "event_micro", "conversation_micro"}
